@@ -6,8 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from writelite.workloads import models, relational, sorting, streams
+
 Query = Callable[[SparkSession, str], DataFrame]
-MODULES: tuple = ()
+MODULES: tuple = (sorting, models, relational, streams)
 
 
 def queries() -> dict[str, Query]:
