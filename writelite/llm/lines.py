@@ -17,7 +17,7 @@ def _lines(text: Column) -> Column:
 
 def _key(line: Column) -> Column:
     """A line without the blanks around it; None for a blank line, which is never counted or dropped."""
-    return F.nullif(F.regexp_replace(line, r"^[ \t\r]+|[ \t\r]+$", ""), F.lit(""))
+    return F.nullif(F.btrim(line, F.lit(" \t\r")), F.lit(""))
 
 
 def boilerplate(df: DataFrame, host: str, text: str, ratio: float = RATIO, least: int = LEAST_PAGES) -> DataFrame:
