@@ -6,10 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from writelite.workloads import models, relational, sorting, streams
+from writelite.workloads import measures, models, relational, sorting, streams
 
 Query = Callable[[SparkSession, str], DataFrame]
-MODULES: tuple = (sorting, models, relational, streams)
+MODULES: tuple = (sorting, models, measures, relational, streams)
 
 
 def queries() -> dict[str, Query]:
