@@ -6,6 +6,7 @@ placed by splitters, so the result does not depend on chance, only the ledger's
 
 from __future__ import annotations
 
+import bisect
 import math
 from dataclasses import dataclass
 
@@ -288,18 +289,24 @@ def co_sort(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: in
         dealt = frame.join(table, "node").withColumn("row", F.pmod(F.xxhash64(*coin, F.lit(level)), F.col("rows")))
         thin = dealt.withColumn("i", F.row_number().over(W.partitionBy("node", "row").orderBy("__key"))).where(F.col("i") % F.col("lg") == 0)
         found = {r["node"]: [tuple(x) for x in r["x"]] for r in thin.groupBy("node").agg(F.array_sort(F.collect_list("__key")).alias("x")).collect()}
-        cuts = {}
+        # s - 1 splitters make the buckets of a node, then omega - 1 pivots out of the same sample the parts of a bucket.
+        cuts, pivots = {}, []
+        width = max(s for s, _ in shape.values()) + 2
         for v in big:
             s, sample = shape[v][0], found.get(v, [])
-            cuts[v] = bucketing.evenly(sample, min(s * omega, max(2, len(sample) // 2)) - 1)
-        width = max(len(c) for c in cuts.values()) + 2
-        if len(sizes) == 1:
+            cuts[v] = bucketing.evenly(sample, min(s, max(2, len(sample) // 2)) - 1)
+            at = [0, *(bisect.bisect_left(sample, c) for c in cuts[v]), len(sample)]
+            pivots += [(v * width + i, bucketing.evenly(sample[lo:hi], omega - 1)) for i, (lo, hi) in enumerate(zip(at, at[1:], strict=False)) if omega > 1]
+        kind = frame.schema["__key"].dataType.simpleString()
+        arrays = lambda rows_: F.broadcast(spark.createDataFrame(rows_, f"node long, __cuts array<{kind}>"))
+        below: Column = F.coalesce(F.size(F.filter("__cuts", lambda c: c <= F.col("__key"))), F.lit(0))
+        if len(sizes) == 1 and len(cuts[0]) <= 512:
             bucket: Column = bucketing.locate(F.col("__key"), cuts[0])
         else:
-            kind = frame.schema["__key"].dataType.simpleString()
-            frame = frame.join(F.broadcast(spark.createDataFrame([(v, [tuple(c) for c in cs]) for v, cs in cuts.items()], f"node long, __cuts array<{kind}>")), "node", "left")
-            bucket = F.coalesce(F.size(F.filter("__cuts", lambda c: c <= F.col("__key"))), F.lit(0))
+            frame, bucket = frame.join(arrays(list(cuts.items())), "node", "left"), below
         frame = frame.withColumn("node", F.col("node") * width + bucket).drop("__cuts")
+        if pivots:
+            frame = frame.join(arrays(pivots), "node", "left").withColumn("node", F.col("node") * omega + below).drop("__cuts")
         now = {r["node"]: r["cnt"] for r in bucketing.counts(frame, "node").collect()}
         for v, n in big.items():
             nb = -(-n // B)
