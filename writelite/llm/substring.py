@@ -25,6 +25,7 @@ WIDTH, PERIOD, COVER = 20, 13, (0, 1, 3, 9)
 LAST = np.iinfo(np.int64).max
 U64 = np.uint64
 SENT = "b int, hash binary, who binary, pos binary, ks binary, hs binary, fwho binary, fpos binary"
+TOLD = "g int, ks binary, hs binary, at binary"
 FOUND = "k long, h long, at binary"
 
 
@@ -105,8 +106,8 @@ def _window_rows(width: int, period: int, buckets: int):
                 words, offsets, ks, hs = _texts(part)
                 n = np.diff(offsets)
                 delta = np.zeros(len(words) + 1, dtype=np.int64)
-                for i, lists in enumerate(part.column("at").to_pylist()):
-                    a = np.frombuffer(b"".join(lists), "<u4").astype(np.int64)
+                for i, packed in enumerate(part.column("at").to_pylist()):
+                    a = np.frombuffer(packed, "<u4").astype(np.int64)
                     low, high = np.maximum(a - period + 1, 0), np.minimum(a, n[i] - width)
                     np.add.at(delta, offsets[i] + low, 1)
                     np.add.at(delta, offsets[i] + high + 1, -1)
@@ -124,8 +125,11 @@ def _window_rows(width: int, period: int, buckets: int):
     return go
 
 
-def _meet(keep_first: bool):
-    """Of the records of a bucket: positions whose hash occurs twice, or with keep_first all of a hash but its earliest."""
+def _meet(keep_first: bool, groups: int):
+    """Of the records of a bucket: positions whose hash occurs twice, or with keep_first all of a hash but its earliest.
+
+    They go back packed, a row for each group of texts, so that rows do not multiply with buckets.
+    """
 
     def go(table: pa.Table) -> pa.Table:
         h, pos, fpos = (gather(table, c, t) for c, t in (("hash", "<u8"), ("pos", "<u4"), ("fpos", "<u4")))
@@ -145,27 +149,33 @@ def _meet(keep_first: bool):
             p, starts, count = _sorted_groups(h)
             hit = p[np.repeat(count > 1, count)]
         who, pos = np.concatenate([who[hit], fwho]), np.concatenate([pos[hit], fpos])
-        order = np.lexsort((pos, hs[who], ks[who]))
-        who, pos = who[order], pos[order]
-        cuts = np.flatnonzero(np.r_[True, (ks[who][1:] != ks[who][:-1]) | (hs[who][1:] != hs[who][:-1])]) if len(who) else np.zeros(0, int)
-        ends = np.r_[cuts[1:], len(who)]
-        at = [np.unique(pos[i:j]).astype("<u4").tobytes() for i, j in zip(cuts, ends, strict=True)] if len(who) else []
-        return pa.Table.from_arrays([pa.array(ks[who[cuts]], pa.int64()), pa.array(hs[who[cuts]], pa.int64()), pa.array(at, pa.binary())], names=["k", "h", "at"])
+        rows = list(scatter((hs[who].view(U64) % U64(groups)).astype(np.int64), ks[who], hs[who], pos.astype("<u4")))
+        return pa.table({"g": pa.array([g for g, _ in rows], pa.int32()), **{c: pa.array([x[i] for _, x in rows], pa.binary()) for i, c in enumerate(("ks", "hs", "at"))}})
 
     return go
 
 
+def _regroup(table: pa.Table) -> pa.Table:
+    """The positions told to a group, one row a text."""
+    ks, hs, pos = gather(table, "ks", "<i8"), gather(table, "hs", "<i8"), gather(table, "at", "<u4")
+    order = np.lexsort((pos, hs, ks))
+    ks, hs, pos = ks[order], hs[order], pos[order]
+    cuts = np.flatnonzero(np.r_[True, (ks[1:] != ks[:-1]) | (hs[1:] != hs[:-1])]) if len(ks) else np.zeros(0, np.int64)
+    at = [np.unique(pos[i:j]).astype("<u4").tobytes() for i, j in zip(cuts, np.r_[cuts[1:], len(ks)], strict=True)] if len(ks) else []
+    return pa.Table.from_arrays([pa.array(ks[cuts], pa.int64()), pa.array(hs[cuts], pa.int64()), pa.array(at, pa.binary())], names=["k", "h", "at"])
+
+
 def _keep_rows(width: int, digest: bool):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             total, removed, kept = [], [], []
-            for t, copy, lists in zip(*[batch.column(c).to_pylist() for c in ("t", "copy", "at")], strict=True):
+            for t, copy, packed in zip(*[batch.column(c).to_pylist() for c in ("t", "copy", "at")], strict=True):
                 words = (t or "").encode().split()
                 n = len(words)
                 if copy and n >= width:
                     left: list[bytes] = []
-                elif lists:
-                    a = np.frombuffer(b"".join(lists), "<u4").astype(np.int64)
+                elif packed:
+                    a = np.frombuffer(packed, "<u4").astype(np.int64)
                     delta = np.zeros(n + 1, dtype=np.int64)
                     np.add.at(delta, a, 1)
                     np.add.at(delta, a + width, -1)
@@ -200,10 +210,10 @@ def dedup(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = W
     firsts = rows.groupBy(F.md5(F.encode("t", "UTF-8")).alias("m")).agg(F.min(F.struct("k", "h")).alias("x")).select(F.col("x.k").alias("k"), F.col("x.h").alias("h"), F.lit(True).alias("first"))
     own = texts.join(firsts.hint("shuffle_hash"), ["k", "h"]).select("k", "h", "t")
     sent = own.mapInArrow(_anchor_rows(width, period, cover, buckets), SENT)
-    anchors = sent.groupBy("b").applyInArrow(_meet(False), FOUND).groupBy("k", "h").agg(F.collect_list("at").alias("at"))
+    anchors = sent.groupBy("b").applyInArrow(_meet(False, buckets), TOLD).groupBy("g").applyInArrow(_regroup, FOUND)
     near = texts.join(anchors.hint("shuffle_hash"), ["k", "h"]).select("k", "h", "t", "at")
-    found = near.mapInArrow(_window_rows(width, period, buckets), SENT).groupBy("b").applyInArrow(_meet(True), FOUND)
-    spans = found.groupBy("k", "h").agg(F.collect_list("at").alias("at"))
+    found = near.mapInArrow(_window_rows(width, period, buckets), SENT).groupBy("b").applyInArrow(_meet(True, buckets), TOLD)
+    spans = found.groupBy("g").applyInArrow(_regroup, FOUND)
     marked = texts.join(firsts.hint("shuffle_hash"), ["k", "h"], "left").join(spans.hint("shuffle_hash"), ["k", "h"], "left")
     out = marked.select(F.nullif("k", F.lit(int(LAST))).alias("key"), "t", F.col("first").isNull().alias("copy"), "at")
     return out.mapInArrow(_keep_rows(width, digest), f"`{key}` long, n_words long, n_removed long, kept string")
