@@ -134,10 +134,12 @@ def slabs(batch: pa.RecordBatch, column: str, most: int = 2_000_000) -> Iterator
 
 def scatter(bucket: np.ndarray, *arrays: np.ndarray) -> Iterator[tuple[int, list[bytes]]]:
     """The rows of `arrays` dealt out by bucket, packed: (bucket, bytes of each array)."""
+    if not len(bucket):
+        return
     order = np.argsort(bucket, kind="stable")
     bucket = bucket[order]
     arrays = tuple(a[order] for a in arrays)
-    cuts = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(bucket) else np.zeros(0, int)
+    cuts = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]])
     for i, j in zip(cuts, np.r_[cuts[1:], len(bucket)], strict=True):
         yield int(bucket[i]), [a[i:j].tobytes() for a in arrays]
 
