@@ -238,7 +238,7 @@ def _digest_rows(size: int):
 OUT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
 
-def with_edits(df: DataFrame, key: str = "doc_id", text: str = "text", size: int = 12_000_000, partitions: int | None = None) -> DataFrame:
+def with_edits(df: DataFrame, key: str = "doc_id", text: str = "text", size: int = 4_000_000, partitions: int | None = None) -> DataFrame:
     """Fingerprints of every text and of its edited text, and their likeness (OUT).
 
     The edited text is the text with its last half replaced by the start of the next document, by descending key; the
