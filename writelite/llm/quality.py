@@ -14,6 +14,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from writelite.llm.common import lowest
+
 TRAIN_ROWS, TREES, DEPTH, SHRINK, BINS, LASSO = 20_000, 40, 3, 0.2, 32, 0.002
 THRESHOLD = 0.3
 
@@ -177,7 +179,7 @@ def fit(df: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text
     The keys of the sample are broadcast: at most `rows` of them.
     """
     known = labels.select(F.col(key).alias("__k"), F.col(label).cast("int").alias("__y")).where("__k IS NOT NULL AND __y IN (0, 1)")
-    some = known.where(~held_out(F.col("__k"))).groupBy("__k").agg(F.max("__y").alias("__y")).orderBy(F.xxhash64("__k")).limit(rows)
+    some = lowest(known.where(~held_out(F.col("__k"))).groupBy("__k").agg(F.max("__y").alias("__y")), "__k", rows)
     stats = statistics(F.col(text))
     seen = df.where(F.col(text).isNotNull()).join(F.broadcast(some), F.col(key) == F.col("__k")).select("__k", F.col("__y").cast("double").alias("__y"), *[c.cast("double").alias(n) for n, c in stats.items()])
     got = seen.limit(2 * rows).toPandas().sort_values(["__k", *stats]).reset_index(drop=True)
