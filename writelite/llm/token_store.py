@@ -32,7 +32,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from writelite.llm.common import BYTE, ROLLING, bucket_count, shared_dir, stored, total_bytes
+from writelite.llm.common import BYTE, ROLLING, bucket_count, lowest, shared_dir, stored, total_bytes
 
 VOCABULARY = "word_bpe_49k.json"
 SAMPLE_DOCS, SAMPLE_BYTES, DICT_BYTES, LEVEL, BLOCK_BYTES = 512, 4096, 32_768, 3, 4_000_000
@@ -241,7 +241,7 @@ def write(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | No
     stamp = hashlib.sha256(file.encode()).hexdigest()
     enc, sent = encoder(file, stamp), spark.sparkContext.broadcast(file)
     rows = df.select(F.col(key).cast("long").alias("k"), F.coalesce(F.col(text), F.lit("")).alias("t"))
-    some = rows.where(F.octet_length("t").between(1, SAMPLE_BYTES)).orderBy(F.xxhash64("k"), "t").limit(SAMPLE_DOCS).collect()
+    some = lowest(rows.where(F.octet_length("t").between(1, SAMPLE_BYTES)), "k", SAMPLE_DOCS, "t").collect()
     dictionary = train_dictionary([x.astype(enc.kind).tobytes() for x in enc.encode_batch([r["t"] for r in some])])
     n = bucket_count(spark, total_bytes(rows, "t"), shard_bytes)
     found = rows.agg(F.percentile_approx("k", [i / n for i in range(1, n)], 10 * n + 1000)).first()[0] if n > 1 else None
