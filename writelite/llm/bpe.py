@@ -53,11 +53,17 @@ def boundaries(pattern: str, piece: str) -> list[int]:
     return [m.start() for m in regex.finditer(pattern, piece) if m.start() and not piece[m.start() - 1].isspace()]
 
 
-def _encode_rows(ranks: Broadcast, pattern: str, column: str):
+def narrow(enc: tiktoken.Encoding) -> str:
+    """The type that ids have while they are exchanged."""
+    return "<u2" if enc.max_token_value < 1 << 16 else "<u4"
+
+
+def _encode_rows(ranks: Broadcast, pattern: str, column: str, packed: bool):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoding(ranks.value, pattern)
+        kind = narrow(enc) if packed else "<u4"
         for batch in batches:
-            ids = [enc.encode_to_numpy(t or "", disallowed_special=()).astype("<u4").tobytes() for t in batch.column(column).to_pylist()]
+            ids = [enc.encode_to_numpy(t or "", disallowed_special=()).astype(kind).tobytes() for t in batch.column(column).to_pylist()]
             at = batch.schema.get_field_index(column)
             yield batch.set_column(at, pa.field("ids", pa.binary()), pa.array(ids, pa.binary()))
 
@@ -73,15 +79,20 @@ def _split_rows(pattern: str, chunk: int, overlap: int):
                 heads.append([start, *(start + b for b in found if b < overlap)])
                 tails.append([start + b for b in found if chunk <= b < chunk + overlap] if len(piece) == chunk + overlap else [start + b for b in found if b >= chunk])
             kind = pa.list_(pa.int64())
-            yield batch.append_column("__head", pa.array(heads, kind)).append_column("__tail", pa.array(tails, kind))
+            yield pa.RecordBatch.from_arrays([batch.column("__h"), batch.column("__len"), batch.column("__at"), pa.array(heads, kind), pa.array(tails, kind)], names=["__h", "__len", "__at", "__head", "__tail"])
 
     return go
 
 
-def _join_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        at = batch.schema.get_field_index("ids")
-        yield batch.set_column(at, pa.field("ids", pa.binary()), pa.array([b"".join(x) for x in batch.column(at).to_pylist()], pa.binary()))
+def _join_rows(ranks: Broadcast, pattern: str):
+    def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kind = narrow(encoding(ranks.value, pattern))
+        for batch in batches:
+            at = batch.schema.get_field_index("ids")
+            ids = [np.frombuffer(b"".join(x), kind).astype("<u4").tobytes() for x in batch.column(at).to_pylist()]
+            yield batch.set_column(at, pa.field("ids", pa.binary()), pa.array(ids, pa.binary()))
+
+    return go
 
 
 def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | None = None, pattern: str = public_tokenizers.PATTERN, chunk: int = CHUNK, overlap: int = OVERLAP) -> DataFrame:
@@ -97,25 +108,28 @@ def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
     rows = df.select(F.col(key).alias("__k"), F.coalesce(F.col(text), F.lit("")).alias("__t"))
     kind = dict(rows.dtypes)["__k"]
     length = F.length("__t")
-    short = rows.where(length <= chunk).mapInArrow(_encode_rows(ranks, pattern, "__t"), f"__k {kind}, ids binary")
-
-    # Equal rows are one text that is given as often at the end, so a text is named by its key and its hash.
-    whole = rows.where(length > chunk).withColumn("__h", F.xxhash64("__t")).groupBy("__k", "__h", "__t").agg(F.count(F.lit(1)).alias("__n"))
-    pieces = whole.select("__k", "__h", "__n", length.alias("__len"), "__t", F.explode(F.sequence(F.lit(0), length - 1, F.lit(chunk))).alias("__at"))
-    pieces = pieces.select("__k", "__h", "__n", F.col("__len").cast("long"), F.col("__at").cast("long"), F.substring("__t", F.col("__at") + 1, F.lit(chunk + overlap)).alias("__piece")).repartition("__k", "__h", "__at")
-    schema = f"__k {kind}, __h long, __n long, __len long, __at long, __piece string"
-    ends = pieces.mapInArrow(_split_rows(pattern, chunk, overlap), schema + ", __head array<long>, __tail array<long>")
-    along, all_ = W.partitionBy("__k", "__h").orderBy("__at"), W.partitionBy("__k", "__h")
+    short = rows.where(length <= chunk).mapInArrow(_encode_rows(ranks, pattern, "__t", False), f"__k {kind}, ids binary")
+
+    # A long text is named by a digest of its key and itself; equal rows are one text that is given as often at the end.
+    named = rows.where(length > chunk).withColumn("__h", F.md5(F.concat(F.coalesce(F.concat(F.lit("k"), F.col("__k").cast("string")), F.lit("n")), F.lit("|"), "__t")))
+    names = named.groupBy("__h").agg(F.first("__k").alias("__k"), F.count(F.lit(1)).alias("__n"))
+    pieces = named.select("__h", length.cast("long").alias("__len"), "__t", F.explode(F.sequence(F.lit(0), length - 1, F.lit(chunk))).alias("__at"))
+    pieces = pieces.select("__h", "__len", F.col("__at").cast("long").alias("__at"), F.substring("__t", F.col("__at") + 1, F.lit(chunk + overlap)).alias("__piece"))
+    # One exchange of the pieces serves the pre-tokens and, once the cuts are known, the encoding.
+    dealt = pieces.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "__h", "__at").dropDuplicates(["__h", "__at"])
+    ends = dealt.mapInArrow(_split_rows(pattern, chunk, overlap), "__h string, __len long, __at long, __head array<long>, __tail array<long>")
+    along, all_ = W.partitionBy("__h").orderBy("__at"), W.partitionBy("__h")
     meet: Column = F.array_min(F.array_intersect("__tail", F.lead("__head").over(along)))
-    last = F.col("__at") + chunk >= F.col("__len")
-    cuts = ends.withColumn("__cut", F.when(last, F.col("__len")).otherwise(meet))
-    cuts = cuts.withColumn("__whole", F.max(F.col("__cut").isNull()).over(all_)).withColumn("__from", F.coalesce(F.lag("__cut").over(along), F.lit(0)))
+    cuts = ends.withColumn("__cut", F.when(F.col("__at") + chunk >= F.col("__len"), F.col("__len")).otherwise(meet))
+    cuts = cuts.select("__h", "__at", "__cut", F.max(F.col("__cut").isNull()).over(all_).alias("__whole"), F.coalesce(F.lag("__cut").over(along), F.lit(0)).alias("__from"))
+    met = dealt.join(cuts.hint("shuffle_hash"), ["__h", "__at"])
     own = F.substring("__piece", (F.col("__from") - F.col("__at") + 1).cast("int"), (F.col("__cut") - F.col("__from")).cast("int"))
-    cuts = cuts.select("__k", "__h", "__n", "__at", F.when(F.col("__whole"), 0).otherwise(F.col("__at")).alias("__g"), F.when(F.col("__whole"), F.substring("__piece", 1, chunk)).otherwise(own).alias("__t"))
-    texts = cuts.groupBy("__k", "__h", "__n", "__g").agg(F.array_sort(F.collect_list(F.struct("__at", "__t"))).alias("__p")).select("__k", "__h", "__n", "__g", F.array_join("__p.__t", "").alias("__t"))
-    parts = texts.repartition("__k", "__h", "__g").mapInArrow(_encode_rows(ranks, pattern, "__t"), f"__k {kind}, __h long, __n long, __g long, ids binary")
-    joined = parts.groupBy("__k", "__h", "__n").agg(F.array_sort(F.collect_list(F.struct("__g", "ids"))).alias("p")).select("__k", F.col("p.ids").alias("ids"), "__n")
-    long = joined.mapInArrow(_join_rows, f"__k {kind}, ids binary, __n long").select("__k", "ids", F.explode(F.sequence(F.lit(1), F.col("__n")))).select("__k", "ids")
+    apart = met.where(~F.col("__whole")).select("__h", "__at", own.alias("__t"))
+    at_once = met.where("__whole").groupBy("__h").agg(F.array_sort(F.collect_list(F.struct("__at", F.substring("__piece", 1, chunk).alias("t")))).alias("p"))
+    texts = apart.unionByName(at_once.select("__h", F.lit(0).cast("long").alias("__at"), F.array_join("p.t", "").alias("__t")))
+    parts = texts.mapInArrow(_encode_rows(ranks, pattern, "__t", True), "__h string, __at long, ids binary")
+    joined = parts.groupBy("__h").agg(F.array_sort(F.collect_list(F.struct("__at", "ids"))).alias("p")).join(names, "__h").select("__k", F.col("p.ids").alias("ids"), "__n")
+    long = joined.mapInArrow(_join_rows(ranks, pattern), f"__k {kind}, ids binary, __n long").select("__k", "ids", F.explode(F.sequence(F.lit(1), F.col("__n")))).select("__k", "ids")
     return short.unionByName(long).withColumnRenamed("__k", key)
 
 
