@@ -22,7 +22,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from writelite.llm.common import slabs
+
 CHUNK, OVERLAP = 16_384, 512
+#: Bytes of text that a worker encodes before it hands the ids on.
+SLAB = 4_000_000
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 _cached: dict[str, tiktoken.Encoding] = {}
 
@@ -62,7 +66,7 @@ def _encode_rows(ranks: Broadcast, pattern: str, column: str, packed: bool):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoding(ranks.value, pattern)
         kind = narrow(enc) if packed else "<u4"
-        for batch in batches:
+        for batch in (part for b in batches for part in slabs(b, column, SLAB)):
             ids = [enc.encode_to_numpy(t or "", disallowed_special=()).astype(kind).tobytes() for t in batch.column(column).to_pylist()]
             at = batch.schema.get_field_index(column)
             yield batch.set_column(at, pa.field("ids", pa.binary()), pa.array(ids, pa.binary()))
@@ -136,7 +140,7 @@ def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
 def _decode_rows(ranks: Broadcast, pattern: str, digest: bool):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoding(ranks.value, pattern)
-        for batch in batches:
+        for batch in (b.slice(i, 500) for b in batches for i in range(0, len(b), 500)):
             out, packed = [], batch.column("ids").to_pylist()
             for x in packed:
                 raw = enc.decode_bytes(np.frombuffer(x or b"", dtype="<u4").tolist())
