@@ -118,16 +118,28 @@ def _low_rows(buckets: int):
     return go
 
 
-def _count_low(table: pa.Table) -> pa.Table:
-    """How many of each document's shingles occur elsewhere, as far as this bucket knows."""
-    h, k, done = gather(table, "hash", "<u8"), gather(table, "k", "<i8"), gather(table, "done", "u1")
-    p = np.argsort(h, kind="stable")
-    _, n = runs(h[p])
-    again = p[np.repeat(n > 1, n)]
-    met, told = k[again[done[again] == 0]], gather(table, "fk", "<i8")
-    keys, back = np.unique(np.concatenate([met, told]), return_inverse=True)
-    weights = np.concatenate([np.ones(len(met), np.int64), gather(table, "fn", "<i8")])
-    return pa.table({"k": pa.array(keys, pa.int64()), "found": pa.array(np.bincount(back, weights, len(keys)).astype(np.int64), pa.int64())})
+def _count_low(groups: int):
+    """How many of each document's shingles occur elsewhere, as far as this bucket knows; packed by groups of documents."""
+
+    def go(table: pa.Table) -> pa.Table:
+        h, k, done = gather(table, "hash", "<u8"), gather(table, "k", "<i8"), gather(table, "done", "u1")
+        p = np.argsort(h, kind="stable")
+        _, n = runs(h[p])
+        again = p[np.repeat(n > 1, n)]
+        met, told = k[again[done[again] == 0]], gather(table, "fk", "<i8")
+        keys, back = np.unique(np.concatenate([met, told]), return_inverse=True)
+        weights = np.concatenate([np.ones(len(met), np.int64), gather(table, "fn", "<i8")])
+        found = np.bincount(back, weights, len(keys)).astype("<i8")
+        rows = list(scatter(keys % groups, keys, found))
+        return pa.table({"g": pa.array([g for g, _ in rows], pa.int32()), **{c: pa.array([x[i] for _, x in rows], pa.binary()) for i, c in enumerate(("ks", "found"))}})
+
+    return go
+
+
+def _sum_low(table: pa.Table) -> pa.Table:
+    keys, back = np.unique(gather(table, "ks", "<i8"), return_inverse=True)
+    found = np.bincount(back, gather(table, "found", "<i8"), len(keys)).astype(np.int64)
+    return pa.table({"k": pa.array(keys, pa.int64()), "found": pa.array(found, pa.int64())})
 
 
 def _group_lists(buckets: int):
@@ -283,7 +295,7 @@ def search(df: DataFrame, key: str = "doc_id", text: str = "text", width: int =
     total = signed.agg(F.sum(F.octet_length("low") / 8)).first()[0] or 0
     buckets = bucket_count(spark, int(total), 3_000_000)
     low = alone.select("k", "low").mapInArrow(_low_rows(buckets), "b int, hash binary, k binary, done binary, fk binary, fn binary")
-    found = low.groupBy("b").applyInArrow(_count_low, "k long, found long").groupBy("k").agg(F.sum("found").alias("found"))
+    found = low.groupBy("b").applyInArrow(_count_low(buckets), "g int, ks binary, found binary").groupBy("g").applyInArrow(_sum_low, "k long, found long")
     t = F.floor((4 * F.col("n") + 4) / 5)
     few = signed.where("k IS NOT NULL AND n > 0").groupBy("same").agg(F.min(F.struct("k", "n")).alias("x")).select("x.k", "x.n")
     left = stored(few.join(found, "k").where(F.col("found") >= 1 + F.floor(t / 10)).select(F.col("k").alias("s"), "n"), "shingle-survivors")
@@ -329,8 +341,8 @@ def keep_one(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFram
 
     Repeated rows of a key that stays are reduced to one.
     """
-    chosen = classes(df, key, text).where(F.col(key) == F.col("component_id")).select(F.col(key).alias("__k")).distinct()
-    stay = df.join(chosen, F.col(key) == F.col("__k"), "left_semi").dropDuplicates([key])
+    chosen = classes(df, key, text).where(F.col(key) == F.col("component_id")).select(F.col(key).alias("__class_of_one")).distinct()
+    stay = df.join(chosen, F.col(key) == F.col("__class_of_one"), "left_semi").dropDuplicates([key])
     return stay.unionByName(df.where(F.col(key).isNull()))
 
 
