@@ -6,6 +6,7 @@ b if t/(2-t) <= a/b <= (2-t)/t, so templates outside that size bound are pruned
 
 from __future__ import annotations
 
+import math
 import re
 
 from pyspark.sql import Column, DataFrame
@@ -37,6 +38,30 @@ def bigrams(text: str) -> list[str]:
     return sorted({f"{a} {b}" for a, b in zip(words, words[1:], strict=False)})
 
 
+#: Words of ordinary prose, which tell least.
+COMMON = frozenset("a an and any as at be by can file for found from in is it not of on or that the this to under use which with without work you".split())
+
+
+def telling_words(templates: dict[str, str], dice: float) -> list[str]:
+    """Words of which every unit that reaches `dice` against some template holds one at least, long words first.
+
+    >>> telling_words({"x": "Released under the MIT License."}, 0.8)
+    ['released', 'license']
+    """
+    out: list[str] = []
+    for t in templates.values():
+        grams = bigrams(t)
+        wanted = len(grams) - math.ceil(dice * len(grams) / (2 - dice) - 1e-9) + 1
+        hit: set[str] = {g for g in grams if set(g.split()) & set(out)}
+        for w in sorted({w for g in grams for w in g.split()}, key=lambda w: (w in COMMON, -len(w), [-ord(c) for c in w])):
+            if len(hit) >= wanted:
+                break
+            if w not in out:
+                out.append(w)
+                hit |= {g for g in grams if w in g.split()}
+    return out
+
+
 def _bounds(templates: dict[str, str], dice: float) -> tuple[int, int]:
     sizes = [len(bigrams(t)) for t in templates.values()]
     return int(min(sizes) * dice / (2 - dice)), int(max(sizes) * (2 - dice) / dice) + 1
@@ -53,11 +78,14 @@ def scan(df: DataFrame, key: str = "doc_id", text: str = "text", templates: dict
     low, high = _bounds(templates, dice)
     t = F.col("__t")
     rows = df.select(F.col(key).alias("__k"), F.coalesce(F.col(text), F.lit("")).alias("__t"))
+    telling = telling_words(templates, dice)
+    holds = lambda x: x.rlike(f"(?:^|[^a-z0-9])(?:{'|'.join(telling)})(?:$|[^a-z0-9])")
     units = F.array_distinct(F.concat(F.array(t), F.split(t, r"\n[ \t\r]*\n"), F.split(t, "\n")))
     unit = F.trim(F.regexp_replace(F.lower("__u"), "[^a-z0-9]+", " "))
     # Distinct bigrams are at most the blanks of the normalised unit; a unit of fewer is pruned before it is cut up.
     # A unit of more words than bigrams may repeat itself, so nothing is pruned above by words.
-    cut = rows.select("__k", F.explode(units).alias("__u")).select("__k", unit.alias("__u")).where(F.length("__u") - F.length(F.replace("__u", F.lit(" "), F.lit(""))) >= low)
+    some = rows.withColumn("__t", F.lower("__t")).where(holds(F.col("__t")))
+    cut = some.select("__k", F.explode(units).alias("__u")).where(holds(F.col("__u"))).select("__k", unit.alias("__u")).where(F.length("__u") - F.length(F.replace("__u", F.lit(" "), F.lit(""))) >= low)
     pair: Column = F.zip_with(F.slice("__w", 1, F.size("__w") - 1), F.slice("__w", 2, F.size("__w") - 1), lambda a, b: F.concat(a, F.lit(" "), b))
     grams = cut.select("__k", F.split("__u", " ").alias("__w")).where(F.size("__w") > 1).select("__k", F.array_distinct(pair).alias("__g")).where(F.size("__g").between(low, high))
     table = spark.createDataFrame([(k, bigrams(v)) for k, v in sorted(templates.items())], "name string, grams array<string>").collect()
