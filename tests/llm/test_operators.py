@@ -265,6 +265,14 @@ def test_lines(spark, odd, none):
     assert lines.clean(odd).columns == [*(c for c in odd.columns if c != "n_lines"), "n_lines", "n_dropped"]
 
 
+def test_lines_copies(spark):
+    """A host where a third of the pages are copies of one: its body stays on every copy, the line of all pages goes."""
+    rows = [(i, f"own {i}\nfoot", "a") for i in range(20)] + [(i, "body one\nbody two\nfoot", "a") for i in range(20, 30)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    got = {r.doc_id: (r.text, r.n_dropped) for r in lines.clean(df).collect()}
+    assert got == {**{i: (f"own {i}", 1) for i in range(20)}, **{i: ("body one\nbody two", 1) for i in range(20, 30)}}
+
+
 def test_licenses(odd, none):
     got = {(r.doc_id, r.licence) for r in licenses.scan(odd).collect()}
     assert (12, "MIT-notice") in got and (4, None) in got

@@ -21,12 +21,13 @@ QUERIES = {
     "op5_token_store": lambda spark, d: token_store.report(documents(spark, d)),
     "op6_substring_dedup": lambda spark, d: substring.report(documents(spark, d)),
     "op7_line_dedup": lambda spark, d: lines.report(documents(spark, d)),
+    "op7_line_dedup_distinct": lambda spark, d: lines.report(documents(spark, d), distinct=True),
     "op8_decontamination": lambda spark, d: decontam.report(documents(spark, d), _table(spark, d, "benchmark")),
     "op9_sharding": lambda spark, d: sharding.shard(documents(spark, d)),
     "op10_fingerprints": lambda spark, d: fingerprint.with_edits(documents(spark, d)),
     "pipeline": corpus_pipeline.run,
 }
 
-SQL = {"op4_license_scan": licenses.report_sql(), "op7_line_dedup": lines.REPORT_SQL}
+SQL = {"op4_license_scan": licenses.report_sql(), "op7_line_dedup": lines.REPORT_SQL, "op7_line_dedup_distinct": lines.DISTINCT_SQL}
 if corpus_pipeline.ORACLE_SQL:
     SQL["pipeline"] = corpus_pipeline.ORACLE_SQL
