@@ -331,6 +331,27 @@ def test_near_groups(spark):
     assert got == {0: 0, 1: 0}
 
 
+def test_near_pairs_recall(spark):
+    """Texts over few letters, whose bands have many members and many near pairs besides those with the least: pairs against brute force, in tiles too."""
+    import random
+
+    rng, texts = random.Random(12), []
+    for _ in range(150):
+        texts.append("".join(rng.choices("eat", [15, 3, 2], k=400)))
+    for i in range(100, 150):
+        x = list(texts[i])
+        x[300 + rng.randrange(100)] = "z"
+        texts.append("".join(x))
+    prints = fingerprint.fingerprints([fingerprint.code_points(t) for t in texts])
+    want = {(i, j): v for i, a in enumerate(prints) for j, b in enumerate(prints) if i < j for v in [fingerprint.likeness(a, b)] if v >= 0.7}
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    for tile in (512, 16):
+        rows = fingerprint.near_pairs(df, tile=tile).collect()
+        got = {(r.a, r.b): r.likeness for r in rows}
+        assert len(got) == len(rows) and got == {p: want[p] for p in got}
+        assert len(want) > 1000 and len(got) >= 0.95 * len(want)
+
+
 def test_components(spark):
     from writelite.llm.common import components
 

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from writelite.llm.common import bucket_count, components, mix, total_bytes
+from writelite.llm.common import bucket_count, components, mix, stored, total_bytes
 
 SAMPLES = 64
 U64 = np.uint64
@@ -282,44 +282,108 @@ def _fingerprint_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBa
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(made, pa.string())], names=["k", "t", "fingerprint"])
 
 
-def near_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", bands: int = 24, digits: int = 6, least: float = 0.7) -> DataFrame:
+def _padded(prints: list[str], fill: int) -> tuple[np.ndarray, np.ndarray]:
+    lens = np.array([len(f) for f in prints], dtype=np.int64)
+    out = np.full((len(prints), int(lens.max(initial=0))), fill, dtype=np.uint8)
+    for i, f in enumerate(prints):
+        out[i, : len(f)] = np.frombuffer(f.encode(), np.uint8)
+    return out, lens
+
+
+def _likeness_of(x: np.ndarray, m: int, others: np.ndarray, lens: np.ndarray, weights: np.ndarray, total: np.ndarray) -> np.ndarray:
+    """likeness() of one padded fingerprint of m digits with many, whose padding is another value."""
+    w = min(m, others.shape[1])
+    most = total[np.maximum(lens, m)]
+    return np.where(most > 0, ((others[:, :w] == x[:w]) @ weights[:w]) / np.maximum(most, 1.0), 1.0)
+
+
+def near_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", bands: int = 24, digits: int = 6, least: float = 0.7, tile: int = 512, salts: int = 16) -> DataFrame:
     """Pairs (a, b, likeness) of near texts: fingerprints that agree on a band of sampled digits, then verified.
 
     A band is `digits` digits drawn from the two octaves below the last whole one, so texts of like length share its
     places. Equal texts stand as one (their least key), so copies never multiply. Pairs are of different texts.
+
+    All pairs of a band's members are verified. A band of more than `tile` members is cut into blocks by a hash, and
+    each two blocks meet in a tile of their own, so that no task gets a whole hot band; the work still grows with the
+    square of its members. A pair is told by the first band that it shares only.
     """
     spark = df.sparkSession
     one = df.select(F.col(key).cast("long").alias("k"), F.coalesce(F.col(text), F.lit("")).alias("t")).groupBy("t").agg(F.min("k").alias("k")).where("k IS NOT NULL")
-    made = one.select("k", "t").mapInArrow(_fingerprint_rows, "k long, t string, fingerprint string").select("k", "fingerprint")
+    made = one.select("k", "t").mapInArrow(_fingerprint_rows, "k long, t string, fingerprint string")
+    made = stored(made.select("k", F.xxhash64("t").alias("h"), "fingerprint"), "fingerprints")
     tables = [[sorted({int(x) for x in mix(np.arange(digits, dtype=U64) + U64(o * 7919 + b * 104729)) % U64(len(sampled_steps(o)))}) for b in range(bands)] for o in range(40)]
     starts = np.cumsum([0, *[len(sampled_steps(o)) for o in range(40)]])
 
+    def whole_of(n):
+        return np.searchsorted(starts, n, side="right") - 1
+
     def band_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ks, fs, keys = [], [], []
-            for k, f in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                whole = int(np.searchsorted(starts, len(f), side="right")) - 1
+            at, keys = [], []
+            for i, f in enumerate(batch.column(2).to_pylist()):
+                whole = int(whole_of(len(f)))
                 for o in range(max(whole - 2, 0), whole):
                     for b, places in enumerate(tables[o]):
-                        ks.append(k)
-                        fs.append(f)
+                        at.append(i)
                         keys.append(f"{o}.{b}." + "".join(f[starts[o] + p] for p in places))
-            yield pa.RecordBatch.from_arrays([pa.array(ks, pa.int64()), pa.array(keys, pa.string())], names=["k", "band"])
-
-    banded = made.mapInArrow(band_rows, "k long, band string").distinct()
-    # A band's members are each compared with the least of them; chains of such links make the groups.
-    lead = banded.groupBy("band").agg(F.min("k").alias("a"))
-    pairs = banded.join(lead, "band").where("k <> a").select("a", F.col("k").alias("b")).distinct()
+            rows = pa.array(at, pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows), pa.array(keys, pa.string())], names=["k", "h", "band"])
+
+    banded = made.mapInArrow(band_rows, "k long, h long, band string")
+    salt = F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt")
+    sizes = banded.groupBy("band").agg(F.ceil(F.count(F.lit(1)) / tile).cast("int").alias("blocks"), F.count(F.lit(1)).alias("n")).where("n > 1").select("band", "blocks", salt)
+    met = banded.withColumn("salt", F.pmod("h", F.lit(salts)).cast("int")).join(sizes, ["band", "salt"]).withColumn("block", F.pmod(F.xxhash64("k", "h"), F.col("blocks")).cast("int"))
+    met = met.select("k", "h", "band", "block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
+    met = met.select("k", "h", "band", "block", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"))
+
+    def settle(rows: list[tuple]) -> pa.RecordBatch | None:
+        """The near pairs of a tile: between its two blocks, or within its only one."""
+        band, i, j = rows[0][:3]
+        octave, number = (int(v) for v in band.split(".")[:2])
+        same = i == j
+        left = rows if same else [r for r in rows if r[3] == i]
+        right = rows if same else [r for r in rows if r[3] == j]
+        if not left or not right:
+            return None
+        (x, lx), (y, ly) = _padded([r[6] for r in left], 0), _padded([r[6] for r in right], 1)
+        weights = _weights(max(x.shape[1], y.shape[1]))
+        total = np.concatenate([[0.0], np.cumsum(weights)])
+        kx, ky = (np.array([r[4] for r in side], dtype=np.int64) for side in (left, right))
+        wx, wy = whole_of(lx), whole_of(ly)
+        out = []
+        for r in range(len(left)):
+            at = r + 1 if same else 0
+            near = _likeness_of(x[r], int(lx[r]), y[at:], ly[at:], weights, total)
+            hit = at + np.flatnonzero((near >= least) & (ky[at:] != kx[r]))
+            first = np.ones(len(hit), dtype=bool)
+            for o in range(max(int(wx[r]) - 2, 0), min(int(wx[r]), octave + 1)):
+                shared = (o >= wy[hit] - 2) & (o < wy[hit])
+                for places in tables[o][: number if o == octave else bands]:
+                    p = starts[o] + np.array(places)
+                    if shared.any() and p[-1] < y.shape[1]:
+                        first &= ~(shared & (y[np.ix_(hit, p)] == x[r, p]).all(axis=1))
+            for c in hit[first]:
+                out.append((min(kx[r], ky[c]), max(kx[r], ky[c]), near[c - at]))
+        if not out:
+            return None
+        return pa.RecordBatch.from_arrays([pa.array([v[n] for v in out], t) for n, t in enumerate((pa.int64(), pa.int64(), pa.float64()))], names=["a", "b", "likeness"])
 
     def verified(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple] = []
         for batch in batches:
-            x = [likeness(a, b) for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)]
-            keep = pa.array([v >= least for v in x], pa.bool_())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(x, pa.float64())], names=["a", "b", "likeness"]).filter(keep)
+            for row in zip(*[batch.column(c).to_pylist() for c in ("band", "i", "j", "block", "k", "h", "fingerprint")], strict=True):
+                if held and row[:3] != held[-1][:3]:
+                    if (out := settle(held)) is not None:
+                        yield out
+                    held = []
+                held.append(row)
+        if held and (out := settle(held)) is not None:
+            yield out
 
-    left = made.select(F.col("k").alias("a"), F.col("fingerprint").alias("fa"))
-    right = made.select(F.col("k").alias("b"), F.col("fingerprint").alias("fb"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "fa", "fb").mapInArrow(verified, "a long, b long, likeness double")
+    tiles = met.join(made, ["k", "h"])
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    dealt = tiles.repartition(parts, "band", "i", "j").sortWithinPartitions("band", "i", "j").select("band", "i", "j", "block", "k", "h", "fingerprint")
+    return dealt.mapInArrow(verified, "a long, b long, likeness double").groupBy("a", "b").agg(F.max("likeness").alias("likeness"))
 
 
 def near_groups(df: DataFrame, **options) -> DataFrame:
