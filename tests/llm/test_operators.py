@@ -324,6 +324,32 @@ def test_fingerprint_likeness(docs):
     assert sum(a > b for a, b in zip(edited, nxt, strict=True)) > 0.95 * len(rows)
 
 
+def test_long_texts_fall_back_into_step():
+    """The cost of an edit near the start of a long text is paid once, not again in each part of it; the median of draws."""
+    import random
+
+    rng = random.Random(5)
+    letters = "etaoinshrdlu "
+    for size in (32768, 50000):
+        inserted, deleted = [], []
+        for _ in range(9):
+            t = "".join(rng.choices(letters, k=size))
+            texts = [t, t[:200] + "".join(rng.choices(letters, k=10)) + t[200:], t[:200] + t[210:]]
+            a, b, c = fingerprint.fingerprints([fingerprint.code_points(x) for x in texts])
+            inserted.append(fingerprint.likeness(a, b))
+            deleted.append(fingerprint.likeness(a, c))
+        assert sorted(inserted)[4] > 0.94 and sorted(deleted)[4] > 0.94, (size, inserted, deleted)
+
+
+def test_walks_alone_and_together():
+    """Texts of 0 to 30,000 characters have the same fingerprints walked side by side as one by one."""
+    import random
+
+    rng = random.Random(8)
+    points = [fingerprint.code_points("".join(rng.choices("abc déф😀", k=n))) for n in [0, 1, 2, 30000, 4096, 4097, 12288, 12289, *range(5, 8000, 190)]]
+    assert fingerprint.fingerprints(points) == [fingerprint.fingerprints([x])[0] for x in points]
+
+
 def test_near_groups(spark):
     base = "the quick brown fox jumps over the lazy dog and runs through the old forest again " * 6
     rows = [(0, base), (1, base.replace("lazy", "lazi", 1)), (2, "something else entirely, with no word in common " * 9), (3, base)]

@@ -25,18 +25,28 @@ U64 = np.uint64
 HEX = np.frombuffer(b"0123456789abcdef", dtype=np.uint8)
 
 
-BLOCK = 4096
+#: Steps whose bits are made at once, and the number of live walks from which they are stepped side by side.
+STEPS = 12288
+SIDE_BY_SIDE = 24
 STOPPED = 63
 
 
-@functools.lru_cache(maxsize=1)
-def _bits() -> np.ndarray:
-    """A random bit for each step of a block and each of 64 classes of characters; the class STOPPED never moves on."""
+def _step_hashes(part: int) -> np.ndarray:
+    """64 random bits for each of the STEPS steps of a part, one for each class of characters; STOPPED never moves on."""
     with np.errstate(over="ignore"):
-        h = mix(np.arange(3 * BLOCK, dtype=U64) * U64(0x9E3779B97F4A7C15) + U64(77))
-    out = ((h[:, None] >> np.arange(64, dtype=U64)) & U64(1)).astype(np.uint8)
-    out[:, STOPPED] = 0
-    return out
+        h = mix(np.arange(part * STEPS, (part + 1) * STEPS, dtype=U64) * U64(0x9E3779B97F4A7C15) + U64(77))
+    return h & ~(U64(1) << U64(STOPPED))
+
+
+@functools.lru_cache(maxsize=16)
+def _bits(part: int) -> np.ndarray:
+    """The bits of a part as a table of step and class."""
+    return ((_step_hashes(part)[:, None] >> np.arange(64, dtype=U64)) & U64(1)).astype(np.uint8)
+
+
+@functools.lru_cache(maxsize=16)
+def _scalar_bits(part: int) -> list[int]:
+    return _step_hashes(part).tolist()
 
 
 @functools.lru_cache(maxsize=64)
@@ -70,18 +80,10 @@ def _char_tables(c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.take(kinds, c, mode="clip"), np.take(digits, c, mode="clip")
 
 
-@functools.lru_cache(maxsize=1024)
-def _block_samples(block: int) -> tuple[np.ndarray, np.ndarray]:
-    """(step inside the block, place in the fingerprint) of the samples that fall into a block of a walk."""
-    low, high = 3 * BLOCK * block + 1, 3 * BLOCK * (block + 1) + 1
-    at, place, done = [], [], 0
-    for o in range(high.bit_length()):
-        w = sampled_steps(o)
-        inside = np.flatnonzero((w >= low) & (w < high))
-        at.append(w[inside] - low)
-        place.append(inside + done)
-        done += len(w)
-    return np.concatenate(at), np.concatenate(place)
+@functools.lru_cache(maxsize=1)
+def _all_samples() -> np.ndarray:
+    """The sampled steps of all octaves that a text can reach, from 0 on, in order of their place in a fingerprint."""
+    return np.concatenate([sampled_steps(o) for o in range(40)]) - 1
 
 
 @functools.lru_cache(maxsize=65536)
@@ -94,58 +96,65 @@ def _digits(n: int) -> int:
     return out
 
 
+def _walk_alone(kind: bytes, at: int, step: int, when: list[int]) -> list[int]:
+    """Where a walk that is at place `at` at a step stands at each later step of `when`."""
+    out, n = [], len(kind) - 1
+    for stop in when:
+        while step < stop and at < n:
+            part, lo = divmod(step, STEPS)
+            hi = min(lo + stop - step, STEPS)
+            for h in _scalar_bits(part)[lo:hi]:
+                at += (h >> kind[at]) & 1
+            step += hi - lo
+        out.append(at)
+        if at >= n:
+            step = stop
+    return out
+
+
 def fingerprints(texts: list[np.ndarray]) -> list[str]:
     """Fingerprints of texts given as arrays of code points.
 
-    A text longer than BLOCK walks in blocks, each from its own start, so that all walks go side by side in at most
-    3 * BLOCK steps. Equal texts have equal fingerprints whatever they are walked with.
+    Every text is one walk over all of it. Many walks go side by side, a step at a time; once fewer than SIDE_BY_SIDE
+    are left, each goes on by itself. Equal texts have equal fingerprints whatever they are walked with.
 
     >>> a = np.frombuffer("banana".encode("utf-32-le"), np.uint32)
     >>> fingerprints([a, a])[0] == fingerprints([a])[0]
     True
     """
-    owner = [(i, b) for i, t in enumerate(texts) for b in range(-(-len(t) // BLOCK))]
     out = [np.zeros(_digits(len(t)), dtype=np.uint8) for t in texts]
+    owner = sorted((i for i, t in enumerate(texts) if len(t)), key=lambda i: -len(texts[i]))
     if owner:
-        owner.sort(key=lambda x: -min(len(texts[x[0]]) - x[1] * BLOCK, BLOCK))
-        lens = np.array([min(len(texts[i]) - b * BLOCK, BLOCK) for i, b in owner], dtype=np.int64)
+        lens = np.array([len(texts[i]) for i in owner], dtype=np.int64)
         end = np.cumsum(lens + 1) - 1
         gap = np.zeros(1, np.uint32)
-        data = np.concatenate([x for i, b in owner for x in (texts[i][b * BLOCK : (b + 1) * BLOCK], gap)])
-        kind, digit = _char_tables(data)
+        kind, digit = _char_tables(np.concatenate([x for i in owner for x in (texts[i], gap)]))
         kind[end], digit[end] = STOPPED, 0
         at = end - lens
-        # Samples in order of their step: which walk they are of, and where its digit goes.
-        base = np.cumsum([0, *map(len, out)])
-        whose, when, where = [], [], []
-        blocks = np.array([b for _, b in owner])
-        for b in np.unique(blocks):
-            w = np.flatnonzero(blocks == b)
-            s, place = _block_samples(int(b))
-            live = s[None, :] < 3 * lens[w, None]
-            r, c = np.nonzero(live)
-            whose.append(w[r])
-            when.append(s[c])
-            where.append(np.array([base[owner[x][0]] for x in w])[r] + place[c])
-        when = np.concatenate(when)
-        order = np.argsort(when, kind="stable")
-        whose, where, when = np.concatenate(whose)[order], np.concatenate(where)[order], when[order]
-        cuts = np.searchsorted(when, np.arange(3 * int(lens[0]) + 1)).tolist()
-        made = np.zeros(int(base[-1]), dtype=np.uint8)
-        lives = np.searchsorted(-3 * lens, -np.arange(3 * int(lens[0])), side="left").tolist()
-        bits = _bits()
-        kinds, moves = np.empty(len(at), np.uint8), np.empty(len(at), np.uint8)
-        last, a, k, move = -1, at, kinds, moves
-        for s, live in enumerate(lives):
-            if live != last:
-                a, k, move, last = at[:live], kinds[:live], moves[:live], live
-            lo, hi = cuts[s], cuts[s + 1]
-            if hi > lo:
-                made[where[lo:hi]] = digit[at[whose[lo:hi]]]
-            np.take(kind, a, out=k, mode="clip")
-            np.take(bits[s], k, out=move, mode="clip")
-            np.add(a, move, out=a)
-        out = [made[i:j] for i, j in zip(base[:-1], base[1:], strict=True)]
+        begin = at.copy()
+        samples = _all_samples()
+        count = np.array([len(out[i]) for i in owner])
+        shared = 3 * int(lens[SIDE_BY_SIDE - 1]) if len(owner) >= SIDE_BY_SIDE else 0
+        place, step = 0, 0
+        while step < shared:
+            live = int(np.searchsorted(-3 * lens, -step, side="left"))
+            until = min(shared, 3 * int(lens[live - 1]), (step // STEPS + 1) * STEPS)
+            bits, a = _bits(step // STEPS), at[:live]
+            k, move = np.empty(live, np.uint8), np.empty(live, np.uint8)
+            for s in range(step, until):
+                if s == samples[place]:
+                    for w, d in enumerate(digit[a].tolist()):
+                        out[owner[w]][place] = d
+                    place += 1
+                np.take(kind, a, out=k, mode="clip")
+                np.take(bits[s % STEPS], k, out=move, mode="clip")
+                np.add(a, move, out=a)
+            step = until
+        for w in range(len(owner)):
+            if count[w] > place:
+                lo, hi = int(begin[w]), int(end[w])
+                went = _walk_alone(kind[lo : hi + 1].tobytes(), int(at[w]) - lo, step, samples[place : count[w]].tolist())
+                out[owner[w]][place : count[w]] = digit[lo + np.array(went)]
     return [HEX[x].tobytes().decode() for x in out]
 
 
