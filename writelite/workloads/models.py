@@ -200,8 +200,14 @@ def _fft_embeddings(spark: SparkSession, d: str) -> DataFrame:
     return _rounded(spectral.fft_groups(cells, "vec_id", 64, 4))
 
 
+def _fft_embeddings_all(spark: SparkSession, d: str) -> DataFrame:
+    cells = table(spark, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("idx", "x")).select("vec_id", F.col("idx").cast("long").alias("idx"), F.round(F.col("x").cast("double") * 1000).alias("re"))
+    return _rounded(spectral.fft_groups(cells, "vec_id", 64, 4))
+
+
 _FFT_EMBEDDINGS_SQL = """WITH s AS (SELECT vec_id, unnest(range(0, 64)) AS idx, unnest(list_transform(embedding, lambda x: round(x::DOUBLE * 1000))) AS re FROM embeddings WHERE vec_id < 200)
 SELECT vec_id, k::BIGINT AS idx, round(sum(re * cos(-2 * pi() / 64 * ((k * idx) % 64))), 2) + 0.0 AS re, round(sum(re * sin(-2 * pi() / 64 * ((k * idx) % 64))), 2) + 0.0 AS im FROM s, range(0, 64) t(k) GROUP BY vec_id, k"""
+_FFT_EMBEDDINGS_ALL_SQL = _FFT_EMBEDDINGS_SQL.replace(" WHERE vec_id < 200", "")
 
 
 def _roundtrip(spark: SparkSession, d: str) -> DataFrame:
@@ -277,8 +283,14 @@ def _gram(spark: SparkSession, d: str) -> DataFrame:
     return g.select("i", "j", (F.round("v", 6) + 0.0).alias("v"))
 
 
+def _gram_all(spark: SparkSession, d: str) -> DataFrame:
+    g = linalg.gram(table(spark, d, "embeddings"), "vec_id", "embedding")
+    return g.select("i", "j", (F.round("v", 6) + 0.0).alias("v"))
+
+
 _GRAM_SQL = """WITH e AS (SELECT vec_id, unnest(range(0, 64)) AS d, unnest(embedding)::DOUBLE AS x FROM embeddings WHERE vec_id < 128)
 SELECT a.vec_id AS i, b.vec_id AS j, round(sum(a.x * b.x), 6) + 0.0 AS v FROM e a JOIN e b USING (d) GROUP BY a.vec_id, b.vec_id"""
+_GRAM_ALL_SQL = _GRAM_SQL.replace(" WHERE vec_id < 128", "")
 
 
 def _product_ledger(spark: SparkSession, d: str) -> DataFrame:
@@ -314,12 +326,12 @@ QUERIES = {
     "cache_lru_dirty": lambda spark, d: pq.cache_run(trace(spark, d), CACHE, "lru_dirty"),
     "cache_opt_misses": lambda spark, d: pq.cache_run(trace(spark, d), CACHE, "opt"),
     "cache_competitive_check": _competitive, "parallel_time_table": _parallel_table, "work_stealing_bound": _stealing, "depth_first_bound": _depth_first, "cost_rollup": _rollup,
-    "fft_64": _fft(64, 4), "fft_256": _fft(256, 4), "fft_1024": _fft(1024, 16), "fft_nonsquare_128": _fft(128, 4), "fft_embeddings": _fft_embeddings,
+    "fft_64": _fft(64, 4), "fft_256": _fft(256, 4), "fft_1024": _fft(1024, 16), "fft_nonsquare_128": _fft(128, 4), "fft_embeddings": _fft_embeddings, "fft_embeddings_all": _fft_embeddings_all,
     "fft_standard": lambda spark, d: _rounded(spectral.fft_standard(signal(spark, d, 256), 256)), "dft_bruteforce": lambda spark, d: _rounded(spectral.dft_bruteforce(signal(spark, d, 256), 256)),
     "ntt_exact": _ntt, "fft_inverse_roundtrip": _roundtrip, "fft_parseval_check": _parseval, "fft_accuracy_check": _fft_accuracy, "fft_fused": _fft_fused, "fft_ledger": _fft_ledger,
     "matmul_naive": _product(linalg.matmul_naive, 64), "matmul_blocked": _product(linalg.matmul_blocked, 64, 16), "matmul_strips": _product(linalg.matmul_blocked, 64, 32, how="strips"),
     "matmul_replicated": _product(linalg.matmul_blocked, 64, 16, how="replicate"), "matmul_oblivious": _product(linalg.matmul_co, 64, 64, 4, 64), "matmul_quadrant": _product(linalg.matmul_quadrant, 64, 64, 1),
-    "gram_matrix": _gram, "matmul_ledger": _product_ledger, "matmul_expected_cost": _expected,
+    "gram_matrix": _gram, "gram_matrix_all": _gram_all, "matmul_ledger": _product_ledger, "matmul_expected_cost": _expected,
 }
 
 SQL = {
@@ -332,9 +344,9 @@ SQL = {
     "work_stealing_bound": f"SELECT p::BIGINT AS p, ({_Q1} + p * 8 * 100 * 16)::BIGINT AS bound FROM (VALUES (1), (8), (64)) t(p)",
     "depth_first_bound": f"SELECT p::BIGINT AS p, {_Q1}::BIGINT AS bound, (256 + p * 16 * 100)::BIGINT AS cache FROM (VALUES (1), (8), (64)) t(p)",
     "cost_rollup": _ROLLUP_SQL,
-    "fft_64": _dft_sql(64), "fft_256": _dft_sql(256), "fft_1024": _dft_sql(1024), "fft_nonsquare_128": _dft_sql(128), "fft_embeddings": _FFT_EMBEDDINGS_SQL, "fft_standard": _dft_sql(256), "dft_bruteforce": _dft_sql(256),
+    "fft_64": _dft_sql(64), "fft_256": _dft_sql(256), "fft_1024": _dft_sql(1024), "fft_nonsquare_128": _dft_sql(128), "fft_embeddings": _FFT_EMBEDDINGS_SQL, "fft_embeddings_all": _FFT_EMBEDDINGS_ALL_SQL, "fft_standard": _dft_sql(256), "dft_bruteforce": _dft_sql(256),
     "ntt_exact": _NTT_SQL, "fft_inverse_roundtrip": "SELECT event_id % 256 AS idx, sum(round(value * 100)::BIGINT)::BIGINT AS re FROM events GROUP BY 1",
     "fft_parseval_check": _ok_sql("parseval"), "fft_accuracy_check": _ok_sql("fft_accuracy"), "fft_fused": _ok_sql("fft_fused"),
     **dict.fromkeys(["matmul_naive", "matmul_blocked", "matmul_strips", "matmul_replicated", "matmul_oblivious", "matmul_quadrant"], _product_sql(64)),
-    "gram_matrix": _GRAM_SQL, "matmul_ledger": _PRODUCT_LEDGER_SQL,
+    "gram_matrix": _GRAM_SQL, "gram_matrix_all": _GRAM_ALL_SQL, "matmul_ledger": _PRODUCT_LEDGER_SQL,
 }
