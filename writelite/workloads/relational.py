@@ -90,6 +90,9 @@ plain("join_sort_merge", "orders lineitem", lambda o, l: _ol(o, l, "merge"), _OL
 plain("join_shuffle_hash", "orders customer", lambda o, u: o.join(u.hint("shuffle_hash"), c("o_custkey") == c("c_custkey")).groupBy("c_mktsegment").agg(n().alias("cnt")), "SELECT c_mktsegment, count(*)::BIGINT AS cnt FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
 for how in ("left", "right", "full"):
     plain(f"join_{how}", "documents labels", lambda x, y, how=how: x.where("doc_id % 3 > 0").select("doc_id", "lang").join(y.where("doc_id % 2 = 0").select("doc_id", "quality"), "doc_id", how), f"SELECT doc_id, lang, quality FROM (SELECT * FROM documents WHERE doc_id % 3 > 0) {how.upper()} JOIN (SELECT * FROM labels WHERE doc_id % 2 = 0) USING (doc_id)")
+for how in ("left", "right", "full"):
+    plain(f"join_{how}_all", "documents labels", lambda x, y, how=how: x.select("doc_id", "lang").join(y.select("doc_id", "quality"), "doc_id", how), f"SELECT doc_id, lang, quality FROM documents {how.upper()} JOIN labels USING (doc_id)")
+    plain(f"join_{how}_orders", "orders customer", lambda o, u, how=how: o.select("o_orderkey", "o_custkey").join(u.select("c_custkey", "c_mktsegment"), c("o_custkey") == c("c_custkey"), how), f"SELECT o_orderkey, o_custkey, c_custkey, c_mktsegment FROM orders {how.upper()} JOIN customer ON o_custkey = c_custkey")
 plain("join_semi", "customer orders", lambda u, o: u.join(o, c("c_custkey") == c("o_custkey"), "left_semi").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")
 plain("join_anti", "documents labels", lambda x, y: x.join(y, "doc_id", "left_anti").select("doc_id"), "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)")
 plain("join_nested_loop", "part nation", lambda p, m: p.join(F.broadcast(m.select("n_nationkey")), (c("p_size") > c("n_nationkey") * 2) & (c("n_nationkey") > 20)).select("p_partkey", "n_nationkey"), "SELECT p_partkey, n_nationkey FROM part JOIN nation ON p_size > n_nationkey * 2 AND n_nationkey > 20")
