@@ -27,3 +27,15 @@ def test_windows_cover_the_trace():
     t = [("R", i) for i in range(45)]
     whole, *parts = windows(t)
     assert whole == t and [x for p in parts for x in p] == t and max(map(len, parts)) == 14
+
+
+def test_pram_splitters_reach_the_high_keys(spark, monkeypatch):
+    """A sample larger than the driver's bound is thinned, not cut to its lowest keys."""
+    from writelite.operators import bucketing, sort
+
+    monkeypatch.setattr(bucketing, "MOST_SPLITTERS", 400)
+    df = spark.range(20000)
+    out = sort.pram_sample(df, ["id"], ["id"], "id", refine=False)
+    sizes = [r.writes // 4 for r in out.ledger.where("phase = 'sort'").collect()]
+    assert sum(sizes) == 20000 and max(sizes) < 4000
+    assert out.rows.where("pos <> id + 1").count() == 0 and out.rows.count() == 20000

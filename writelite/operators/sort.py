@@ -161,10 +161,12 @@ def _splitters(frame: DataFrame, big: dict[int, int], coin: list[str], mp: Machi
         out = {}
         for v, n in big.items():
             rows = frame.where(F.col("node") == v)
-            step, size = max(1, int(math.log2(n))), max(2, mp.M)
+            # Every log n-th key of a chunk, or fewer where the driver would get too many; chunks are longer then.
+            step = max(1, int(math.log2(n)), -(-n // int(0.9 * bucketing.MOST_SPLITTERS)))
+            size = max(2, mp.M, 8 * step)
             chunk = rows.withColumn("g", F.pmod(F.xxhash64("__key"), F.lit(max(1, n // size))))
             thin = chunk.withColumn("i", F.row_number().over(W.partitionBy("g").orderBy("__key"))).where(F.col("i") % step == 0)
-            out[v] = bucketing.evenly([tuple(r[0]) for r in thin.select("__key").orderBy("__key").limit(bucketing.MOST_SPLITTERS).collect()], planner.fan_out(n, mp) - 1)
+            out[v] = bucketing.evenly([tuple(r[0]) for r in thin.select("__key").orderBy("__key").collect()], planner.fan_out(n, mp) - 1)
         return out
     if len(big) == 1:
         (v, n), = big.items()
@@ -233,7 +235,7 @@ def em_merge(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Mach
 
 
 def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident: str, seed: int = 42, c: float = 4.0, refine: bool = True, place: str = "count") -> SortResult:
-    """PRAM sample sort: sample at rate 1/log n, every log n-th sampled key a splitter, locate, place, pack, sort buckets.
+    """PRAM sample sort: sample at rate 1/log n (less from about 2 million rows on, so that the driver takes the whole sample), every log n-th sampled key a splitter, locate, place, pack, sort buckets.
 
     place='random' puts rows into slots of arrays of c log^2 n by tries; 'count' packs by counts and prefix sums at once.
     refine splits every bucket twice more, deterministically. Costs are words, so B is 1.
@@ -243,7 +245,8 @@ def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident
     frame = df.withColumn("__key", total_order_key(df, keys))
     from writelite.operators.keys import portable_coin
 
-    sample = [tuple(r["k"]) for r in frame.where(portable_coin(coin, 1 / log, seed)).select(F.col("__key").alias("k")).orderBy("k").limit(bucketing.MOST_SPLITTERS).collect()]
+    rate = min(1 / log, bucketing.sample_rate(n, int(0.9 * bucketing.MOST_SPLITTERS)))
+    sample = [tuple(r["k"]) for r in frame.where(portable_coin(coin, rate, seed)).select(F.col("__key").alias("k")).orderBy("k").collect()]
     cut = sample[log - 1 :: log]
     if len(cut) > 2000:
         cut = bucketing.evenly(cut, 2000)
