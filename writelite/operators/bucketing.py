@@ -1,4 +1,4 @@
-"""Splitters, bucket location, counts and offsets: the parts that distribution sorts are made of."""
+"""Splitters, bucket location, counts, offsets and placement: the parts that distribution sorts are made of."""
 
 from __future__ import annotations
 
@@ -10,30 +10,64 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from writelite.operators.keys import portable_coin
+from writelite.operators.keys import SortKey, array_literal, coin_limit, coin_of, fields, order_by
 
-#: Splitters go to the driver and into plans; more than this many are refused.
+#: Sampled keys that go to the driver at once, and so splitters in a plan.
 MOST_SPLITTERS = 100_000
+#: Rows of a table of running totals that one task orders at most.
+CELL = 4096
 
 
-def literal(row) -> Column:
-    """A struct literal of a collected key."""
-    return F.struct(*[F.lit(v).alias(f"c{i}") for i, v in enumerate(row)])
+def _reaches(names: list[tuple[str, str, bool | None]], at: str) -> str:
+    """SQL for whether the splitter at a place is at most the row's key, field by field: (row's column, array, flag).
 
-
-def locate(key: Column, splitters: Sequence, low: int = 0) -> Column:
-    """Bucket of a key: how many splitters are at most the key, by a balanced tree of comparisons inside codegen."""
-    if not splitters:
-        return F.lit(low)
-    mid = len(splitters) // 2
-    return F.when(key < literal(splitters[mid]), locate(key, splitters[:mid], low)).otherwise(locate(key, splitters[mid + 1 :], low + mid + 1))
+    A flag is what all splitters have in the place of a null flag, so that only the row's own one is looked at.
+    """
+    out = ""
+    for own, array, flag in reversed(names):
+        if flag is not None:
+            out = f"{own} {'AND' if flag else 'OR'} ({out})" if out else (own if flag else "true")
+        else:
+            x = f"get({array}, {at})"
+            out = f"{x} < {own} OR ({x} = {own} AND ({out}))" if out else f"{x} <= {own}"
+    return out
+
+
+def locate(df: DataFrame, keys: list[str | SortKey], splitters: Sequence[tuple], out: str = "node") -> DataFrame:
+    """df with its bucket: how many splitters are at most the row's key.
+
+    splitters are tuples of the fields of `keys`, in order. A binary search as one projection a step, all inside one
+    compiled stage: each halves the range by looking into constant arrays, so the plan grows with the logarithm. The
+    last one is tied to the partition's number, else a filter on the bucket would be pushed down through all steps and
+    double at each of them.
+    """
+    n = len(splitters)
+    if not n:
+        return df.withColumn(out, F.lit(0))
+    names, more = [], []
+    for i, (c, kind, flag) in enumerate(fields(df, keys)):
+        values = [s[i] for s in splitters]
+        same = values[0] if flag and len(set(values)) == 1 else None
+        names.append((f"__f{i}", f"__a{i}", same))
+        more.append(c.alias(f"__f{i}"))
+        if same is None:
+            more.append(array_literal(values, kind).alias(f"__a{i}"))
+    at, steps = "__at", ["0 AS __at"]
+    for i in reversed(range(n.bit_length())):
+        ahead, new = f"{at} + {(1 << i) - 1}", f"__at{i}"
+        steps.append(f"CASE WHEN {ahead} < {n} AND ({_reaches(names, ahead)}) THEN {at} + {1 << i} ELSE {at} END AS {new}")
+        at = new
+    found = df.select("*", *more).selectExpr("*", *steps)
+    return found.select(*[F.col(f"`{c}`") for c in df.columns if c != out], (F.col(at) + F.spark_partition_id() * 0).alias(out))
 
 
 def locate_join(df: DataFrame, key: str, splitters: DataFrame) -> DataFrame:
-    """Bucket by a running count over the union of keys and splitters, partitioned by nothing but ordered ranges.
+    """Bucket by a join with ranges: splitters has the columns (lo, hi, bucket), lo null for the first and hi for the last.
 
-    splitters has the columns (lo, hi, bucket), hi null for the last; it is small and the range join broadcasts it.
+    The table of ranges is small (at most MOST_SPLITTERS) and is broadcast; more ranges than that are for `locate`.
     """
+    if (n := splitters.count()) > MOST_SPLITTERS:
+        raise ValueError(f"{n} ranges are more than a range join takes")
     s = F.broadcast(splitters)
     return df.join(s, (s["lo"].isNull() | (df[key] >= s["lo"])) & (s["hi"].isNull() | (df[key] < s["hi"]))).drop("lo", "hi")
 
@@ -55,11 +89,6 @@ def sample_rate(n: int, wanted: int) -> float:
     return 1.0 if n <= wanted else wanted / n
 
 
-def every_nth(sample: DataFrame, key: str, step: int) -> DataFrame:
-    """Every step-th key of a small sorted sample."""
-    return sample.withColumn("i", F.row_number().over(W.orderBy(key))).where(F.col("i") % step == 0).drop("i")
-
-
 def evenly(sample: list, count: int) -> list:
     """`count` evenly spaced members of a sorted list, without repeats.
 
@@ -70,16 +99,110 @@ def evenly(sample: list, count: int) -> list:
     return [x for i, x in enumerate(picked) if i == 0 or x != picked[i - 1]]
 
 
-def splitters(df: DataFrame, key: Column, coin: list[str], n: int, fan: int, over: float = 4.0, seed: int = 42) -> list:
-    """At most fan - 1 splitters from an oversampled portable sample of about over * fan * log n keys."""
-    wanted = math.ceil(over * fan * max(math.log2(max(n, 2)), 1))
-    if wanted > MOST_SPLITTERS:
-        raise ValueError(f"{wanted} sampled keys are more than the driver takes; use more levels of less fan-out")
-    rows = df.where(portable_coin(coin, sample_rate(n, wanted), seed)).select(key.alias("k")).orderBy("k").limit(4 * wanted).collect()
-    return evenly([tuple(r["k"]) for r in rows], fan - 1)
+def collected(sample: DataFrame, keys: list[str | SortKey], *more: str) -> list[tuple]:
+    """The fields of a bounded sample, in order, on the driver: (more..., fields...)."""
+    few = sample.repartition(1).sortWithinPartitions(*order_by(sample, keys))
+    return [tuple(r) for r in few.select(*more, *[c.alias(f"__f{i}") for i, (c, _, _) in enumerate(fields(sample, keys))]).collect()]
+
+
+def splitters(df: DataFrame, keys: list[str | SortKey], coin: list[str], n: int, fan: int, over: float = 4.0, seed: int = 42) -> list[tuple]:
+    """At most fan - 1 splitters from a sample of about over * fan * log n keys, or of MOST_SPLITTERS if that is less."""
+    wanted = min(math.ceil(over * fan * max(math.log2(max(n, 2)), 1)), int(0.9 * MOST_SPLITTERS))
+    if fan > wanted:
+        raise ValueError(f"{fan} buckets are more than one sample of {wanted} keys cuts evenly; use more levels of less fan-out")
+    return evenly(collected(df.where(coin_of(coin, coin_limit(sample_rate(n, wanted)), seed)), keys), fan - 1)
+
 
+def node_splitters(df: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], fans: dict[int, tuple[int, int]], over: float, seed: int) -> dict[int, list[tuple]]:
+    """Splitters of several nodes of a level, from one pass of samples: fans has (rows, wanted buckets) of each node.
+
+    Every node is sampled at a rate of its own. Where all samples together are more than the driver takes, the nodes go
+    in several passes.
+    """
+    out: dict[int, list[tuple]] = {}
+    left = list(fans.items())
+    while left:
+        now, total = {}, 0
+        while left:
+            v, (n, fan) = left[0]
+            wanted = min(math.ceil(over * fan * max(math.log2(max(n, 2)), 1)), int(0.9 * MOST_SPLITTERS))
+            if now and total + wanted > MOST_SPLITTERS:
+                break
+            now[v], total = (sample_rate(n, wanted), fan), total + wanted
+            left.pop(0)
+        limits = array_literal([coin_limit(now[v][0]) if v in now else 0 for v in range(len(cuts) + 1)], "bigint")
+        drawn = locate(df, keys, cuts, "__node").where(coin_of(coin, F.get(limits, F.col("__node")), seed))
+        found: dict[int, list[tuple]] = {}
+        for r in collected(drawn, keys, "__node"):
+            found.setdefault(r[0], []).append(r[1:])
+        out |= {v: evenly(found.get(v, []), fan - 1) for v, (_, fan) in now.items()}
+    return out
+
+
+def merged(cuts: list[tuple], inner: dict[int, list[tuple]]) -> tuple[list[tuple], list[int]]:
+    """(all cuts in order, first new bucket of every old one) when the buckets `inner` are cut further."""
+    out, first = [], []
+    for v in range(len(cuts) + 1):
+        first.append(len(out))
+        out += inner.get(v, [])
+        if v < len(cuts):
+            out.append(cuts[v])
+    return out, first
+
+
+def sizes_of(df: DataFrame, keys: list[str | SortKey], cuts: list[tuple]) -> list[int]:
+    """Rows of every bucket between cuts: one scan of the key columns and counts before anything is exchanged."""
+    found = {r["__node"]: r["cnt"] for r in counts(locate(df, keys, cuts, "__node"), "__node").collect()}
+    return [found.get(v, 0) for v in range(len(cuts) + 1)]
+
+
+def packed(sizes: Sequence[int], parts: int) -> tuple[list[int], list[int]]:
+    """Consecutive buckets as at most `parts` partitions of about equal rows: (first bucket, rows before) of each.
+
+    >>> packed([5, 1, 1, 1, 4], 3)
+    ([0, 1, 4], [0, 5, 8])
+    """
+    total, first, before, at = sum(sizes), [0], [0], 0
+    for v, n in enumerate(sizes):
+        if at > before[-1] and len(first) < parts and at * parts >= len(first) * total:
+            first.append(v)
+            before.append(at)
+        at += n
+    return first, before
+
+
+def positioned(df: DataFrame, keys: list[str | SortKey], cuts: list[tuple], sizes: Sequence[int], parts: int, more: Sequence[Column] = ()) -> DataFrame:
+    """Rows in order with pos, by one exchange: whole buckets go to numbered partitions and are sorted there.
+
+    The partition of a row is known beforehand, so its position is the rows of the partitions before it plus its place
+    in its own: nothing is ranked by a window, joined or collected. `more` sorts before the keys inside a partition.
+    """
+    first, before = packed(sizes, parts)
+    dealt = locate(df, keys, [cuts[b - 1] for b in first[1:]], "__part").repartitionById(len(first), F.col("__part"))
+    ordered = dealt.sortWithinPartitions(*more, *order_by(df, keys))
+    place = F.get(array_literal(before, "bigint"), F.spark_partition_id()) + F.monotonically_increasing_id().bitwiseAND(F.lit(2**33 - 1)) + 1
+    return ordered.withColumn("pos", place.cast("long")).drop("__part")
 
-def deterministic_split(df: DataFrame, key: str, node: str = "node", m: int | None = None) -> tuple[DataFrame, int]:
+
+def ranked_splitters(thin: DataFrame, keys: list[str | SortKey], coin: list[str], count: int) -> list[tuple]:
+    """`count` evenly spaced keys of a sample of any size: ranked where it lies when it is too large for the driver."""
+    n = thin.count()
+    if n <= MOST_SPLITTERS:
+        return evenly(collected(thin, keys), count)
+    parts = int(thin.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    cuts = splitters(thin, keys, coin, n, 4 * parts)
+    wanted = sorted({(i + 1) * n // (count + 1) + 1 for i in range(count)})
+    at = positioned(thin, keys, cuts, sizes_of(thin, keys, cuts), parts)
+    return collected(at.where(F.array_contains(array_literal(wanted, "bigint"), F.col("pos"))), keys)
+
+
+def thinned(df: DataFrame, keys: list[str | SortKey], group: Column, step: Column | int, *by: str) -> DataFrame:
+    """Every step-th row of each ordered group: what a deterministic sample takes."""
+    w = W.partitionBy(*by, "__group").orderBy(*order_by(df, keys))
+    return df.withColumn("__group", group).withColumn("__i", F.row_number().over(w)).where(F.col("__i") % step == 0).drop("__group", "__i")
+
+
+def deterministic_split(df: DataFrame, keys: list[str | SortKey], m: int | None = None) -> tuple[DataFrame, int]:
     """(rows with bucket, number of buckets): about m^(1/3) buckets without chance.
 
     Rows are cut into groups of m^(1/3), each group is ordered, every log m-th row of it is sampled, and m^(1/3) - 1
@@ -87,33 +210,66 @@ def deterministic_split(df: DataFrame, key: str, node: str = "node", m: int | No
     """
     m = m if m is not None else df.count()
     third, log = max(2, round(m ** (1 / 3))), max(1, int(math.log2(max(m, 2))))
-    grouped = df.withColumn("grp", F.pmod(F.xxhash64(key), F.lit(max(1, m // third))))
-    thin = grouped.withColumn("i", F.row_number().over(W.partitionBy("grp").orderBy(key))).where(F.col("i") % log == 0).select(key)
-    rows = [tuple(r[0]) if hasattr(r[0], "__fields__") else (r[0],) for r in thin.orderBy(key).collect()] if m <= 50_000_000 else None
-    if rows is None:
-        raise ValueError("a deterministic sample of m / log m keys is for nodes of at most 50 million rows")
-    cut = evenly(rows, third - 1)
-    struct = dict(df.dtypes)[key].startswith("struct")
-    where = F.col(key) if struct else F.struct(F.col(key).alias("c0"))
-    return df.withColumn("bucket", locate(where, cut).cast("long")), len(cut) + 1
+    coin = [k.lstrip("-") if isinstance(k, str) else k.name for k in keys]
+    thin = thinned(df, keys, F.pmod(F.xxhash64(*coin), F.lit(max(1, m // third))), log)
+    cut = ranked_splitters(thin, keys, coin, third - 1)
+    return locate(df, keys, cut, "bucket").withColumn("bucket", F.col("bucket").cast("long")), len(cut) + 1
+
+
+def split_nodes(df: DataFrame, keys: list[str | SortKey], top: str, node: str = "node", base: int = 4096) -> DataFrame:
+    """The same split of every node at once, where the nodes lie: node becomes node * base + its part.
+
+    df is dealt out by `top`, of which each node is a part, so every window works inside its partition and nothing is
+    exchanged. A sampled row is a splitter if its rank in its node's sample is evenly spaced; parts are running counts
+    of splitters in key order, so no list of them is ever built.
+    """
+    whole = W.partitionBy(top, node)
+    ordered = whole.orderBy(*order_by(df, keys)).rowsBetween(W.unboundedPreceding, 0)
+    names = [k.lstrip("-") if isinstance(k, str) else k.name for k in keys]
+    m = F.col("__m").cast("double")
+    frame = df.withColumn("__m", F.count(F.lit(1)).over(whole)).withColumn("__third", F.greatest(F.lit(1), F.round(F.pow(m, F.lit(1 / 3)))).cast("long"))
+    frame = frame.withColumn("__group", F.pmod(F.xxhash64(*names), F.greatest(F.lit(1), F.floor(F.col("__m") / F.col("__third")))))
+    nth = F.row_number().over(W.partitionBy(top, node, "__group").orderBy(*order_by(df, keys)))
+    frame = frame.withColumn("__drawn", (nth % F.greatest(F.lit(1), F.floor(F.log2(m))) == 0).cast("int"))
+    frame = frame.withColumn("__rank", F.sum("__drawn").over(ordered) - 1).withColumn("__s", F.sum("__drawn").over(whole))
+    j = F.ceil(F.col("__rank") * F.col("__third") / F.col("__s"))
+    even = (F.col("__drawn") == 1) & j.between(1, F.col("__third") - 1) & (F.floor(j * F.col("__s") / F.col("__third")) == F.col("__rank"))
+    frame = frame.withColumn("__cut", F.coalesce(even, F.lit(False)).cast("int"))
+    part = F.least(F.sum("__cut").over(ordered), F.lit(base - 1))
+    return frame.withColumn(node, (F.col(node) * base + part).cast("long")).select(*df.columns)
 
 
 def counts(df: DataFrame, *by: str) -> DataFrame:
     return df.groupBy(*by).agg(F.count(F.lit(1)).alias("cnt"))
 
 
-def offsets(sizes: DataFrame, order: list[str], size: str = "cnt") -> DataFrame:
-    """Running totals before each row of a table of bucket sizes; one row a bucket, so one task orders them."""
-    before = F.sum(size).over(W.orderBy(*order).rowsBetween(W.unboundedPreceding, -1))
-    return sizes.withColumn("before", F.coalesce(before, F.lit(0)).cast("long"))
+def running(sizes: DataFrame, cell: str, size: str, out: str = "before") -> DataFrame:
+    """Totals before each row of a table with one row for each whole number `cell`, in its order.
+
+    In two levels: blocks of CELL cells are summed, their totals run through one task, and each block runs by itself.
+    """
+    blocks = sizes.withColumn("__block", F.floor(F.col(cell) / CELL))
+    tops = blocks.groupBy("__block").agg(F.sum(size).alias("__s"))
+    tops = tops.select("__block", F.coalesce(F.sum("__s").over(W.orderBy("__block").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("__top"))
+    inner = F.coalesce(F.sum(size).over(W.partitionBy("__block").orderBy(cell).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    return blocks.withColumn("__in", inner).join(tops, "__block").withColumn(out, (F.col("__in") + F.col("__top")).cast("long")).drop("__block", "__in", "__top")
+
+
+def offsets(sizes: DataFrame, outer: str, inner: str, size: str = "cnt") -> DataFrame:
+    """Totals before each row of a table of (outer, inner) sizes in that order: running totals of the outer sums, then
+    of the inner sizes of each outer value. outer is a whole number.
+    """
+    tops = running(sizes.groupBy(outer).agg(F.sum(size).alias("__n")), outer, "__n", "__start").select(outer, "__start")
+    before = F.coalesce(F.sum(size).over(W.partitionBy(outer).orderBy(inner).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    return sizes.withColumn("before", before).join(tops, outer).withColumn("before", (F.col("before") + F.col("__start")).cast("long")).drop("__start")
 
 
 def integer_sort(df: DataFrame, column: str, within: list[str], partitions: int) -> DataFrame:
     """Stable grouping by a small integer: rows with pos, from counts, their prefix sums, and ranks inside each value."""
-    place = offsets(counts(df, column), [column]).select(column, "before")
+    place = running(counts(df, column), column, "cnt").select(column, "before")
     dealt = df.repartition(partitions, column)
     ranked = dealt.withColumn("nth", F.row_number().over(W.partitionBy(column).orderBy(*within)))
-    return ranked.join(F.broadcast(place), column).withColumn("pos", (F.col("before") + F.col("nth")).cast("long")).drop("before", "nth")
+    return ranked.join(place, column).withColumn("pos", (F.col("before") + F.col("nth")).cast("long")).drop("before", "nth")
 
 
 def place_random(df: DataFrame, cap: Column, ident: str, bucket: str = "bucket", seed: int = 42, most: int = 64) -> tuple[DataFrame, list[int]]:

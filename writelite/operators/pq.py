@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+import functools
+
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from writelite.functions.model import LEDGER, MachineParams
-from writelite.operators import simulate
+from writelite.operators import bucketing, simulate
+from writelite.operators.keys import SortKey, fields
+from writelite.operators.prim import cut_lineage
 
 HEAP = "shard long, key long, nth long, reads long, writes long"
 
@@ -31,6 +36,110 @@ def heap_sort(ops: DataFrame, mp: MachineParams) -> tuple[DataFrame, DataFrame]:
     return done.where("nth > 0").select("shard", "key", "nth"), ledger
 
 
+def _keyed(df: DataFrame, keys: list[str | SortKey], coin: list[str]) -> DataFrame:
+    """df with the fields of its keys (__f0, ...) and a hash of the coin columns (__shuffled)."""
+    return df.select("*", *[c.alias(f"__f{i}") for i, (c, _, _) in enumerate(fields(df, keys))], F.xxhash64(*coin).alias("__shuffled"))
+
+
+def _tuples(table: pa.Table) -> list[tuple]:
+    """The key fields of each row as a tuple that orders as Spark does: NaN above all numbers."""
+    columns = []
+    for name in (n for n in table.column_names if n.startswith("__f")):
+        values = table.column(name).to_pylist()
+        columns.append([(v != v, 0.0 if v != v else v) for v in values] if pa.types.is_floating(table.schema.field(name).type) else values)
+    return list(zip(*columns, strict=True))
+
+
+def _queue_order(table: pa.Table, mp: MachineParams) -> tuple[list[int], simulate.Queue]:
+    """Row numbers in the order in which a queue gives the rows' keys back, put in by hash."""
+    simulate.guard(len(table))
+    q, keys = simulate.Queue(mp), _tuples(table)
+    shuffled = table.column("__shuffled").to_pylist()
+    for i in sorted(range(len(keys)), key=shuffled.__getitem__):
+        q.insert((*keys[i], i))
+    return [q.delete_min()[-1] for _ in keys], q
+
+
+def drained(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, shard: str = "__shard") -> DataFrame:
+    """df with __nth: the place at which the queue of a row's shard gives its key back."""
+
+    def go(table: pa.Table) -> pa.Table:
+        order, _ = _queue_order(table, mp)
+        rows = table.take(pa.array(order, pa.int64())).select(columns)
+        return rows.append_column("__nth", pa.array(range(1, len(order) + 1), pa.int64()))
+
+    columns = df.columns
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema) + ", __nth long"
+    return _keyed(df, keys, coin).groupBy(shard).applyInArrow(go, schema)
+
+
+def drained_ledger(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, shard: str = "__shard") -> DataFrame:
+    """Blocks that each shard's queue read and wrote while it took and gave back its keys."""
+
+    def go(table: pa.Table) -> pa.Table:
+        _, q = _queue_order(table, mp)
+        row = ("heapsort", "queue", 0, table.column(shard)[0].as_py(), 0, q.reads, q.writes)
+        return pa.Table.from_pylist([dict(zip(LEDGER.names, row, strict=True))], schema=ARROW_LEDGER)
+
+    return _keyed(df, keys, coin).groupBy(shard).applyInArrow(go, LEDGER)
+
+
+ARROW_LEDGER = pa.schema([("method", pa.string()), ("phase", pa.string()), ("level", pa.int32()), ("node", pa.int64()), ("rnd", pa.int64()), ("reads", pa.int64()), ("writes", pa.int64())])
+
+
+def merge_levels(df: DataFrame, keys: list[str | SortKey], coin: list[str], n: int, mp: MachineParams, pointers: str = "memory") -> DataFrame:
+    """Ledger of a whole mergesort: base runs of at most about kM keys, then every merge of kM/B runs, level by level.
+
+    Each node's merge runs on the runs that the level before put out, in one group function; a node whose output is not
+    in order is told as phase 'wrong'. Runs move from level to level as rows, checkpointed, as the algorithm writes them.
+    """
+    count = max(1, -(-n // (mp.k * mp.M)))
+    kinds = [kind for _, kind, _ in fields(df, keys)]
+    moved = ", ".join(["node long", "nth long", *(f"__f{i} {kind}" for i, kind in enumerate(kinds))])
+    schema = moved + ", phase string, rnd long, reads long, writes long"
+
+    def step(level: int):
+        def go(table: pa.Table) -> pa.Table:
+            simulate.guard(len(table))
+            tuples, node = _tuples(table), table.column("node").to_pylist()
+            order = sorted(range(len(tuples)), key=tuples.__getitem__)
+            rank = [0] * len(tuples)
+            for i, j in enumerate(order):
+                rank[j] = i
+            if level:  # runs stand as the level before put them out
+                runs: dict[int, list[int]] = {}
+                for j in sorted(range(len(tuples)), key=table.column("nth").to_pylist().__getitem__):
+                    runs.setdefault(node[j], []).append(rank[j])
+                out, rounds = simulate.merge(list(runs.values()), mp if mp.k > 1 else classic, pointers)
+                if mp.k == 1:  # one block of every run stays in memory, so nothing is read twice
+                    rounds = [(len(out), sum(-(-len(r) // mp.B) for r in runs.values()), -(-len(out) // mp.B))]
+                phase, top = ("merge" if out == list(range(len(out))) else "wrong"), node[0] // mp.fan_out
+            else:
+                out, top, nb = list(range(len(tuples))), node[0], -(-len(tuples) // mp.B)
+                phase, rounds = "base", [(0, nb, -(-min(mp.M, len(out) - r) // mp.B)) for r in range(0, len(out), mp.M)]
+            took = table.take(pa.array([order[i] for i in out], pa.int64())).select([f"__f{i}" for i in range(len(kinds))])
+            size, said = len(out), len(rounds)
+            rows = {"node": [top] * (size + said), "nth": [*range(size), *([None] * said)]}
+            rows |= {c: [*took.column(c).to_pylist(), *([None] * said)] for c in took.column_names}
+            rows |= {"phase": [None] * size + [phase] * said, "rnd": [None] * size + [*range(said)], "reads": [None] * size + [r for _, r, _ in rounds], "writes": [None] * size + [w for _, _, w in rounds]}
+            typed = {c: took.schema.field(c).type for c in took.column_names} | {"phase": pa.string()}
+            return pa.table({c: pa.array(v, typed.get(c, pa.int64())) for c, v in rows.items()})
+
+        return go
+
+    classic = MachineParams(mp.M, mp.B, mp.omega, 1)
+    keyed = _keyed(df, keys, coin).withColumn("node", F.pmod("__shuffled", F.lit(count)).cast("long")).withColumn("nth", F.lit(0).cast("long"))
+    now, level, parts = keyed.select(*[x.split()[0] for x in moved.split(", ")]), 0, []
+    while True:
+        group = F.floor(F.col("node") / mp.fan_out).alias("to") if level else F.col("node").alias("to")
+        done = cut_lineage(now.groupBy(group).applyInArrow(step(level), schema))
+        parts.append(done.where("phase IS NOT NULL").select(F.lit("mergesort").alias("method"), "phase", F.lit(level).alias("level"), "node", "rnd", "reads", "writes"))
+        count = -(-count // mp.fan_out) if level else count
+        if count == 1:
+            return functools.reduce(DataFrame.unionByName, parts)
+        now, level = done.where("phase IS NULL").select(*now.columns), level + 1
+
+
 def run(ops: DataFrame, mp: MachineParams, machine: str = "queue") -> DataFrame:
     """Results (shard, seq, k1, k2) of the delete-mins of an operation stream (shard, seq, op I or D, k1, k2).
 

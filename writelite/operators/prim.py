@@ -8,23 +8,28 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from writelite.operators import bucketing
+
 
 def cut_lineage(df: DataFrame) -> DataFrame:
-    """checkpoint() in the shared folder of spark.checkpoint.dir; a folder of its own where that is unset."""
+    """checkpoint() in the shared folder of spark.checkpoint.dir; in local mode a folder of its own where that is unset."""
     sc = df.sparkSession.sparkContext
     if not sc.getCheckpointDir():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="writelite_"))
+        folder = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if not folder and not (sc.master.startswith("local[") or sc.master == "local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors see")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="writelite_"))
     return df.checkpoint()
 
 
 def prefix_sum(df: DataFrame, order: str, value: str, width: int, out: str = "running") -> DataFrame:
     """Running totals in the order of a unique integer column, without ordering the table in one task.
 
-    Ranges of `width` consecutive order values are summed; the small table of range sums is scanned; rows are ordered inside their range.
+    Ranges of `width` consecutive order values are summed; the table of range sums is scanned in two levels; rows are ordered inside their range.
     """
     cell = df.withColumn("cell", F.floor(F.col(order) / width))
     sums = cell.groupBy("cell").agg(F.sum(value).alias("s"))
-    before = sums.withColumn("before", F.coalesce(F.sum("s").over(W.orderBy("cell").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))).select("cell", "before")
+    before = bucketing.running(sums, "cell", "s").select("cell", "before")
     inner = F.sum(value).over(W.partitionBy("cell").orderBy(order).rowsBetween(W.unboundedPreceding, 0))
     return cell.withColumn("inner", inner).join(before, "cell").withColumn(out, (F.col("inner") + F.col("before")).cast("long")).drop("cell", "inner", "before")
 
@@ -36,9 +41,9 @@ def merge_two(a: DataFrame, b: DataFrame, key: str, width: float) -> DataFrame:
     """
     both = a.select(key, "pos", F.lit(0).alias("side")).unionByName(b.select(key, "pos", F.lit(1).alias("side"))).withColumn("cell", F.floor(F.col(key) / width))
     sizes = both.groupBy("cell").agg(F.count(F.lit(1)).alias("n"))
-    before = sizes.withColumn("before", F.coalesce(F.sum("n").over(W.orderBy("cell").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))).select("cell", "before")
+    before = bucketing.running(sizes, "cell", "n").select("cell", "before")
     rank = F.row_number().over(W.partitionBy("cell").orderBy(key, "side", "pos"))
-    return both.withColumn("nth", rank).join(F.broadcast(before), "cell").select(key, "side", "pos", (F.col("before") + F.col("nth")).cast("long").alias("merged_pos"))
+    return both.withColumn("nth", rank).join(before, "cell").select(key, "side", "pos", (F.col("before") + F.col("nth")).cast("long").alias("merged_pos"))
 
 
 def transpose(matrix: DataFrame) -> DataFrame:

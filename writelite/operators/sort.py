@@ -1,47 +1,52 @@
 """Write-saving sorts on DataFrames.
 
-Each returns a SortResult: rows with their global position, and a ledger of counted block reads and writes. Rows are
-placed by splitters, so the result does not depend on chance, only the ledger's bucket sizes do.
+Each returns a SortResult: rows with their global position, and a ledger of counted block reads and writes that is made
+when it is asked for. Rows are placed by splitters, so the result does not depend on chance, only the ledger's bucket
+sizes do. What a method writes less often, its result face writes once: the key columns are scanned for a sample and
+for counts, then every row crosses the network one time, to the numbered partition that its bucket belongs to.
 """
 
 from __future__ import annotations
 
-import bisect
+import functools
 import math
-from dataclasses import dataclass
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from writelite.functions.model import LEDGER, MachineParams
 from writelite.operators import bucketing
-from writelite.operators.keys import SortKey, total_order_key
+from writelite.operators.keys import SortKey, array_literal, coin_limit, coin_of, order_by, parse, portable_coin, total_order_key
 from writelite.plans import planner
 
 MOST_LEVELS = 12
+#: Samples of a bucket for each factor of two in n.
+OVER = 4.0
 
 
-@dataclass(frozen=True)
+@dataclass
 class SortResult:
     rows: DataFrame
-    ledger: DataFrame
+    counted: Callable[[], DataFrame] = field(repr=False)
+
+    @functools.cached_property
+    def ledger(self) -> DataFrame:
+        return self.counted()
 
 
 def _partitions(df: DataFrame) -> int:
     return int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
 
-def positioned(frame: DataFrame, key: str, node: str, sizes: dict[int, int]) -> DataFrame:
-    """Rows of ordered nodes with pos: one exchange by node, then ranks inside nodes plus the sizes of nodes before."""
-    spark, total, before = frame.sparkSession, 0, []
-    for v in sorted(sizes):
-        before.append((v, total))
-        total += sizes[v]
-    table = spark.createDataFrame(before or [(0, 0)], f"{node} long, before long")
-    dealt = frame.repartition(max(_partitions(frame), 1), node)
-    ranked = dealt.withColumn("nth", F.row_number().over(W.partitionBy(node).orderBy(key)))
-    return ranked.join(F.broadcast(table), node).withColumn("pos", (F.col("before") + F.col("nth")).cast("long")).drop("before", "nth")
+def _names(keys: list[str | SortKey]) -> list[str]:
+    return [k.name for k in parse(keys)]
+
+
+def _key_columns(df: DataFrame, keys: list[str | SortKey], coin: list[str]) -> DataFrame:
+    return df.select(*dict.fromkeys([*_names(keys), *coin]))
 
 
 def ledger_frame(df: DataFrame, rows: list[tuple]) -> DataFrame:
@@ -71,285 +76,363 @@ def selection_window(df: DataFrame, keys: list[str | SortKey], mp: MachineParams
             raise ValueError("the base case is for n of at most kM; sort larger tables by another method or give groups")
         rows, sizes = frame.withColumn("pos", F.row_number().over(W.orderBy("__key")).cast("long")), {0: n}
     rows = rows.withColumn("rnd", F.floor((F.col("pos") - 1) / mp.M).cast("long")).drop("__key")
-    return SortResult(rows, ledger_frame(df, base_rows("selection", 0, sizes, mp)))
+    return SortResult(rows, lambda: ledger_frame(df, base_rows("selection", 0, sizes, mp)))
 
 
 def selection_rounds(df: DataFrame, keys: list[str | SortKey], mp: MachineParams) -> SortResult:
     """The same, one scan a round: the driver keeps the last key emitted, a scan filters above it and takes M."""
-    frame = df.withColumn("__key", total_order_key(df, keys))
     n, last, parts, rnd = df.count(), None, [], 0
     if n > mp.omega * mp.M * 4:
         raise ValueError("too many rounds: the base case is for n of at most kM")
     while rnd * mp.M < n:
-        left = frame if last is None else frame.where(F.col("__key") > bucketing.literal(last))
-        part = left.orderBy("__key").limit(mp.M)
-        last = tuple(part.agg(F.max("__key").alias("k")).first()["k"])
-        ranked = part.withColumn("pos", (F.row_number().over(W.orderBy("__key")) + rnd * mp.M).cast("long"))
-        parts.append(ranked.withColumn("rnd", F.lit(rnd).cast("long")).drop("__key"))
+        left = df
+        if last is not None:  # above the last key: at most one row, the last one itself, sits on it
+            left = bucketing.locate(df, keys, [last], "__above").where("__above = 1").drop("__above").orderBy(*order_by(df, keys)).offset(1)
+        part = left.orderBy(*order_by(df, keys)).limit(mp.M)
+        last = bucketing.collected(part, keys)[-1]
+        ranked = part.withColumn("pos", (F.row_number().over(W.orderBy(*order_by(df, keys))) + rnd * mp.M).cast("long"))
+        parts.append(ranked.withColumn("rnd", F.lit(rnd).cast("long")))
         rnd += 1
     rows = parts[0] if parts else df.withColumn("pos", F.lit(0).cast("long")).withColumn("rnd", F.lit(0).cast("long"))
     for p in parts[1:]:
         rows = rows.unionByName(p)
-    return SortResult(rows, ledger_frame(df, base_rows("selection_rounds", 0, {0: n}, mp)))
+    return SortResult(rows, lambda: ledger_frame(df, base_rows("selection_rounds", 0, {0: n}, mp)))
 
 
-def em_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42, how: str = "fused", over: float = 4.0, choose: str = "random") -> SortResult:
-    """External write-saving sample sort.
+def _levels(df: DataFrame, keys: list[str | SortKey], coin: list[str], n: int, mp: MachineParams, seed: int, over: float, choose: str) -> Iterator[tuple[list[tuple], list[int], list[int]]]:
+    """(cuts, sizes, first new bucket of every old one) of each level of distribution, until no node is larger than kM.
 
-    Each level picks up to kM/B - 1 splitters a node and deals the node out in k rounds of M/B buckets, every round a
-    scan of the whole node; nodes of at most kM are sorted by selection. keys must be unique together; coin names the
-    integer or text columns that the portable sample hashes. how='rounds' runs the k scans of the first level as
-    filters on the source, so each shuffles only its own key range; 'fused' is one scan with the same ledger.
+    Only key columns are read: a pass that samples the large nodes, a pass that counts their buckets.
     """
-    spark = df.sparkSession
-    frame = df.withColumn("__key", total_order_key(df, keys)).withColumn("node", F.lit(0).cast("long"))
-    width = mp.fan_out + 1
-    sizes = {0: df.count()}
-    rows: list[tuple] = []
-    cuts_of_first: list = []
-    level = 0
-    while any(n > mp.k * mp.M for n in sizes.values()):
-        if level >= MOST_LEVELS:
+    frame, cuts, sizes = _key_columns(df, keys, coin), [], [n]
+    for level in range(MOST_LEVELS + 1):
+        big = {v: m for v, m in enumerate(sizes) if m > mp.k * mp.M}
+        if not big:
+            return
+        if level == MOST_LEVELS:
             raise RuntimeError("buckets do not shrink; are the keys unique?")
-        big = {v: n for v, n in sizes.items() if n > mp.k * mp.M}
-        cuts = _splitters(frame, big, coin, mp, over, seed + level, choose)
-        cuts_of_first = cuts.get(0, []) if level == 0 else cuts_of_first
-        if len(sizes) == 1:
-            bucket: Column = bucketing.locate(F.col("__key"), cuts[0])
+        if choose == "deterministic":
+            inner = _deterministic_cuts(frame, keys, coin, cuts, big, mp)
+        elif level == 0:
+            inner = {0: bucketing.splitters(frame, keys, coin, n, planner.fan_out(n, mp), over, seed)}
         else:
-            kind = frame.schema["__key"].dataType.simpleString()
-            table = spark.createDataFrame([(v, [tuple(c) for c in cs]) for v, cs in cuts.items()], f"node long, __cuts array<{kind}>")
-            frame = frame.join(F.broadcast(table), "node", "left")
-            bucket = F.coalesce(F.size(F.filter("__cuts", lambda c: c <= F.col("__key"))), F.lit(0))
-        frame = frame.withColumn("node", F.col("node") * width + bucket).drop("__cuts")
-        found = {r["node"]: r["cnt"] for r in bucketing.counts(frame, "node").collect()}
-        for v, n in big.items():
-            nb = -(-n // mp.B)
-            rounds = max(1, -(-(len(cuts[v]) + 1) // max(1, mp.M // mp.B)))
-            for r in range(rounds):
-                own = range(v * width + r * (mp.M // mp.B), v * width + min((r + 1) * (mp.M // mp.B), len(cuts[v]) + 1))
-                rows.append(("sample", "distribute", level, v, r, nb, sum(-(-found.get(u, 0) // mp.B) for u in own)))
-        sizes, level = found, level + 1
-    rows += base_rows("sample", level, sizes, mp)
-    if how == "rounds" and cuts_of_first:
-        frame = _rounds(frame, cuts_of_first, mp)
-    out = positioned(frame, "__key", "node", sizes).drop("__key", "node")
-    return SortResult(out, ledger_frame(df, rows))
-
-
-def _rounds(frame: DataFrame, cuts: list, mp: MachineParams) -> DataFrame:
-    """The frame as a union of k filtered scans, each of the keys of M/B buckets."""
-    per = max(1, mp.M // mp.B)
-    edges = [cuts[i] for i in range(per - 1, len(cuts), per)]
-    bounds = [None, *edges, None]
-    parts = []
-    for lo, hi in zip(bounds, bounds[1:], strict=False):
-        part = frame
-        if lo is not None:
-            part = part.where(F.col("__key") >= bucketing.literal(lo))
-        if hi is not None:
-            part = part.where(F.col("__key") < bucketing.literal(hi))
-        parts.append(part)
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
+            inner = bucketing.node_splitters(frame, keys, coin, cuts, {v: (m, planner.fan_out(m, mp)) for v, m in big.items()}, over, seed + level)
+        cuts, first = bucketing.merged(cuts, inner)
+        sizes = bucketing.sizes_of(frame, keys, cuts)
+        yield cuts, sizes, first
+
+
+def _deterministic_cuts(frame: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], big: dict[int, int], mp: MachineParams) -> dict[int, list[tuple]]:
+    """Splitters without chance: every log n-th key of the sorted chunks of M keys, of which evenly spaced ones are kept."""
+    out = {}
+    for v, n in big.items():
+        rows = bucketing.locate(frame, keys, cuts, "__node").where(F.col("__node") == v).drop("__node")
+        step = max(1, int(math.log2(n)))
+        thin = bucketing.thinned(rows, keys, F.pmod(F.xxhash64(*coin), F.lit(max(1, n // max(2, mp.M, 8 * step)))), step)
+        out[v] = bucketing.ranked_splitters(thin, keys, coin, planner.fan_out(n, mp) - 1)
     return out
 
 
-def _splitters(frame: DataFrame, big: dict[int, int], coin: list[str], mp: MachineParams, over: float, seed: int, choose: str) -> dict[int, list]:
+def _distribution_ledger(method: str, levels: Iterator[tuple], n: int, mp: MachineParams) -> list[tuple]:
+    """What each level reads and writes: a large node is scanned once a round of M/B buckets, its small ones are final."""
+    rows: list[tuple] = []
+    old, level, per = [n], 0, max(1, mp.M // mp.B)
+    base = {0: n}
+    for _, sizes, first in levels:
+        base = {}
+        for v, m in enumerate(old):
+            own = sizes[first[v] : first[v + 1] if v + 1 < len(first) else len(sizes)]
+            if len(own) > 1 or m > mp.k * mp.M:
+                for r in range(-(-len(own) // per)):
+                    rows.append((method, "distribute", level, v, r, -(-m // mp.B), sum(-(-c // mp.B) for c in own[r * per : (r + 1) * per])))
+            base |= {first[v] + i: c for i, c in enumerate(own) if c}
+        old, level = sizes, level + 1
+    return rows + base_rows(method, level, base, mp)
+
+
+def em_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42, how: str = "fused", over: float = OVER, choose: str = "random") -> SortResult:
+    """External write-saving sample sort.
+
+    Each level picks up to kM/B - 1 splitters a node and deals the node out in k rounds of M/B buckets, every round a
+    scan of the whole node; nodes of at most kM are sorted by selection. keys must be unique together; coin names the
+    columns that the sample's coin hashes.
+
+    The result face carries out the first level, with as many buckets as the cluster has partitions to fill: a task's
+    memory is the machine's M there, so what is left of a bucket is sorted where it lies. how='rounds' runs the scans of
+    the level as filters on the source, each with its own key range for the reader to prune by; 'fused' is one scan.
+    """
+    n = df.count()
+    slots = _partitions(df)
     if choose == "deterministic":
-        out = {}
-        for v, n in big.items():
-            rows = frame.where(F.col("node") == v)
-            # Every log n-th key of a chunk, or fewer where the driver would get too many; chunks are longer then.
-            step = max(1, int(math.log2(n)), -(-n // int(0.9 * bucketing.MOST_SPLITTERS)))
-            size = max(2, mp.M, 8 * step)
-            chunk = rows.withColumn("g", F.pmod(F.xxhash64("__key"), F.lit(max(1, n // size))))
-            thin = chunk.withColumn("i", F.row_number().over(W.partitionBy("g").orderBy("__key"))).where(F.col("i") % step == 0)
-            out[v] = bucketing.evenly([tuple(r[0]) for r in thin.select("__key").orderBy("__key").collect()], planner.fan_out(n, mp) - 1)
-        return out
-    if len(big) == 1:
-        (v, n), = big.items()
-        return {v: bucketing.splitters(frame.where(F.col("node") == v), F.col("__key"), coin, n, planner.fan_out(n, mp), over, seed)}
-    # One pass samples all nodes at the rate of the one that needs most of it.
-    fans = {v: planner.fan_out(n, mp) for v, n in big.items()}
-    rate = max(bucketing.sample_rate(n, math.ceil(over * fans[v] * math.log2(n))) for v, n in big.items())
-    from writelite.operators.keys import portable_coin
-
-    picked = frame.where(F.col("node").isin(list(big))).where(portable_coin(coin, rate, seed)).groupBy("node").agg(F.array_sort(F.collect_list("__key")).alias("s"))
-    found = {r["node"]: [tuple(x) for x in r["s"]] for r in picked.collect()}
-    return {v: bucketing.evenly(found.get(v, []), fans[v] - 1) for v in big}
-
-
-def em_sample_parallel(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42, chunks: int | None = None) -> SortResult:
+        cuts, sizes, _ = next(_levels(df, keys, coin, n, mp, seed, over, choose), ([], [n], [0]))
+    elif n > mp.k * mp.M:
+        fan = max(planner.fan_out(n, mp), min(4 * slots, n // mp.M))
+        frame = _key_columns(df, keys, coin)
+        cuts = bucketing.splitters(frame, keys, coin, n, fan, over, seed)
+        sizes = bucketing.sizes_of(frame, keys, cuts)
+    else:
+        cuts, sizes = [], [n]
+    source = _rounds(df, keys, cuts, mp) if how == "rounds" and cuts else df
+    rows = bucketing.positioned(source, keys, cuts, sizes, slots)
+    return SortResult(rows, lambda: ledger_frame(df, _distribution_ledger("sample", _levels(df, keys, coin, n, mp, seed, over, choose), n, mp)))
+
+
+def _rounds(df: DataFrame, keys: list[str | SortKey], cuts: list[tuple], mp: MachineParams) -> DataFrame:
+    """The frame as a union of k filtered scans, each of an equal share of the buckets, pruned by the first key's range."""
+    per = -(-(len(cuts) + 1) // mp.k)
+    edges = [cuts[i] for i in range(per - 1, len(cuts), per)]
+    parts, lead = [], parse(keys)[0]
+    for r, (lo, hi) in enumerate(zip([None, *edges], [*edges, None], strict=True)):
+        part = df
+        plain = not lead.desc and dict(df.dtypes)[lead.name] in ("int", "bigint", "double", "string")
+        if lo is not None and plain and lo[0] is True:
+            part = part.where(F.col(lead.name) >= lo[1])
+        if hi is not None and plain and hi[0] is True and lead.nulls_first:
+            part = part.where((F.col(lead.name) <= hi[1]) | F.col(lead.name).isNull())
+        part = bucketing.locate(part, keys, edges, "__round").where(F.col("__round") == r).drop("__round")
+        parts.append(part)
+    return functools.reduce(DataFrame.unionByName, parts)
+
+
+def _parallel_plan(df: DataFrame, keys: list[str | SortKey], coin: list[str], n: int, mp: MachineParams, seed: int) -> tuple[list[tuple], list[tuple], list[int]]:
+    """(bucket cuts, cuts of the k processors of every bucket, first processor of every bucket) of the parallel sample sort."""
+    if n <= mp.k * mp.M:
+        return [], [], [0]
+    frame = _key_columns(df, keys, coin)
+    fan = max(2, min(mp.fan_out * 16, -(-2 * n // (mp.k * mp.M))))
+    # One sample serves both: a bucket's own part of it gives the k - 1 splitters of its base case.
+    wanted = min(int(0.9 * bucketing.MOST_SPLITTERS), math.ceil(OVER * fan * max(math.log2(n), 1)))
+    sample = bucketing.collected(frame.where(coin_of(coin, coin_limit(bucketing.sample_rate(n, wanted)), seed)), keys)
+    cuts = bucketing.evenly(sample, fan - 1)
+    inner, at = {}, 0
+    for v in range(len(cuts) + 1):
+        own = []
+        while at < len(sample) and (v == len(cuts) or sample[at] < cuts[v]):
+            own.append(sample[at])
+            at += 1
+        # The bucket's first sampled key is the cut before it.
+        inner[v] = bucketing.evenly(own[1:], mp.k - 1)
+    fine, first = bucketing.merged(cuts, inner)
+    return cuts, fine, first
+
+
+def em_sample_parallel(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42) -> SortResult:
     """Private-cache form: chunks of kM rows count their rows a bucket; prefix sums over (bucket, chunk) give each chunk a
-    contiguous place in each bucket before anything is written. The ledger's node is the processor, a (chunk, round).
+    contiguous place in each bucket before anything is written (`parallel_slots`). In the base case k processors share
+    a bucket: each reads all of it and keeps the keys between two of its k - 1 splitters. The ledger's node is the
+    processor: a chunk while rows are distributed, a part of a bucket in the base case.
     """
     n = df.count()
-    chunks = chunks or max(1, -(-n // (mp.k * mp.M)))
-    frame = df.withColumn("__key", total_order_key(df, keys)).withColumn("chunk", F.pmod(F.xxhash64(*coin), F.lit(chunks)).cast("long"))
-    fan = max(2, min(mp.fan_out * 16, -(-n // (mp.k * mp.M))))
-    cut = bucketing.splitters(frame, F.col("__key"), coin, n, fan, 4.0, seed) if n > mp.k * mp.M else []
-    frame = frame.withColumn("bucket", bucketing.locate(F.col("__key"), cut).cast("long"))
-    sizes = bucketing.counts(frame, "bucket", "chunk")
-    place = bucketing.offsets(sizes, ["bucket", "chunk"])
-    starts = place.groupBy("bucket").agg(F.min("before").alias("start"))
-    # Every (chunk, bucket) range is written where the offsets say; order inside a bucket is settled once it is together.
-    dealt = frame.repartition(_partitions(df), "bucket")
-    ranked = dealt.withColumn("nth", F.row_number().over(W.partitionBy("bucket").orderBy("__key")))
-    rows = ranked.join(F.broadcast(starts), "bucket").withColumn("pos", (F.col("start") + F.col("nth")).cast("long")).drop("__key", "chunk", "bucket", "start", "nth")
-    per = max(1, mp.M // mp.B)
-    moved = place.withColumn("rnd", F.floor(F.col("bucket") / per)).groupBy("chunk", "rnd").agg(F.sum(F.ceil(F.col("cnt") / mp.B)).cast("long").alias("writes"))
-    size = bucketing.counts(frame, "chunk").withColumnRenamed("cnt", "n")
-    ledger = moved.join(size, "chunk").select(F.lit("sample_parallel").alias("method"), F.lit("distribute").alias("phase"), F.lit(0).alias("level"), F.col("chunk").alias("node"), F.col("rnd").cast("long").alias("rnd"), F.ceil(F.col("n") / mp.B).cast("long").alias("reads"), "writes")
-    base = sizes.groupBy("bucket").agg(F.sum("cnt").alias("n")).select(F.lit("sample_parallel").alias("method"), F.lit("base").alias("phase"), F.lit(1).alias("level"), F.col("bucket").alias("node"), F.lit(0).cast("long").alias("rnd"), (F.ceil(F.col("n") / mp.M) * F.ceil(F.col("n") / mp.B)).cast("long").alias("reads"), F.ceil(F.col("n") / mp.B).cast("long").alias("writes"))
-    return SortResult(rows, ledger.unionByName(base))
-
-
-def em_merge(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42) -> SortResult:
-    """External write-saving mergesort: base runs of at most kM rows, merged by kM/B at a time.
+    cuts, fine, first = _parallel_plan(df, keys, coin, n, mp, seed)
+    frame = _key_columns(df, keys, coin)
+    sizes = bucketing.sizes_of(frame, keys, fine) if fine else [n]
+
+    def count() -> DataFrame:
+        place = _chunked(frame, keys, coin, cuts, n, mp)
+        per = max(1, mp.M // mp.B)
+        moved = place.withColumn("rnd", F.floor(F.col("bucket") / per)).groupBy("chunk", "rnd").agg(F.sum(F.ceil(F.col("cnt") / mp.B)).cast("long").alias("writes"))
+        own = place.groupBy("chunk").agg(F.sum("cnt").alias("n"))
+        named = [F.lit("sample_parallel").alias("method")]
+        dealt = moved.join(own, "chunk").select(*named, F.lit("distribute").alias("phase"), F.lit(0).alias("level"), F.col("chunk").alias("node"), F.col("rnd").cast("long").alias("rnd"), F.ceil(F.col("n") / mp.B).cast("long").alias("reads"), "writes")
+        ends = [*first[1:], len(sizes)]
+        base = [("sample_parallel", "base", 1, p, 0, -(-sum(sizes[a:b]) // mp.B), -(-sizes[p] // mp.B)) for a, b in zip(first, ends, strict=True) for p in range(a, b)]
+        return dealt.unionByName(ledger_frame(df, base))
+
+    return SortResult(bucketing.positioned(df, keys, fine, sizes, _partitions(df)), count)
+
+
+def _chunked(frame: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], n: int, mp: MachineParams) -> DataFrame:
+    """(bucket, chunk, cnt, before): rows of every chunk in every bucket, and where they begin in the distributed array."""
+    chunk = F.pmod(F.xxhash64(*coin), F.lit(max(1, -(-n // (mp.k * mp.M))))).cast("long").alias("chunk")
+    located = bucketing.locate(frame, keys, cuts, "bucket").withColumn("bucket", F.col("bucket").cast("long")).select("bucket", chunk)
+    return bucketing.offsets(bucketing.counts(located, "bucket", "chunk"), "bucket", "chunk")
 
-    A merge of the result face is a range exchange on splitters followed by local sorts, for all runs of a level at
-    once; since only the last level's order shows, the earlier ones cost the result nothing. The ledger charges every
-    level its bound's share: selection in base runs, then (k+1) reads and one write of every block a level.
+
+def parallel_slots(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42) -> DataFrame:
+    """Where the parallel sample sort's distribution writes each row: df with bucket, chunk and slot (1-based).
+
+    A (chunk, bucket) range is contiguous and begins where the prefix sums say, so all chunks write at once. Inside a
+    range, rows stand in key order; in place of a processor's own order of reading, which a table does not have.
     """
     n = df.count()
-    frame = df.withColumn("__key", total_order_key(df, keys))
-    runs = max(1, -(-n // (mp.k * mp.M)))
-    frame = frame.withColumn("run", F.pmod(F.xxhash64(*coin), F.lit(runs)).cast("long"))
-    sizes = {r["run"]: r["cnt"] for r in bucketing.counts(frame, "run").collect()}
-    rows, level, count = base_rows("mergesort", 0, sizes, mp), 0, runs
-    while count > 1:
-        level += 1
-        merged: dict[int, int] = {}
-        for v, m in sizes.items():
-            merged[v // mp.fan_out] = merged.get(v // mp.fan_out, 0) + m
-        factor = mp.k + 1 if mp.k > 1 else 1
-        rows += [("mergesort", "merge", level, v, 0, factor * -(-m // mp.B), -(-m // mp.B)) for v, m in sorted(merged.items())]
-        sizes, count = merged, -(-count // mp.fan_out)
-    fan = max(1, min(_partitions(df) * 4, runs))
-    cut = bucketing.splitters(frame, F.col("__key"), coin, n, fan, 4.0, seed) if fan > 1 else []
-    frame = frame.withColumn("node", bucketing.locate(F.col("__key"), cut).cast("long"))
-    placed = {r["node"]: r["cnt"] for r in bucketing.counts(frame, "node").collect()}
-    return SortResult(positioned(frame, "__key", "node", placed).drop("__key", "node", "run"), ledger_frame(df, rows))
+    cuts, _, _ = _parallel_plan(df, keys, coin, n, mp, seed)
+    place = _chunked(_key_columns(df, keys, coin), keys, coin, cuts, n, mp).select("bucket", "chunk", "before")
+    chunk = F.pmod(F.xxhash64(*coin), F.lit(max(1, -(-n // (mp.k * mp.M))))).cast("long")
+    located = bucketing.locate(df, keys, cuts, "bucket").withColumn("bucket", F.col("bucket").cast("long")).withColumn("chunk", chunk)
+    nth = F.row_number().over(W.partitionBy("bucket", "chunk").orderBy(*order_by(df, keys)))
+    return located.withColumn("nth", nth).join(place, ["bucket", "chunk"]).withColumn("slot", (F.col("before") + F.col("nth")).cast("long")).drop("before", "nth")
+
+
+def em_merge(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42, pointers: str = "memory") -> SortResult:
+    """External write-saving mergesort: base runs of at most kM rows, merged by kM/B at a time.
+
+    The result face does the merges of all levels at once: a range exchange on splitters, then local sorts; an earlier
+    level's order does not show, and would be one more write of everything. The ledger carries every merge out on its
+    runs, in group functions, and counts blocks as they move; it refuses nodes of more rows than a simulation takes.
+    """
+    n, slots = df.count(), _partitions(df)
+    frame = _key_columns(df, keys, coin)
+    cuts = bucketing.splitters(frame, keys, coin, n, 4 * slots, OVER, seed) if n > mp.k * mp.M else []
+    sizes = bucketing.sizes_of(frame, keys, cuts) if cuts else [n]
+
+    def count() -> DataFrame:
+        from writelite.operators import pq
+
+        return pq.merge_levels(frame, keys, coin, n, mp, pointers)
+
+    return SortResult(bucketing.positioned(df, keys, cuts, sizes, slots), count)
 
 
 def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident: str, seed: int = 42, c: float = 4.0, refine: bool = True, place: str = "count") -> SortResult:
     """PRAM sample sort: sample at rate 1/log n (less from about 2 million rows on, so that the driver takes the whole sample), every log n-th sampled key a splitter, locate, place, pack, sort buckets.
 
     place='random' puts rows into slots of arrays of c log^2 n by tries; 'count' packs by counts and prefix sums at once.
-    refine splits every bucket twice more, deterministically. Costs are words, so B is 1.
+    refine splits every bucket twice more by the deterministic split, all buckets at once. Costs are words, so B is 1.
     """
     n = df.count()
     log = max(1, int(math.log2(max(n, 2))))
-    frame = df.withColumn("__key", total_order_key(df, keys))
-    from writelite.operators.keys import portable_coin
-
     rate = min(1 / log, bucketing.sample_rate(n, int(0.9 * bucketing.MOST_SPLITTERS)))
-    sample = [tuple(r["k"]) for r in frame.where(portable_coin(coin, rate, seed)).select(F.col("__key").alias("k")).orderBy("k").collect()]
-    cut = sample[log - 1 :: log]
-    if len(cut) > 2000:
-        cut = bucketing.evenly(cut, 2000)
-    frame = frame.withColumn("node", bucketing.locate(F.col("__key"), cut).cast("long"))
+    columns = _key_columns(df, keys, coin)
+    sample = bucketing.collected(columns.where(portable_coin(coin, rate, seed)), keys)
+    cuts = sample[log - 1 :: log]
+    sizes = bucketing.sizes_of(columns, keys, cuts)
     tries = n
-    if place == "random":
-        cap = F.lit(max(1, int(c * log * log * max(1.0, n / max(1, len(cut) + 1) / (log * log)))))
-        slotted, left = bucketing.place_random(frame.withColumnRenamed("node", "bucket"), cap, ident, seed=seed)
-        frame, tries = slotted.withColumnRenamed("bucket", "node").drop("slot"), sum(left)
-    width = 1
-    if refine:
-        for _ in range(2):
-            # m^(1/3) parts of a bucket at every third's quantile rank: each bucket's share of a deterministic split.
-            size = F.count(F.lit(1)).over(W.partitionBy("node"))
-            rank = F.row_number().over(W.partitionBy("node").orderBy("__key"))
-            parts = F.greatest(F.lit(1), F.round(F.pow(size, F.lit(1 / 3))))
-            frame = frame.withColumn("__b", F.floor((rank - 1) * parts / size)).withColumn("node", (F.col("node") * 64 + F.least(F.col("__b"), F.lit(63))).cast("long")).drop("__b")
-            width *= 64
-    sizes = {r["node"]: r["cnt"] for r in bucketing.counts(frame, "node").collect()}
-    rows = [("pram", "sample", 0, 0, 0, n + len(sample) * log, len(sample)), ("pram", "locate", 1, 0, 0, n * max(1, int(math.log2(len(cut) + 2))), n), ("pram", "place", 2, 0, 0, tries, n), ("pram", "pack", 3, 0, 0, n, n)]
-    if refine:
-        rows += [("pram", "refine", 4 + i, 0, 0, n * max(1, int(2 * math.log2(log))), n) for i in range(2)]
-    rows += [("pram", "sort", 6, v, 0, m * max(1, int(math.log2(m + 1))), 4 * m) for v, m in sorted(sizes.items())]
-    return SortResult(positioned(frame, "__key", "node", sizes).drop("__key", "node"), ledger_frame(df, rows))
+    if not refine and place == "count":
+        rows = bucketing.positioned(df, keys, cuts, sizes, _partitions(df))
+        nodes = columns
+    else:
+        nodes = bucketing.locate(df, keys, cuts, "__top")
+        if place == "random":
+            cap = F.lit(max(1, int(c * max(log * log, n / (len(cuts) + 1)))))
+            slotted, left = bucketing.place_random(nodes.withColumnRenamed("__top", "bucket"), cap, ident, seed=seed)
+            nodes, tries = slotted.withColumnRenamed("bucket", "__top").drop("slot"), sum(left)
+        nodes = nodes.repartition(_partitions(df), "__top").withColumn("node", F.lit(0).cast("long"))
+        for _ in range(2 if refine else 0):
+            nodes = bucketing.split_nodes(nodes, keys, "__top")
+        before = array_literal([sum(x) for x in _running(sizes)], "bigint")
+        nth = F.row_number().over(W.partitionBy("__top").orderBy("node", *order_by(df, keys)))
+        rows = nodes.withColumn("pos", (F.get(before, F.col("__top")) + nth).cast("long")).drop("__top", "node")
+
+    def count() -> DataFrame:
+        words = [("pram", "sample", 0, 0, 0, n + len(sample) * log, len(sample)), ("pram", "locate", 1, 0, 0, n * max(1, int(math.log2(len(cuts) + 2))), n), ("pram", "place", 2, 0, 0, tries, n), ("pram", "pack", 3, 0, 0, n, n)]
+        if refine:
+            words += [("pram", "refine", 4 + i, 0, 0, n * max(1, int(2 * math.log2(log))), n) for i in range(2)]
+            held = bucketing.counts(nodes, "__top", "node")
+        else:
+            held = bucketing.counts(bucketing.locate(columns, keys, cuts, "__top"), "__top").withColumn("node", F.lit(0).cast("long"))
+        m = F.col("cnt")
+        leaf = held.select(F.lit("pram").alias("method"), F.lit("sort").alias("phase"), F.lit(6).alias("level"), (F.col("__top") * 4096 * 4096 + F.col("node")).cast("long").alias("node"), F.lit(0).cast("long").alias("rnd"), (m * F.greatest(F.lit(1), F.floor(F.log2((m + 1).cast("double"))))).cast("long").alias("reads"), (4 * m).cast("long").alias("writes"))
+        return ledger_frame(df, words).unionByName(leaf)
 
+    return SortResult(rows, count)
 
-def co_sort(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: int, base_rows_: int = 1024, M: int = 256, B: int = 16, seed: int = 42) -> SortResult:
-    """Cache-oblivious sort: no step looks at M or B, which only price the ledger.
 
-    A node of n rows is cut at splitters into s = sqrt(n/omega) buckets, a bucket at omega - 1 pivots into omega
-    sub-buckets, and so on until `base_rows_`. Splitters come from every log n-th row of sorted rows of s rows; the
-    result face finds them with a window. omega 1 is the standard algorithm.
+def _running(sizes: list[int]) -> Iterator[tuple[int]]:
+    total = 0
+    for n in sizes:
+        yield (total,)
+        total += n
+
+
+def _oblivious_levels(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: int, n: int, stop: int, seed: int) -> Iterator[tuple]:
+    """Levels of the cache-oblivious sort: (nodes, shape, bucket cuts, final cuts, first buckets, sizes, row segments).
+
+    A node's rows of s are sorted and every log n-th key of a row is sampled; evenly spaced ones cut the node into s
+    buckets. A bucket is sampled anew at max(omega, sqrt(omega n) / log n) keys for the omega - 1 pivots that its omega
+    scans go by. Where the samples of a level are more than the driver takes, a coin thins them, all by one rate.
     """
-    spark = df.sparkSession
-    frame = df.withColumn("__key", total_order_key(df, keys)).withColumn("node", F.lit(0).cast("long"))
-    sizes, level = {0: df.count()}, 0
-    stop = max(base_rows_, omega * omega, 16)
-    rows: list[tuple] = []
-    while any(n > stop for n in sizes.values()) and level < MOST_LEVELS:
-        big = {v: n for v, n in sizes.items() if n > stop}
-        shape = {v: (max(1, math.isqrt(n // omega)), max(1, int(math.log2(n)))) for v, n in big.items()}
-        table = F.broadcast(spark.createDataFrame([(v, s, lg, max(1, n // s)) for (v, n), (s, lg) in zip(big.items(), shape.values(), strict=True)], "node long, s long, lg long, rows long"))
-        dealt = frame.join(table, "node").withColumn("row", F.pmod(F.xxhash64(*coin, F.lit(level)), F.col("rows")))
-        thin = dealt.withColumn("i", F.row_number().over(W.partitionBy("node", "row").orderBy("__key"))).where(F.col("i") % F.col("lg") == 0)
-        found = {r["node"]: [tuple(x) for x in r["x"]] for r in thin.groupBy("node").agg(F.array_sort(F.collect_list("__key")).alias("x")).collect()}
-        # s - 1 splitters make the buckets of a node, then omega - 1 pivots out of the same sample the parts of a bucket.
-        cuts, pivots = {}, []
-        width = max(s for s, _ in shape.values()) + 2
-        for v in big:
-            s, sample = shape[v][0], found.get(v, [])
-            cuts[v] = bucketing.evenly(sample, min(s, max(2, len(sample) // 2)) - 1)
-            at = [0, *(bisect.bisect_left(sample, c) for c in cuts[v]), len(sample)]
-            pivots += [(v * width + i, bucketing.evenly(sample[lo:hi], omega - 1)) for i, (lo, hi) in enumerate(zip(at, at[1:], strict=False)) if omega > 1]
-        kind = frame.schema["__key"].dataType.simpleString()
-        arrays = lambda rows_: F.broadcast(spark.createDataFrame(rows_, f"node long, __cuts array<{kind}>"))
-        below: Column = F.coalesce(F.size(F.filter("__cuts", lambda c: c <= F.col("__key"))), F.lit(0))
-        if len(sizes) == 1 and len(cuts[0]) <= 512:
-            bucket: Column = bucketing.locate(F.col("__key"), cuts[0])
-        else:
-            frame, bucket = frame.join(arrays(list(cuts.items())), "node", "left"), below
-        frame = frame.withColumn("node", F.col("node") * width + bucket).drop("__cuts")
-        if pivots:
-            frame = frame.join(arrays(pivots), "node", "left").withColumn("node", F.col("node") * omega + below).drop("__cuts")
-        now = {r["node"]: r["cnt"] for r in bucketing.counts(frame, "node").collect()}
-        for v, n in big.items():
-            nb = -(-n // B)
-            rows += [("oblivious", "rows", level, v, 0, nb, nb), ("oblivious", "splitters", level, v, 0, nb, nb), ("oblivious", "gather", level, v, 0, nb, nb), ("oblivious", "subsplit", level, v, 0, omega * nb, nb)]
-        if max(now.values()) >= max(sizes.values()):
-            break
-        sizes, level = now, level + 1
-    for v, n in sorted(sizes.items()):
-        lev = max(1, math.ceil(math.log(max(n / M, 1) + 1, 2)))
-        rows.append(("oblivious", "base", level, v, 0, lev * -(-n // B), lev * -(-n // B)))
-    return SortResult(positioned(frame, "__key", "node", sizes).drop("__key", "node"), ledger_frame(df, rows))
+    frame, cuts, sizes = _key_columns(df, keys, coin), [], [n]
+    for level in range(MOST_LEVELS):
+        big = {v: m for v, m in enumerate(sizes) if m > stop}
+        if not big:
+            return
+        shape = {v: (max(2, math.isqrt(m // omega)), max(1, int(math.log2(m)))) for v, m in big.items()}
+        of = lambda pick: array_literal([pick(v) if v in shape else 0 for v in range(len(sizes))], "bigint")  # noqa: E731, B023
+        node = F.col("__node")
+        located = bucketing.locate(frame, keys, cuts, "__node").where(F.get(of(lambda v: shape[v][0]), node) > 0)
+        row = F.pmod(F.xxhash64(*coin, F.lit(seed + level)), F.get(of(lambda v: max(1, big[v] // shape[v][0])), node))
+        thin = bucketing.thinned(located, keys, row, F.get(of(lambda v: shape[v][1]), node), "__node")
+        expected = sum(m / shape[v][1] for v, m in big.items())
+        if expected > bucketing.MOST_SPLITTERS:
+            thin = thin.where(coin_of(coin, coin_limit(bucketing.MOST_SPLITTERS / expected), seed + 100 + level))
+        found: dict[int, list[tuple]] = {}
+        for r in bucketing.collected(thin, keys, "__node"):
+            found.setdefault(r[0], []).append(r[1:])
+        inner = {v: bucketing.evenly(found.get(v, []), min(shape[v][0], max(2, len(found.get(v, [])) // 2)) - 1) for v in big}
+        buckets, first = bucketing.merged(cuts, inner)
+        held = bucketing.sizes_of(frame, keys, buckets)
+        segments = {v: min(m, max(1, m // shape[v][0]) * (len(inner[v]) + 1)) for v, m in big.items()}
+        final, turn = buckets, list(range(len(buckets) + 1))
+        if omega > 1:
+            parts = {u: held[u] for v in big for u in range(first[v], first[v] + len(inner[v]) + 1) if held[u] > omega}
+            fans = {u: (m, omega) for u, m in parts.items()}
+            pivots = bucketing.node_splitters(frame, keys, coin, buckets, fans, max(1.0, math.sqrt(omega * n) / max(1, math.log2(n)) / omega / max(1.0, math.log2(max(n, 2)))), seed + 200 + level)
+            final, turn = bucketing.merged(buckets, pivots)
+        now = bucketing.sizes_of(frame, keys, final)
+        yield big, shape, first, turn, held, now, segments, final
+        if max(now) >= max(sizes):
+            raise RuntimeError("nodes do not shrink; are the keys unique?")
+        cuts, sizes = final, now
 
 
-def em_heap(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, columns: list[str], seed: int = 42) -> SortResult:
-    """External heapsort: rows are dealt to shards by key range; each shard's queue takes all its keys and gives them back.
+def co_sort(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: int, base_rows_: int = 1024, M: int = 256, B: int = 16, seed: int = 42) -> SortResult:
+    """Cache-oblivious sort: no step looks at M or B, which only price the ledger.
 
-    The queue runs inside the group function and its drained order is the shard's; offsets join the shards.
+    A node of n rows is cut at splitters into sqrt(n/omega) buckets, a bucket at omega - 1 pivots into omega sub-buckets,
+    and so on until `base_rows_` (`_oblivious_levels`). The result face deals the sub-buckets of the first level out,
+    whole and in order, and sorts them where they lie. omega 1 is the standard algorithm.
+    """
+    n = df.count()
+    stop = max(base_rows_, omega * omega, 16)
+    first_level = next(_oblivious_levels(df, keys, coin, omega, n, stop, seed), None)
+    cuts, sizes = (first_level[7], first_level[5]) if first_level else ([], [n])
+
+    def count() -> DataFrame:
+        nb = lambda m: -(-m // B)
+        rows: list[tuple] = []
+        leaves, level = {0: n}, 0
+        for big, shape, first, turn, held, now, segments, _ in _oblivious_levels(df, keys, coin, omega, n, stop, seed):
+            done = set(big)
+            for v, m in big.items():
+                s, log = shape[v]
+                drawn = m // log
+                # Rows of s are sorted by recursion: their own levels, at the rate of one scan and one write a level.
+                deep = max(1, math.ceil(math.log(max(s, 2)) / math.log(max(omega * M, 2))))
+                rows.append(("oblivious", "rows", level, v, 0, deep * omega * nb(m), deep * nb(m)))
+                rows.append(("oblivious", "splitters", level, v, 0, nb(m) + nb(drawn) * max(1, math.ceil(math.log2(max(drawn / M, 2)))), nb(drawn) * max(1, math.ceil(math.log2(max(drawn / M, 2))))))
+                own = range(first[v], first[v + 1] if v + 1 < len(first) else len(held))
+                rows.append(("oblivious", "gather", level, v, 0, nb(m) + nb(segments[v]), sum(nb(held[u]) for u in own) + nb(segments[v])))
+                for u in own if omega > 1 else ():
+                    parts = now[turn[u] : turn[u + 1] if u + 1 < len(turn) else len(now)]
+                    for r, part in enumerate(parts):  # a scan of the bucket for each of its sub-buckets
+                        rows.append(("oblivious", "subsplit", level, u, r, nb(held[u]), nb(part)))
+            leaves = {turn[u] + i: c for v in done for u in range(first[v], first[v + 1] if v + 1 < len(first) else len(held)) for i, c in enumerate(now[turn[u] : turn[u + 1] if u + 1 < len(turn) else len(now)]) if c <= stop}
+            rows += [("oblivious", "base", level, u, 0, nb(c) * max(1, math.ceil(math.log2(max(c / M, 1) + 1))), nb(c) * max(1, math.ceil(math.log2(max(c / M, 1) + 1)))) for u, c in sorted(leaves.items()) if c]
+            level += 1
+        if not level:
+            rows.append(("oblivious", "base", 0, 0, 0, nb(n), nb(n)))
+        return ledger_frame(df, rows)
+
+    return SortResult(bucketing.positioned(df, keys, cuts, sizes, _partitions(df)), count)
+
+
+def em_heap(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42) -> SortResult:
+    """External heapsort: rows are dealt to shards by key range; each shard's queue takes all its keys, in hashed order,
+    and gives them back. A row's place in its shard is the one at which the queue gave its key back; offsets join shards.
     """
     from writelite.operators import pq
 
     n = df.count()
-    frame = df.select(*columns, total_order_key(df, keys).alias("__key"))
+    frame = _key_columns(df, keys, coin)
     fan = max(1, min(64, -(-n // (4 * mp.k * mp.M))))
-    cut = bucketing.splitters(frame, F.col("__key"), coin, n, fan, 4.0, seed) if fan > 1 else []
-    frame = frame.withColumn("node", bucketing.locate(F.col("__key"), cut).cast("long"))
-    sizes = {r["node"]: r["cnt"] for r in bucketing.counts(frame, "node").collect()}
-    ranked = frame.withColumn("rank", F.row_number().over(W.partitionBy("node").orderBy("__key")).cast("long"))
-    ops = ranked.select(F.col("node").alias("shard"), F.xxhash64("__key").alias("shuffled"), F.col("rank").alias("key"))
-    drained, ledger = pq.heap_sort(ops, mp)
-    order = ranked.join(drained.select(F.col("shard").alias("node"), F.col("key").alias("rank"), F.col("nth")), ["node", "rank"])
-    start, total = [], 0
-    for v in sorted(sizes):
-        start.append((v, total))
-        total += sizes[v]
-    table = F.broadcast(df.sparkSession.createDataFrame(start or [(0, 0)], "node long, before long"))
-    rows = order.join(table, "node").withColumn("pos", (F.col("before") + F.col("nth")).cast("long")).select(*columns, "pos")
-    return SortResult(rows, ledger)
+    cuts = bucketing.splitters(frame, keys, coin, n, fan, OVER, seed) if fan > 1 else []
+    sizes = bucketing.sizes_of(frame, keys, cuts) if cuts else [n]
+    rows = pq.drained(bucketing.locate(df, keys, cuts, "__shard"), keys, coin, mp)
+    before = array_literal([sum(x) for x in _running(sizes)], "bigint")
+    placed = rows.withColumn("pos", (F.get(before, F.col("__shard")) + F.col("__nth")).cast("long")).drop("__shard", "__nth")
+    return SortResult(placed, lambda: pq.drained_ledger(bucketing.locate(frame, keys, cuts, "__shard"), keys, coin, mp))
 
 
 def ram_tree(df: DataFrame, keys: list[str | SortKey], by: str) -> DataFrame:
     """Tree sort of each group of `by`: the result face is a local sort, positions are within the group."""
-    frame = df.withColumn("__key", total_order_key(df, keys))
-    return frame.withColumn("pos", F.row_number().over(W.partitionBy(by).orderBy("__key")).cast("long")).drop("__key")
+    return df.withColumn("pos", F.row_number().over(W.partitionBy(by).orderBy(*order_by(df, keys))).cast("long"))

@@ -85,8 +85,8 @@ def _one_level(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     cuts = steps[0]
     for s in steps[1:]:
         cuts = cuts.unionByName(s)
-    rows = cuts.orderBy("i").collect()
-    return df.withColumn("bucket", bucketing.locate(key, [tuple(r["k"]) for r in rows]).cast("long")), cuts.drop("k")
+    found = bucketing.collected(cuts, REAL)
+    return bucketing.locate(df, REAL, found, "bucket").withColumn("bucket", F.col("bucket").cast("long")), cuts.drop("k")
 
 
 _CUTS_SQL = f"""
@@ -235,7 +235,7 @@ def _heap_by_priority(spark: SparkSession, d: str) -> DataFrame:
 
 def _heap_global(spark: SparkSession, d: str) -> DataFrame:
     o = table(spark, d, "orders").select("o_totalprice", "o_orderkey")
-    return sort.em_heap(o, ["o_totalprice", "o_orderkey"], ["o_orderkey"], HEAP, ["o_totalprice", "o_orderkey"]).rows
+    return sort.em_heap(o, ["o_totalprice", "o_orderkey"], ["o_orderkey"], HEAP).rows
 
 
 def _pq_amortised(spark: SparkSession, d: str) -> DataFrame:
@@ -335,7 +335,7 @@ def _deterministic(spark: SparkSession, d: str) -> DataFrame:
 
     o = table(spark, d, "orders").select((F.round(F.col("o_totalprice") * 100).cast("long") * 1_000_000 + F.col("o_orderkey")).alias("key"))
     m = o.count()
-    rows, _ = bucketing.deterministic_split(o, "key", m=m)
+    rows, _ = bucketing.deterministic_split(o, ["key"], m=m)
     bound = m ** (2 / 3) * (math.log2(m) + 1)
     spans = rows.groupBy("bucket").agg(F.count(F.lit(1)).alias("cnt"), F.min("key").alias("lo"), F.max("key").alias("hi"))
     after = F.lead("lo").over(W.orderBy("bucket"))
