@@ -3,8 +3,8 @@
 A text longer than a chunk is cut into chunks that overlap. Chunks are pre-tokenised in parallel, each from its own
 start. The pattern looks only ahead, so once two neighbours have a boundary at the same place inside their overlap,
 everything after it is the same for both: there the text is cut, and the pieces between cuts are encoded in parallel.
-A cut stands after a character that is not white space, where a piece by itself ends as it does in its text. A text
-in which some neighbours never agree (a token longer than the overlap) is one piece.
+A cut stands after a character that is not white space, where a piece by itself ends as it does in its text.
+Neighbours that never agree (a token longer than the overlap) are one piece.
 """
 
 from __future__ import annotations
@@ -22,11 +22,11 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from writelite.llm.common import slabs
+from writelite.llm.common import lean, slabs
 
 CHUNK, OVERLAP = 16_384, 512
 #: Bytes of text that a worker encodes before it hands the ids on.
-SLAB = 4_000_000
+SLAB = 1_000_000
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 _cached: dict[str, tiktoken.Encoding] = {}
 
@@ -112,7 +112,7 @@ def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
     rows = df.select(F.col(key).alias("__k"), F.coalesce(F.col(text), F.lit("")).alias("__t"))
     kind = dict(rows.dtypes)["__k"]
     length = F.length("__t")
-    short = rows.where(length <= chunk).mapInArrow(_encode_rows(ranks, pattern, "__t", False), f"__k {kind}, ids binary")
+    short = rows.where(length <= chunk).mapInArrow(lean(_encode_rows(ranks, pattern, "__t", False)), f"__k {kind}, ids binary")
 
     # A long text is named by a digest of its key and itself; equal rows are one text that is given as often at the end.
     named = rows.where(length > chunk).withColumn("__h", F.md5(F.concat(F.coalesce(F.concat(F.lit("k"), F.col("__k").cast("string")), F.lit("n")), F.lit("|"), "__t")))
@@ -121,19 +121,23 @@ def encode(df: DataFrame, key: str = "doc_id", text: str = "text", path: str | N
     pieces = pieces.select("__h", "__len", F.col("__at").cast("long").alias("__at"), F.substring("__t", F.col("__at") + 1, F.lit(chunk + overlap)).alias("__piece"))
     # One exchange of the pieces serves the pre-tokens and, once the cuts are known, the encoding.
     dealt = pieces.repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "__h", "__at").dropDuplicates(["__h", "__at"])
-    ends = dealt.mapInArrow(_split_rows(pattern, chunk, overlap), "__h string, __len long, __at long, __head array<long>, __tail array<long>")
-    along, all_ = W.partitionBy("__h").orderBy("__at"), W.partitionBy("__h")
+    ends = dealt.mapInArrow(lean(_split_rows(pattern, chunk, overlap)), "__h string, __len long, __at long, __head array<long>, __tail array<long>")
+    along = W.partitionBy("__h").orderBy("__at")
     meet: Column = F.array_min(F.array_intersect("__tail", F.lead("__head").over(along)))
     cuts = ends.withColumn("__cut", F.when(F.col("__at") + chunk >= F.col("__len"), F.col("__len")).otherwise(meet))
-    cuts = cuts.select("__h", "__at", "__cut", F.max(F.col("__cut").isNull()).over(all_).alias("__whole"), F.coalesce(F.lag("__cut").over(along), F.lit(0)).alias("__from"))
+    # Chunks without a cut between them go together under the place of the first one.
+    begins = F.coalesce(F.lag("__cut").over(along).isNotNull(), F.lit(False)) | (F.col("__at") == 0)
+    first = F.last(F.when(begins, F.col("__at")), ignorenulls=True).over(along.rowsBetween(W.unboundedPreceding, 0))
+    to = F.coalesce("__cut", F.col("__at") + chunk)
+    cuts = cuts.select("__h", "__at", to.alias("__to"), F.coalesce(F.lag("__cut").over(along), F.col("__at")).alias("__from"), first.alias("__first"), (begins & F.col("__cut").isNotNull()).alias("__alone"))
     met = dealt.join(cuts.hint("shuffle_hash"), ["__h", "__at"])
-    own = F.substring("__piece", (F.col("__from") - F.col("__at") + 1).cast("int"), (F.col("__cut") - F.col("__from")).cast("int"))
-    apart = met.where(~F.col("__whole")).select("__h", "__at", own.alias("__t"))
-    at_once = met.where("__whole").groupBy("__h").agg(F.array_sort(F.collect_list(F.struct("__at", F.substring("__piece", 1, chunk).alias("t")))).alias("p"))
-    texts = apart.unionByName(at_once.select("__h", F.lit(0).cast("long").alias("__at"), F.array_join("p.t", "").alias("__t")))
-    parts = texts.mapInArrow(_encode_rows(ranks, pattern, "__t", True), "__h string, __at long, ids binary")
+    own = F.substring("__piece", (F.col("__from") - F.col("__at") + 1).cast("int"), (F.col("__to") - F.col("__from")).cast("int")).alias("__t")
+    apart = met.where("__alone").select("__h", "__at", own)
+    together = met.where("NOT __alone").select("__h", "__first", "__at", own).groupBy("__h", "__first").agg(F.array_sort(F.collect_list(F.struct("__at", "__t"))).alias("p"))
+    texts = apart.unionByName(together.select("__h", F.col("__first").alias("__at"), F.array_join("p.__t", "").alias("__t")))
+    parts = texts.mapInArrow(lean(_encode_rows(ranks, pattern, "__t", True)), "__h string, __at long, ids binary")
     joined = parts.groupBy("__h").agg(F.array_sort(F.collect_list(F.struct("__at", "ids"))).alias("p")).join(names, "__h").select("__k", F.col("p.ids").alias("ids"), "__n")
-    long = joined.mapInArrow(_join_rows(ranks, pattern), f"__k {kind}, ids binary, __n long").select("__k", "ids", F.explode(F.sequence(F.lit(1), F.col("__n")))).select("__k", "ids")
+    long = joined.mapInArrow(lean(_join_rows(ranks, pattern)), f"__k {kind}, ids binary, __n long").select("__k", "ids", F.explode(F.sequence(F.lit(1), F.col("__n")))).select("__k", "ids")
     return short.unionByName(long).withColumnRenamed("__k", key)
 
 
@@ -155,11 +159,11 @@ def decode(encoded: DataFrame, key: str = "doc_id", path: str | None = None, pat
     """Rows (key, ids, decoded): the raw bytes of the ids, one token's after another's. A null list decodes to no bytes."""
     ranks = encoded.sparkSession.sparkContext.broadcast(load_ranks(path or public_tokenizers.path(VOCABULARY)))
     kind = dict(encoded.dtypes)[key]
-    return encoded.select(key, "ids").mapInArrow(_decode_rows(ranks, pattern, False), f"`{key}` {kind}, ids binary, decoded binary")
+    return encoded.select(key, "ids").mapInArrow(lean(_decode_rows(ranks, pattern, False)), f"`{key}` {kind}, ids binary, decoded binary")
 
 
 def report(df: DataFrame, path: str | None = None) -> DataFrame:
     """(doc_id, n_tokens, ids_sha256, decoded_sha256) of documents: encoded, then decoded from the ids."""
     ranks = df.sparkSession.sparkContext.broadcast(load_ranks(path or public_tokenizers.path(VOCABULARY)))
     encoded = encode(df.select("doc_id", "text"), path=path)
-    return encoded.mapInArrow(_decode_rows(ranks, public_tokenizers.PATTERN, True), f"doc_id {dict(df.dtypes)['doc_id']}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return encoded.mapInArrow(lean(_decode_rows(ranks, public_tokenizers.PATTERN, True)), f"doc_id {dict(df.dtypes)['doc_id']}, n_tokens long, ids_sha256 string, decoded_sha256 string")

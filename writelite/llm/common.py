@@ -6,9 +6,11 @@ the bytes, so a task that is run again on another executor gives the same rows.
 
 from __future__ import annotations
 
+import ctypes
+import functools
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -18,27 +20,105 @@ from pyspark.sql import functions as F
 U64 = np.uint64
 
 
+#: Tables that this process has written in the shared folder and not yet swept away.
+_written: list[str] = []
+
+
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see: spark.checkpoint.dir, or one of its own where that is unset."""
+    """The folder that the driver and all executors see: spark.checkpoint.dir, or in local mode one of its own."""
     sc = spark.sparkContext
     if not sc.getCheckpointDir():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="writelite_"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors see")
+        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="writelite_"))
     return sc.getCheckpointDir().rstrip("/")
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Cut the lineage by checkpoint() in the shared folder."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint()
+def stored(df: DataFrame, name: str, files: int | None = None) -> DataFrame:
+    """Write a table once in the shared folder and read it back: later scans prune columns, and lineage ends here.
 
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write a table once in the shared folder and read it back, so that later scans can prune columns."""
+    files: at most so many, where the table is known to be small for its number of partitions.
+    """
     path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    (df.coalesce(files) if files else df).write.parquet(path)
+    _written.append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def sweep(spark: SparkSession, *paths: str) -> None:
+    """Delete tables in the shared folder: those named, or all that `stored` has written. For when nothing reads them any more."""
+    for path in paths or tuple(_written):
+        at = spark._jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+        if path in _written:
+            _written.remove(path)
+
+
+def tasks_for(spark: SparkSession, size: int, each: int = 32_000_000) -> int:
+    """Tasks for `size` bytes: one for each `each` of them, and no fewer than the cluster runs at once."""
+    return max(spark.sparkContext.defaultParallelism, -(-int(size) // each), 1)
+
+
+@functools.lru_cache(maxsize=1)
+def _libc():
+    try:
+        return ctypes.CDLL("libc.so.6")
+    except OSError:
+        return None
+
+
+def give_back() -> None:
+    """Hand freed memory back to the system: allocators keep it otherwise, in every worker that waits for its next task."""
+    pa.default_memory_pool().release_unused()
+    if (libc := _libc()) is not None:
+        libc.malloc_trim(0)
+
+
+def lean(go: Callable) -> Callable:
+    """A function over Arrow batches that gives its memory back when a partition ends."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from go(batches)
+        finally:
+            give_back()
+
+    return run
+
+
+_seen = [0]
+
+
+def _passed(size: int, each: int = 8_000_000) -> None:
+    _seen[0] += size
+    if _seen[0] >= each:
+        _seen[0] = 0
+        give_back()
+
+
+def lean_group(go: Callable) -> Callable:
+    """A function over the Arrow table of a group that gives memory back after some megabytes of groups."""
+
+    def run(table: pa.Table) -> pa.Table:
+        out, size = go(table), table.nbytes
+        _passed(size)
+        return out
+
+    return run
+
+
+def lean_pair(go: Callable) -> Callable:
+    """The same for the two tables of a cogroup."""
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        out, size = go(left, right), left.nbytes + right.nbytes
+        _passed(size)
+        return out
+
+    return run
+
+
 def bucket_count(spark: SparkSession, items: int, each: int) -> int:
     """Buckets for an exchange of packed arrays: enough that each holds about `each` items, and as many as partitions."""
     return int(max(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-max(items, 0) // each), 1))
@@ -63,13 +143,18 @@ class Rolling:
     """Hashes of slices of a sequence of 64-bit values, by differences of one running sum."""
 
     BASE = 0x9E3779B97F4A7C15 | 1
+    KEPT = 1_000_000
 
     def __init__(self) -> None:
         self.up = self.down = np.ones(0, dtype=U64)
 
     def tables(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """Powers of the base and of its inverse; kept up to KEPT of them, made anew for longer sequences."""
         if len(self.up) < n:
-            self.up, self.down = _powers(self.BASE, n), _powers(pow(self.BASE, -1, 2**64), n)
+            made = _powers(self.BASE, n), _powers(pow(self.BASE, -1, 2**64), n)
+            if n > self.KEPT:
+                return made
+            self.up, self.down = made
         return self.up[:n], self.down[:n]
 
     def slices(self, values: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
@@ -181,7 +266,7 @@ def components(links: DataFrame) -> DataFrame:
 
     Alternates two steps until nothing changes: every node tells its larger neighbours of its least neighbour, then
     every node tells its smaller neighbours and itself of it. Rounds grow with the logarithm of the longest chain. Links stay distributed, a
-    hub's links are reduced by partial minima before they meet, and each round is cut by checkpoint().
+    hub's links are reduced by partial minima before they meet, and each round is written in the shared folder.
     """
 
     def both(e: DataFrame) -> DataFrame:
@@ -190,16 +275,19 @@ def components(links: DataFrame) -> DataFrame:
     def least(e: DataFrame) -> DataFrame:
         return e.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
 
-    edges = cut(links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct())
-    if edges.isEmpty():
+    # Tables of links are narrow: as many files as tasks run at once, and more only where the links are many.
+    files = tasks_for(links.sparkSession, 0)
+    edges = stored(links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct(), "links", files)
+    last = edges.agg(F.count(F.lit(1)), F.sum(F.hash("a", "b").cast("long"))).first()
+    if not last[0]:
         return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
-    last = None
     while True:
+        files = tasks_for(links.sparkSession, 16 * last[0])
         wide = both(edges)
         large = wide.join(least(wide), "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
         low = least(large)
         small = large.join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).union(low.select("a", F.col("m").alias("b")))
-        edges = cut(small.where("a <> b").distinct())
+        edges = stored(small.where("a <> b").distinct(), "links", files)
         now = edges.agg(F.count(F.lit(1)), F.sum(F.hash("a", "b").cast("long"))).first()
         if now == last:
             break

@@ -19,6 +19,8 @@ from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from writelite.llm.common import lean
+
 Q, EDITS, BLOCK_MB = 8, 0.1, 16
 U64 = np.uint64
 
@@ -97,7 +99,8 @@ class Items:
         pair = text * len(self.ids) + item
         _, back, shared = np.unique(pair, return_inverse=True, return_counts=True)
         near = shared[back] >= self.least[item]
-        item, text, at, pair, where = item[near], text[near], at[near], pair[near], where[near]
+        # From here a pair goes by its rank: ranks and diagonals fit in 64 bits together, whatever texts and items are.
+        item, text, at, pair, where = item[near], text[near], at[near], back[near], where[near]
         # Bands start at multiples of k + 1 and are 2k + 2 wide, so diagonals within k of each other share a band.
         width, shift = self.budget[item] + 1, 1 << 32
         starts = np.r_[0, ends[:-1]]
@@ -208,7 +211,7 @@ def hits(df: DataFrame, items: DataFrame, key: str = "doc_id", text: str = "text
     repeated hits; a null key is kept; empty tables give no rows.
     """
     schema = f"`{key}` {dict(df.dtypes)[key]}, item_id long, edits long, end long"
-    found = [df.select(key, text).mapInArrow(_find_rows(sent, stamp, q, edits), schema) for sent, stamp in _blocks(items, q, block_mb)]
+    found = [df.select(key, text).mapInArrow(lean(_find_rows(sent, stamp, q, edits)), schema) for sent, stamp in _blocks(items, q, block_mb)]
     return functools.reduce(DataFrame.unionByName, found)
 
 
@@ -221,5 +224,5 @@ def report(df: DataFrame, items: DataFrame) -> DataFrame:
 def clean(df: DataFrame, items: DataFrame, text: str = "text", q: int = Q, edits: float = EDITS, block_mb: float = BLOCK_MB) -> DataFrame:
     """The rows of df that hold no item, with all their columns; nothing is shuffled."""
     for sent, stamp in _blocks(items, q, block_mb):
-        df = df.mapInArrow(_clean_rows(sent, stamp, q, edits, text), df.schema)
+        df = df.mapInArrow(lean(_clean_rows(sent, stamp, q, edits, text)), df.schema)
     return df

@@ -28,9 +28,11 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from writelite.llm.common import bucket_count, components, gather, runs, scatter, slabs, stored, text_bytes, window_hashes, word_hashes
+from writelite.llm.common import bucket_count, components, gather, lean, lean_group, lean_pair, runs, scatter, slabs, stored, tasks_for, text_bytes, window_hashes, word_hashes
 
 SHINGLE, LONG_LIST, TILE = 5, 64, 1024
+#: Bytes of text whose words are hashed at once.
+SLAB = 500_000
 #: Up to this many keys of survivors (16 MB) are broadcast; beyond, they are joined by an exchange.
 BROADCAST_KEYS = 2_000_000
 U64 = np.uint64
@@ -71,7 +73,7 @@ def sets(part: pa.RecordBatch, width: int) -> Iterator[np.ndarray]:
 def _sign_rows(width: int):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slabs(batch, "t"):
+            for part in slabs(batch, "t", SLAB):
                 n, keys, low = [], [], []
                 for s in sets(part, width):
                     m = np.int64(len(s))
@@ -86,7 +88,7 @@ def _sign_rows(width: int):
 def _set_rows(width: int, groups: int):
     def go(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slabs(batch, "t"):
+            for part in slabs(batch, "t", SLAB):
                 packed = [s.tobytes() for s in sets(part, width)]
                 k = part.column("k")
                 yield pa.RecordBatch.from_arrays([k, pa.array([len(s) // 8 for s in packed], pa.int64()), pa.array([xxhash.xxh3_64_intdigest(np.int64(x).tobytes()) % groups for x in k.to_pylist()], pa.int32()), pa.array(packed, pa.binary())], names=["k", "n", "g", "shingles"])
@@ -290,34 +292,34 @@ def search(df: DataFrame, key: str = "doc_id", text: str = "text", width: int =
     """(signatures (k, n, same, low) of all rows, links (a, b) between the least keys of different sets)."""
     spark = df.sparkSession
     rows = df.select(F.col(key).cast("long").alias("k"), F.coalesce(F.col(text), F.lit("")).alias("t"))
-    signed = stored(rows.mapInArrow(_sign_rows(width), "k long, n long, same binary, low binary"), "shingle-signatures")
+    signed = stored(rows.mapInArrow(lean(_sign_rows(width)), "k long, n long, same binary, low binary"), "shingle-signatures")
     alone = signed.where("k IS NOT NULL AND n > 0").groupBy("same").agg(F.min(F.struct("k", "n", "low")).alias("x")).select("x.k", "x.n", "x.low")
-    total = signed.agg(F.sum(F.octet_length("low") / 8)).first()[0] or 0
-    buckets = bucket_count(spark, int(total), 3_000_000)
-    low = alone.select("k", "low").mapInArrow(_low_rows(buckets), "b int, hash binary, k binary, done binary, fk binary, fn binary")
-    found = low.groupBy("b").applyInArrow(_count_low(buckets), "g int, ks binary, found binary").groupBy("g").applyInArrow(_sum_low, "k long, found long")
+    n_rows, n_all, n_low = signed.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum(F.octet_length("low") / 8), F.lit(0))).first()
+    buckets = bucket_count(spark, int(n_low), 3_000_000)
+    low = alone.select("k", "low").mapInArrow(lean(_low_rows(buckets)), "b int, hash binary, k binary, done binary, fk binary, fn binary")
+    found = low.groupBy("b").applyInArrow(lean_group(_count_low(buckets)), "g int, ks binary, found binary").groupBy("g").applyInArrow(lean_group(_sum_low), "k long, found long")
     t = F.floor((4 * F.col("n") + 4) / 5)
     few = signed.where("k IS NOT NULL AND n > 0").groupBy("same").agg(F.min(F.struct("k", "n")).alias("x")).select("x.k", "x.n")
-    left = stored(few.join(found, "k").where(F.col("found") >= 1 + F.floor(t / 10)).select(F.col("k").alias("s"), "n"), "shingle-survivors")
+    left = stored(few.join(found, "k").where(F.col("found") >= 1 + F.floor(t / 10)).select(F.col("k").alias("s"), "n"), "shingle-survivors", tasks_for(spark, 16 * n_rows))
     size = left.agg(F.count(F.lit(1)), F.coalesce(F.sum("n"), F.lit(0))).first()
     chosen = left.select("s")
     chosen = F.broadcast(chosen) if size[0] <= BROADCAST_KEYS else chosen
     groups = bucket_count(spark, size[1], 1_000_000)
     # Repeated rows of one key would be two documents here; one row a set is enough.
     own = rows.join(chosen, F.col("k") == F.col("s")).select("k", "t")
-    whole = stored(own.mapInArrow(_set_rows(width, groups), "k long, n long, g int, shingles binary").dropDuplicates(["k", "shingles"]), "shingle-sets")
-    lists = whole.groupBy("g").applyInArrow(_group_lists(groups), "b int, g int, hash binary, n binary, lead binary").groupBy("b").applyInArrow(_sum_lists, "g int, hash binary, n binary, lead binary")
-    parts = stored(whole.groupBy("g").cogroup(lists.groupBy("g")).applyInArrow(_divide(groups, long_list, tile), PARTS), "shingle-lists")
-    pairs = parts.where("b >= 0").groupBy("b").applyInArrow(_merge_short, "a long, b long, met long, least long")
+    whole = stored(own.mapInArrow(lean(_set_rows(width, groups)), "k long, n long, g int, shingles binary").dropDuplicates(["k", "shingles"]), "shingle-sets", tasks_for(spark, 8 * size[1]))
+    lists = whole.groupBy("g").applyInArrow(lean_group(_group_lists(groups)), "b int, g int, hash binary, n binary, lead binary").groupBy("b").applyInArrow(lean_group(_sum_lists), "g int, hash binary, n binary, lead binary")
+    parts = stored(whole.groupBy("g").cogroup(lists.groupBy("g")).applyInArrow(lean_pair(_divide(groups, long_list, tile)), PARTS), "shingle-lists", tasks_for(spark, 24 * size[1]))
+    pairs = parts.where("b >= 0").groupBy("b").applyInArrow(lean_group(_merge_short), "a long, b long, met long, least long")
     pairs = pairs.groupBy("a", "b").agg(F.sum("met").alias("met"), F.min("least").alias("least")).where("met >= least").select("a", "b")
     side = whole.select("k", "shingles")
     probed = pairs.join(side.select(F.col("k").alias("a"), F.col("shingles").alias("sa")), "a").join(side.select(F.col("k").alias("b"), F.col("shingles").alias("sb")), "b").select("a", "b", "sa", "sb")
-    short = probed.mapInArrow(_probe_rows, "a long, b long")
-    long = parts.where("b < 0").groupBy("lead", "i", "j").applyInArrow(_link_tile, "a long, b long")
+    short = probed.mapInArrow(lean(_probe_rows), "a long, b long")
+    long = parts.where("b < 0").groupBy("lead", "i", "j").applyInArrow(lean_group(_link_tile), "a long, b long")
     return signed, short.unionByName(long)
 
 
-def classes(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = SHINGLE) -> DataFrame:
+def classes(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = SHINGLE, salts: int = 16) -> DataFrame:
     """Rows (key, n_shingles, component_id), one for each row of df.
 
     component_id is the least key reachable by links. Null and empty texts have no shingles and stand alone; a row with a
@@ -325,9 +327,12 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text", width: int =
     by the key; an empty table gives none; other columns are ignored.
     """
     signed, links = search(df, key, text, width)
-    # A set's copies hang on its least key; a component of sets then names the least key of them all.
-    least = signed.where("k IS NOT NULL AND n > 0").groupBy("same").agg(F.min("k").alias("first"))
-    member = signed.select("k", "n", "same").join(least, "same", "left").select("k", "n", F.when(F.col("n") > 0, F.col("first")).alias("first"))
+    # A set's copies hang on its least key; a component of sets then names the least key of them all. Sets of one row
+    # need no partner in this join, and the copies of a set meet its least key under several salts, in as many tasks.
+    least = signed.where("k IS NOT NULL AND n > 0").groupBy("same").agg(F.min("k").alias("first"), F.count(F.lit(1)).alias("m")).where("m > 1")
+    least = least.select("same", "first", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"))
+    own = signed.select("k", "n", "same", F.pmod(F.xxhash64("k"), F.lit(salts)).cast("int").alias("salt"))
+    member = own.join(least, ["same", "salt"], "left").select("k", "n", F.when(F.col("n") > 0, F.coalesce("first", "k")).alias("first"))
     # Only a key of several sets needs links of its own besides those between first keys.
     ties = member.where("k IS NOT NULL AND first IS NOT NULL").groupBy("k").agg(F.min("first").alias("a"), F.max("first").alias("z"), F.count(F.lit(1)).alias("m"))
     ties = ties.where("a <> z OR (m > 1 AND a <> k)").select(F.explode(F.array(F.struct(F.col("a").alias("a"), F.col("k").alias("b")), F.struct(F.col("z").alias("a"), F.col("k").alias("b")))).alias("x")).select("x.a", "x.b")

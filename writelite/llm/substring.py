@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from writelite.llm.common import bucket_count, gather, runs, scatter, slabs, text_bytes, total_bytes, window_hashes, word_hashes
+from writelite.llm.common import bucket_count, gather, lean, lean_group, runs, scatter, slabs, text_bytes, total_bytes, window_hashes, word_hashes
 
 WIDTH, PERIOD, COVER = 20, 13, (0, 1, 3, 9)
 LAST = np.iinfo(np.int64).max
@@ -209,14 +209,14 @@ def dedup(df: DataFrame, key: str = "doc_id", text: str = "text", width: int = W
     texts = rows.repartition(n, "k", "h")
     firsts = rows.groupBy(F.md5(F.encode("t", "UTF-8")).alias("m")).agg(F.min(F.struct("k", "h")).alias("x")).select(F.col("x.k").alias("k"), F.col("x.h").alias("h"), F.lit(True).alias("first"))
     own = texts.join(firsts.hint("shuffle_hash"), ["k", "h"]).select("k", "h", "t")
-    sent = own.mapInArrow(_anchor_rows(width, period, cover, buckets), SENT)
-    anchors = sent.groupBy("b").applyInArrow(_meet(False, buckets), TOLD).groupBy("g").applyInArrow(_regroup, FOUND)
+    sent = own.mapInArrow(lean(_anchor_rows(width, period, cover, buckets)), SENT)
+    anchors = sent.groupBy("b").applyInArrow(lean_group(_meet(False, buckets)), TOLD).groupBy("g").applyInArrow(lean_group(_regroup), FOUND)
     near = texts.join(anchors.hint("shuffle_hash"), ["k", "h"]).select("k", "h", "t", "at")
-    found = near.mapInArrow(_window_rows(width, period, buckets), SENT).groupBy("b").applyInArrow(_meet(True, buckets), TOLD)
-    spans = found.groupBy("g").applyInArrow(_regroup, FOUND)
+    found = near.mapInArrow(lean(_window_rows(width, period, buckets)), SENT).groupBy("b").applyInArrow(lean_group(_meet(True, buckets)), TOLD)
+    spans = found.groupBy("g").applyInArrow(lean_group(_regroup), FOUND)
     marked = texts.join(firsts.hint("shuffle_hash"), ["k", "h"], "left").join(spans.hint("shuffle_hash"), ["k", "h"], "left")
     out = marked.select(F.nullif("k", F.lit(int(LAST))).alias("key"), "t", F.col("first").isNull().alias("copy"), "at")
-    return out.mapInArrow(_keep_rows(width, digest), f"`{key}` long, n_words long, n_removed long, kept string")
+    return out.mapInArrow(lean(_keep_rows(width, digest)), f"`{key}` long, n_words long, n_removed long, kept string")
 
 
 def report(df: DataFrame) -> DataFrame:
