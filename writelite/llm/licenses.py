@@ -1,18 +1,24 @@
 """License scan on DataFrame functions only: Dice coefficient of word bigrams against licence templates.
 
-A text is scanned as a whole, by paragraph and by line. A unit of a bigrams can only reach Dice t against a template of
-b if t/(2-t) <= a/b <= (2-t)/t, so templates outside that size bound are pruned before any bigram is compared.
+A text is scanned as a whole, by paragraph, by line, by sentence and by runs of consecutive paragraphs, so that a
+licence of several paragraphs inside a longer document and a notice inside a line of prose are units too. A unit of a
+bigrams can only reach Dice t against a template of b if t/(2-t) <= a/b <= (2-t)/t, so templates outside that size bound
+are pruned before any bigram is compared, and runs end where they outgrow the largest template. All of it is one
+projection of each row: nothing is exchanged, and rows that share a key do not meet.
 """
 
 from __future__ import annotations
 
+import json
 import math
 import re
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 DICE = 0.8
+#: What parts paragraphs and sentences; the same for Spark and for SQL.
+PARAGRAPHS, SENTENCES = r"\n[ \t\r]*\n", r"[.!?][ \t\r\n]+"
 #: Notices and short licences as their stewards publish them.
 TEMPLATES = {
     "Apache-2.0-notice": "Licensed under the Apache License, Version 2.0.",
@@ -68,36 +74,45 @@ def _bounds(templates: dict[str, str], dice: float) -> tuple[int, int]:
 
 
 def scan(df: DataFrame, key: str = "doc_id", text: str = "text", templates: dict[str, str] | None = None, dice: float = DICE) -> DataFrame:
-    """Rows (key, licence, dice, n_hits): the best template of each document, and how many templates reach `dice`.
+    """Rows (key, licence, dice, n_hits): the best template of each row, and how many templates reach `dice`.
 
-    Ties go to the name that sorts last. Documents without a hit, with a null or empty text or of one word have a null
-    licence and dice and 0 hits; repeated rows each give a row; a null key is scanned too; an empty table gives none.
+    Ties go to the name that sorts last. Rows without a hit, with a null or empty text or of one word have a null
+    licence and dice and 0 hits. Every row is judged by its own text: repeated rows each give a row, rows of one key and
+    rows with a null key too; an empty table gives none; other columns are ignored.
     """
     templates = templates or TEMPLATES
-    spark = df.sparkSession
     low, high = _bounds(templates, dice)
-    t = F.col("__t")
-    rows = df.select(F.col(key).alias("__k"), F.coalesce(F.col(text), F.lit("")).alias("__t"))
-    telling = telling_words(templates, dice)
-    holds = lambda x: x.rlike(f"(?:^|[^a-z0-9])(?:{'|'.join(telling)})(?:$|[^a-z0-9])")
-    units = F.array_distinct(F.concat(F.array(t), F.split(t, r"\n[ \t\r]*\n"), F.split(t, "\n")))
-    unit = F.trim(F.regexp_replace(F.lower("__u"), "[^a-z0-9]+", " "))
+    telling = "|".join(telling_words(templates, dice))
+    norm = lambda x: F.trim(F.regexp_replace(F.lower(x), "[^a-z0-9]+", " "))
+    words = lambda x: F.length(x) - F.length(F.replace(x, F.lit(" "), F.lit(""))) + 1
+    t = F.coalesce(F.col(text), F.lit(""))
+    rows = df.select(F.col(key).alias("__k"), F.when(F.lower(t).rlike(f"(?:^|[^a-z0-9])(?:{telling})(?:$|[^a-z0-9])"), t).alias("__t"))
+    parts = F.filter(F.transform(F.split("__t", PARAGRAPHS), norm), lambda x: x != "")
+    singles = F.concat(F.array(norm(F.col("__t"))), *[F.transform(F.split("__t", cut), norm) for cut in ("\n", SENTENCES)])
+    rows = rows.withColumn("__p", parts).withColumn("__s", singles)
+    # Words before each paragraph, so that a run's words are one difference; every paragraph has one at least.
+    rows = rows.withColumn("__n", F.transform("__p", words))
+    rows = rows.withColumn("__b", F.aggregate("__n", F.array(F.lit(0)), lambda a, n: F.concat(a, F.array(F.element_at(a, -1) + n))))
+    count = F.size("__p")
+    run = lambda i: F.transform(
+        F.filter(F.sequence(i, F.least(count, i + high)), lambda j: (j >= i) & (F.get("__b", j) - F.get("__b", i - 1) <= high)),
+        lambda j: F.array_join(F.slice("__p", i, j - i + 1), " "),
+    )
+    runs = F.when(count > 0, F.flatten(F.transform(F.sequence(F.lit(1), count), run)))
+    units = F.array_distinct(F.concat("__s", "__p", F.coalesce(runs, F.array().cast("array<string>"))))
     # Distinct bigrams are at most the blanks of the normalised unit; a unit of fewer is pruned before it is cut up.
-    # A unit of more words than bigrams may repeat itself, so nothing is pruned above by words.
-    some = rows.withColumn("__t", F.lower("__t")).where(holds(F.col("__t")))
-    cut = some.select("__k", F.explode(units).alias("__u")).where(holds(F.col("__u"))).select("__k", unit.alias("__u")).where(F.length("__u") - F.length(F.replace("__u", F.lit(" "), F.lit(""))) >= low)
-    pair: Column = F.zip_with(F.slice("__w", 1, F.size("__w") - 1), F.slice("__w", 2, F.size("__w") - 1), lambda a, b: F.concat(a, F.lit(" "), b))
-    grams = cut.select("__k", F.split("__u", " ").alias("__w")).where(F.size("__w") > 1).select("__k", F.array_distinct(pair).alias("__g")).where(F.size("__g").between(low, high))
-    table = spark.createDataFrame([(k, bigrams(v)) for k, v in sorted(templates.items())], "name string, grams array<string>").collect()
-    known = F.array(*[F.struct(F.lit(r["name"]).alias("name"), F.lit(len(r["grams"])).alias("n"), F.array(*[F.lit(g) for g in r["grams"]]).alias("grams")) for r in table])
-    n = F.size("__g")
-    near = F.filter(known, lambda x: (n * (2 - dice) >= x["n"] * dice) & (n * dice <= x["n"] * (2 - dice)))
-    scored = F.transform(near, lambda x: F.struct((F.lit(2.0) * F.size(F.array_intersect("__g", x["grams"])) / (n + x["n"])).alias("dice"), x["name"].alias("name")))
-    hits = grams.select("__k", F.explode(F.filter(scored, lambda x: x["dice"] >= dice)).alias("h"))
-    best = hits.groupBy("__k").agg(F.max("h").alias("h"), F.count_distinct("h.name").alias("n_hits"))
-    best = best.select(F.col("__k").alias("__of"), "h", "n_hits")
-    out = rows.select("__k").join(best, F.col("__k").eqNullSafe(F.col("__of")), "left")
-    return out.select(F.col("__k").alias(key), F.col("h.name").alias("licence"), F.col("h.dice").alias("dice"), F.coalesce("n_hits", F.lit(0)).cast("long").alias("n_hits"))
+    # A unit of more words than bigrams may repeat itself, so nothing but a run is pruned above by words.
+    rows = rows.withColumn("__u", F.filter(units, lambda u: (words(u) > low) & u.rlike(f"(?:^| )(?:{telling})(?:$| )")))
+    pairs = lambda w: F.array_distinct(F.zip_with(F.slice(w, 1, F.size(w) - 1), F.slice(w, 2, F.size(w) - 1), lambda a, b: F.concat(a, F.lit(" "), b)))
+    cut = F.filter(F.transform("__u", lambda u: F.split(u, " ")), lambda w: F.size(w) > 1)
+    rows = rows.withColumn("__g", F.filter(F.transform(cut, pairs), lambda g: F.size(g).between(low, high)))
+    known = F.from_json(F.lit(json.dumps([{"name": k, "n": len(bigrams(v)), "grams": bigrams(v)} for k, v in sorted(templates.items())])), "array<struct<name:string,n:int,grams:array<string>>>")
+    near = lambda g: F.filter(known, lambda x: (F.size(g) * (2 - dice) >= x["n"] * dice) & (F.size(g) * dice <= x["n"] * (2 - dice)))
+    scored = lambda g: F.transform(near(g), lambda x: F.struct((F.lit(2.0) * F.size(F.array_intersect(g, x["grams"])) / (F.size(g) + x["n"])).alias("dice"), x["name"].alias("name")))
+    rows = rows.withColumn("__h", F.filter(F.flatten(F.transform("__g", scored)), lambda x: x["dice"] >= dice))
+    best = F.array_max("__h")
+    hits = F.size(F.array_distinct(F.transform("__h", lambda x: x["name"])))
+    return rows.select(F.col("__k").alias(key), best["name"].alias("licence"), best["dice"].alias("dice"), F.when(F.col("__h").isNull(), 0).otherwise(hits).cast("long").alias("n_hits"))
 
 
 def report(df: DataFrame) -> DataFrame:
@@ -106,12 +121,19 @@ def report(df: DataFrame) -> DataFrame:
 
 def report_sql() -> str:
     rows = ", ".join("('{}', [{}])".format(k, ", ".join("'" + g + "'" for g in bigrams(v))) for k, v in sorted(TEMPLATES.items()))
+    norm = lambda x: f"trim(regexp_replace(lower({x}), '[^a-z0-9]+', ' ', 'g'))"
     return f"""
 WITH t(name, grams) AS (VALUES {rows}),
 d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS text FROM documents),
-u AS (SELECT DISTINCT r, unnest(list_concat([text], regexp_split_to_array(text, '\\n[ \\t\\r]*\\n'), string_split(text, chr(10)))) AS u FROM d),
-w AS (SELECT r, string_split(trim(regexp_replace(lower(u), '[^a-z0-9]+', ' ', 'g')), ' ') AS w FROM u),
-g AS (SELECT r, list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS g FROM w WHERE len(w) > 1),
+p AS (SELECT r, list_filter(list_transform(regexp_split_to_array(text, '{PARAGRAPHS}'), lambda x: {norm('x')}), lambda x: x <> '') AS p FROM d),
+i AS (SELECT r, p, unnest(range(1, len(p) + 1)) AS i FROM p),
+w AS (SELECT r, p, i, sum(len(string_split(p[i], ' '))) OVER (PARTITION BY r ORDER BY i) AS upto, len(string_split(p[i], ' ')) AS own FROM i),
+u AS (
+SELECT r, {norm('text')} AS u FROM d
+UNION SELECT r, {norm('unnest(list_concat(regexp_split_to_array(text, ' + chr(39) + SENTENCES + chr(39) + '), string_split(text, chr(10))))')} FROM d
+UNION SELECT r, unnest(p) FROM p
+UNION SELECT a.r, array_to_string(a.p[a.i:b.i], ' ') FROM w a JOIN w b ON a.r = b.r AND a.i < b.i AND b.upto - a.upto + a.own <= {_bounds(TEMPLATES, DICE)[1]}),
+g AS (SELECT r, list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS g FROM (SELECT r, string_split(u, ' ') AS w FROM u) WHERE len(w) > 1),
 s AS (SELECT r, name, 2.0::DOUBLE * len(list_intersect(g, grams)) / (len(g) + len(grams)) AS dice FROM g JOIN t ON len(g) * {2 - DICE} >= len(grams) * {DICE} AND len(g) * {DICE} <= len(grams) * {2 - DICE}),
 b AS (SELECT r, max((dice, name)) AS h, count(DISTINCT name) AS n_hits FROM s WHERE dice >= {DICE} GROUP BY r)
 SELECT doc_id, h[2] AS licence, h[1] AS dice, coalesce(n_hits, 0)::BIGINT AS n_hits FROM d LEFT JOIN b USING (r)
