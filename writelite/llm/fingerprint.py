@@ -18,7 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from writelite.llm.common import bucket_count, components, mix, stored, total_bytes
+from writelite.llm.common import bucket_count, components, lean, mix, stored, total_bytes
+from writelite.operators import bucketing
 
 SAMPLES = 64
 U64 = np.uint64
@@ -29,6 +30,8 @@ HEX = np.frombuffer(b"0123456789abcdef", dtype=np.uint8)
 STEPS = 12288
 SIDE_BY_SIDE = 24
 STOPPED = 63
+#: Bounds between ranges are part of the plan; beyond this many ranges they grow instead.
+MOST_PARTS = 10_000
 
 
 def _step_hashes(part: int) -> np.ndarray:
@@ -247,7 +250,7 @@ def _digest_rows(size: int):
 OUT = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
 
-def with_edits(df: DataFrame, key: str = "doc_id", text: str = "text", size: int = 4_000_000, partitions: int | None = None) -> DataFrame:
+def with_edits(df: DataFrame, key: str = "doc_id", text: str = "text", size: int = 2_000_000, partitions: int | None = None) -> DataFrame:
     """Fingerprints of every text and of its edited text, and their likeness (OUT).
 
     The edited text is the text with its last half replaced by the start of the next document, by descending key; the
@@ -261,28 +264,25 @@ def with_edits(df: DataFrame, key: str = "doc_id", text: str = "text", size: int
     rows = df.select(F.col(key).cast("long").alias("k"), F.coalesce(F.col(text), F.lit("")).alias("t"))
     spark = df.sparkSession
     # Rows of one key stay in one range, so that bounds can be keys; a null key sorts below all.
-    n_parts = partitions or bucket_count(spark, total_bytes(rows, "t"), 48_000_000)
+    n_parts = partitions or min(bucket_count(spark, total_bytes(rows, "t"), 48_000_000), MOST_PARTS)
     keys = rows.where("k IS NOT NULL").agg(F.percentile_approx("k", [i / n_parts for i in range(1, n_parts)], 10 * n_parts + 1000) if n_parts > 1 else F.array().cast("array<long>"), F.max("k")).first()
     top = keys[1]
     # Ranges are (bound, next bound], highest first. Every bound is a key, and so is the top of its range.
     bounds = sorted(set(keys[0] or []) - {top}, reverse=True)
     tops = [top, *bounds] if top is not None else []
-    sent = F.lit(0) if not bounds else sum(((F.col("k") <= b).cast("int") for b in bounds[:0]), F.lit(0))
-    if bounds:
-        ascending = F.array(*[F.lit(b) for b in sorted(bounds)])
-        sent = F.when(F.col("k").isNull(), len(bounds)).otherwise(F.size(F.filter(ascending, lambda b: F.col("k") <= b)))
-    first = rows.withColumn("part", sent.cast("int")).withColumn("context", F.lit(False))
+    # Part of a key: how many bounds are at or above it; keys of b + 1 and more have passed the bound b.
+    first = bucketing.locate(rows, ["k"], [(True, b + 1) for b in reversed(bounds)], "part").select("k", "t", (F.lit(len(bounds)) - F.col("part")).cast("int").alias("part"), F.lit(False).alias("context"))
     if top is None:
-        heads = first.where("false")
+        heads = first.groupBy("part").agg(F.max("t").alias("t")).select(F.lit(None).cast("long").alias("k"), "t", F.lit(0).alias("part"), F.lit(True).alias("context"))
     else:
-        # The row that leads each range: of its top key the one whose text sorts last, found on the few rows that have a top key.
-        lead = first.where(F.col("k").isin(tops)).groupBy("k", "part").agg(F.max("t").alias("t"))
+        # The row that leads each range: of its top key the one whose text sorts last, found on the few rows that have
+        # one of the top keys, MOST_PARTS at most.
+        wanted = F.broadcast(spark.createDataFrame([(t,) for t in tops], "top long"))
+        lead = first.join(wanted, F.col("k") == F.col("top")).groupBy("k", "part").agg(F.max("t").alias("t"))
         before = F.when(F.col("part") == 0, len(tops) - 1).otherwise(F.col("part") - 1)
         heads = lead.select("k", "t", before.cast("int").alias("part"), F.lit(True).alias("context"))
-    if top is None:
-        heads = first.groupBy("part").agg(F.max("t").alias("t")).select(F.lit(None).cast("long").alias("k"), "t", F.lit(0).alias("part"), F.lit(True).alias("context"))
     dealt = first.unionByName(heads).repartition(max(n_parts, 1), "part").sortWithinPartitions("part", "context", F.col("k").desc_nulls_last(), F.col("t").desc())
-    return dealt.mapInArrow(_digest_rows(size), OUT)
+    return dealt.mapInArrow(lean(_digest_rows(size)), OUT)
 
 
 def _fingerprint_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -309,6 +309,9 @@ def _likeness_of(x: np.ndarray, m: int, others: np.ndarray, lens: np.ndarray, we
 def near_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", bands: int = 24, digits: int = 6, least: float = 0.7, tile: int = 512, salts: int = 16) -> DataFrame:
     """Pairs (a, b, likeness) of near texts: fingerprints that agree on a band of sampled digits, then verified.
 
+    Null and empty texts have no digits and are in no pair; rows with a null key are left out; rows of one key and
+    several texts are paired like others, but not with each other; repeated rows are one; an empty table gives none.
+
     A band is `digits` digits drawn from the two octaves below the last whole one, so texts of like length share its
     places. Equal texts stand as one (their least key), so copies never multiply. Pairs are of different texts.
 
@@ -318,7 +321,7 @@ def near_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", bands: in
     """
     spark = df.sparkSession
     one = df.select(F.col(key).cast("long").alias("k"), F.coalesce(F.col(text), F.lit("")).alias("t")).groupBy("t").agg(F.min("k").alias("k")).where("k IS NOT NULL")
-    made = one.select("k", "t").mapInArrow(_fingerprint_rows, "k long, t string, fingerprint string")
+    made = one.select("k", "t").mapInArrow(lean(_fingerprint_rows), "k long, t string, fingerprint string")
     made = stored(made.select("k", F.xxhash64("t").alias("h"), "fingerprint"), "fingerprints")
     tables = [[sorted({int(x) for x in mix(np.arange(digits, dtype=U64) + U64(o * 7919 + b * 104729)) % U64(len(sampled_steps(o)))}) for b in range(bands)] for o in range(40)]
     starts = np.cumsum([0, *[len(sampled_steps(o)) for o in range(40)]])
@@ -338,7 +341,7 @@ def near_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", bands: in
             rows = pa.array(at, pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0).take(rows), batch.column(1).take(rows), pa.array(keys, pa.string())], names=["k", "h", "band"])
 
-    banded = made.mapInArrow(band_rows, "k long, h long, band string")
+    banded = made.mapInArrow(lean(band_rows), "k long, h long, band string")
     salt = F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt")
     sizes = banded.groupBy("band").agg(F.ceil(F.count(F.lit(1)) / tile).cast("int").alias("blocks"), F.count(F.lit(1)).alias("n")).where("n > 1").select("band", "blocks", salt)
     met = banded.withColumn("salt", F.pmod("h", F.lit(salts)).cast("int")).join(sizes, ["band", "salt"]).withColumn("block", F.pmod(F.xxhash64("k", "h"), F.col("blocks")).cast("int"))
@@ -392,9 +395,24 @@ def near_pairs(df: DataFrame, key: str = "doc_id", text: str = "text", bands: in
     tiles = met.join(made, ["k", "h"])
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
     dealt = tiles.repartition(parts, "band", "i", "j").sortWithinPartitions("band", "i", "j").select("band", "i", "j", "block", "k", "h", "fingerprint")
-    return dealt.mapInArrow(verified, "a long, b long, likeness double").groupBy("a", "b").agg(F.max("likeness").alias("likeness"))
+    return dealt.mapInArrow(lean(verified), "a long, b long, likeness double").groupBy("a", "b").agg(F.max("likeness").alias("likeness"))
 
 
 def near_groups(df: DataFrame, **options) -> DataFrame:
-    """(node, root) of the components of near_pairs."""
+    """(node, root) of the components of near_pairs, with its odd cases; keys without a pair do not occur."""
     return components(near_pairs(df, **options).select("a", "b"))
+
+
+def near_report(df: DataFrame) -> DataFrame:
+    """(doc_id, n_near, group_id) of every row: near texts of other keys found by banding, copies not counted, and the
+    least key of its group of near texts and copies. A null key has no group; empty texts are alone.
+    """
+    rows = df.select(F.col("doc_id").cast("long").alias("k"), F.coalesce("text", F.lit("")).alias("t"))
+    pairs = near_pairs(df)
+    least = rows.where("k IS NOT NULL AND t <> ''").groupBy(F.xxhash64("t").alias("h"), F.md5("t").alias("m")).agg(F.min("k").alias("first"))
+    own = rows.select("k", F.xxhash64("t").alias("h"), F.md5("t").alias("m")).join(least, ["h", "m"], "left").select("k", F.coalesce("first", "k").alias("first"))
+    both = pairs.select("a", "b").union(pairs.select("b", "a")).groupBy("a").agg(F.count(F.lit(1)).alias("n_near")).withColumnRenamed("a", "first")
+    links = pairs.select("a", "b").union(own.where("k IS NOT NULL AND k <> first").select(F.col("first").alias("a"), F.col("k").alias("b")))
+    root = components(links).select(F.col("node").alias("k"), "root")
+    out = own.join(both, "first", "left").join(root, "k", "left")
+    return out.select(F.col("k").alias("doc_id"), F.coalesce("n_near", F.lit(0)).alias("n_near"), F.coalesce("root", "k").alias("group_id"))

@@ -25,6 +25,7 @@ QUERIES = {
     "op8_decontamination": lambda spark, d: decontam.report(documents(spark, d), _table(spark, d, "benchmark")),
     "op9_sharding": lambda spark, d: sharding.shard(documents(spark, d)),
     "op10_fingerprints": lambda spark, d: fingerprint.with_edits(documents(spark, d)),
+    "op10_near_texts": lambda spark, d: fingerprint.near_report(documents(spark, d)),
     "pipeline": corpus_pipeline.run,
 }
 
