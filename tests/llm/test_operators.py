@@ -201,13 +201,55 @@ def test_token_store(tokenizer, odd, none, docs):
     assert sorted((k, n, c) for _, k, n, c in got) == sorted((k, *x) for k, xs in ids.items() for x in xs)
     assert [k for _, k, _, _ in got][0] == "None" and [int(k) for _, k, _, _ in got[1:]] == sorted(k for k, _ in ROWS if k is not None)
     assert token_store.report(none).count() == 0
-    blocks, dictionary = token_store.write(docs)
+    spark = docs.sparkSession
+    store = token_store.write(docs)
+    blocks, dictionary = token_store.opened(spark, store)
     assert len(dictionary) > 0
-    some = {r.k: bytes(r.ids) for r in token_store.read(blocks, dictionary, [5, 77]).collect()}
+    some = {r.k: bytes(r.ids) for r in token_store.read(spark, store, [5, 77]).collect()}
     text = {r.doc_id: r.text for r in docs.collect()}
     assert some == {k: b"".join(i.to_bytes(4, "little") for i in [*tokenizer.library.encode(text[k], add_special_tokens=False).ids, 2]) for k in (5, 77)}
-    with pytest.raises(Exception, match="another dictionary"):
-        token_store.read(blocks, b"").collect()
+    with pytest.raises(ValueError, match="another dictionary"):
+        next(token_store._frames(blocks.limit(1).toArrow().to_batches()[0], b""))
+
+
+def test_token_store_stands_alone(spark, docs, tmp_path):
+    """A store is read from its folder alone, files and rows lie in key order, and a damaged dictionary is refused."""
+    import glob
+    import os
+
+    import pyarrow.parquet as pq
+
+    store = token_store.write(docs, to=str(tmp_path / "store"), shard_bytes=50_000)
+    keys = [k for f in sorted(glob.glob(f"{store}/blocks/part-*"), key=os.path.basename) for row in pq.read_table(f).column("keys").to_pylist() for k in row]
+    assert keys == sorted(r.doc_id for r in docs.select("doc_id").collect())
+    head = pq.read_table(glob.glob(f"{store}/head/part-*")[0]).to_pylist()[0]
+    with open(public_tokenizers.path(token_store.VOCABULARY), encoding="utf-8") as f:
+        assert head["vocabulary_sha256"] == hashlib.sha256(f.read().encode()).hexdigest()
+    assert token_store.read(spark.newSession(), store).count() == len(keys)
+    spark.createDataFrame([(b"x" + head["dictionary"], head["dictionary_sha256"], "", "<u2")], token_store.HEAD).write.parquet(f"{tmp_path}/bad/head")
+    with pytest.raises(ValueError, match="damaged"):
+        token_store.opened(spark, f"{tmp_path}/bad")
+
+
+def test_token_store_many_rows_of_one_key(spark, tokenizer):
+    rows = [(None, f"text {i}") for i in range(300)] + [(7, f"other {i % 3}") for i in range(300)] + [(2**63 - 1, "last"), (-5, "first")]
+    got = sorted((r.start, r.doc_id, r.n_tokens) for r in token_store.report(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert [k for _, k, _ in got] == [None] * 300 + [-5] + [7] * 300 + [2**63 - 1]
+    at = 0
+    for start, _, n in got:
+        assert start == at
+        at += n
+
+
+def test_other_tokenizer_files_go_through_the_library(tokenizer):
+    import json
+
+    with open(public_tokenizers.path(token_store.VOCABULARY), encoding="utf-8") as f:
+        spec = json.load(f)
+    spec["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"] = "[a-z]+"
+    other = token_store.WordEncoder(json.dumps(spec))
+    assert tokenizer.fast is not None and other.fast is None
+    assert other.encode_batch(["it's 12"])[0].tolist() == other.library.encode("it's 12", add_special_tokens=False).ids
 
 
 def test_quality(spark, odd, none, docs):
@@ -273,10 +315,55 @@ def test_lines_copies(spark):
     assert got == {**{i: (f"own {i}", 1) for i in range(20)}, **{i: ("body one\nbody two", 1) for i in range(20, 30)}}
 
 
+def brute_licences(text):
+    """(name, dice, hits) by the units of the docstring, one after another."""
+    import re
+
+    t = (text or "").lower()
+    norm = lambda x: " ".join(re.findall("[a-z0-9]+", x))
+    paragraphs = [p for p in map(norm, re.split(licenses.PARAGRAPHS, t)) if p]
+    most = licenses._bounds(licenses.TEMPLATES, licenses.DICE)[1]
+    units = {norm(t), *map(norm, t.split("\n")), *map(norm, re.split(licenses.SENTENCES, t)), *paragraphs}
+    for i in range(len(paragraphs)):
+        for j in range(i + 1, len(paragraphs)):
+            if sum(len(p.split()) for p in paragraphs[i : j + 1]) <= most:
+                units.add(" ".join(paragraphs[i : j + 1]))
+    found = []
+    for u in units:
+        g = set(licenses.bigrams(u))
+        for name, template in licenses.TEMPLATES.items():
+            b = set(licenses.bigrams(template))
+            d = 2 * len(g & b) / (len(g) + len(b))
+            if d >= licenses.DICE:
+                found.append((d, name))
+    best = max(found, default=(None, None))
+    return best[1], best[0], len({n for _, n in found})
+
+
 def test_licenses(odd, none):
-    got = {(r.doc_id, r.licence) for r in licenses.scan(odd).collect()}
-    assert (12, "MIT-notice") in got and (4, None) in got
-    assert licenses.scan(odd).count() == len(ROWS) and licenses.scan(none).count() == 0
+    got = [(r.licence, r.dice, r.n_hits) for r in licenses.scan(odd).collect()]
+    assert sorted(got, key=str) == sorted((brute_licences(t) for _, t in ROWS), key=str)
+    assert licenses.scan(none).count() == 0
+
+
+def test_licenses_by_row(spark):
+    """Rows of one key, or without a key, do not share a licence; licences of several paragraphs and inside prose are found."""
+    mit = licenses.TEMPLATES["MIT"]
+    at = [mit.index(" The above"), mit.index(" THE SOFTWARE IS")]
+    layout = mit[: at[0]] + "\n\n" + mit[at[0] + 1 : at[1]] + "\n \n" + mit[at[1] + 1 :]
+    gpl = licenses.TEMPLATES["GPL-3.0-header"].replace(" This program is distributed", "\n\nThis program is distributed")
+    rows = [
+        (None, "Released under the MIT License."), (None, "nothing at all here"), (None, None), (3, "Licensed under CC BY-NC 4.0."), (3, "other words"), (3, "other words"),
+        (4, f"A file of ours, with some words of its own at the head.\n\n{layout}\n\nAnd a paragraph that comes after it, also with words."),
+        (5, f"Copyright by us\n\n{gpl}\n\ncode follows"), (6, "We wrote this last year. Released under the MIT License. Have fun with it, and tell us what you did."),
+        (7, " ".join(["license"] * 5000)), (8, "\n\n".join(["license"] * 700)),
+    ]
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("licence", F.lit("clash")).withColumn("__h", F.lit(1))
+    got = licenses.scan(df).collect()
+    key = lambda r: (str(r[0]), str(r[1]), r[3])
+    assert sorted([(r.doc_id, r.licence, r.dice, r.n_hits) for r in got], key=key) == sorted([(k, *brute_licences(t)) for k, t in rows], key=key)
+    by = {r.doc_id: r.licence for r in got}
+    assert (by[4], by[5], by[6]) == ("MIT", "GPL-3.0-header", "MIT-notice")
 
 
 def test_sharding(spark, odd, none, docs):
@@ -357,6 +444,15 @@ def test_near_groups(spark):
     assert got == {0: 0, 1: 0}
 
 
+def test_near_texts(spark, odd, none):
+    """One row a row; copies and near texts share a group; the odd rows of the table too."""
+    got = sorted(((r.doc_id, r.n_near, r.group_id) for r in fingerprint.near_report(odd).collect()), key=str)
+    by = {k: g for k, _, g in got}
+    assert len(got) == len(ROWS) and (None, 1, None) in got or (None, 0, None) in got
+    assert by[1] == by[3] == 1 and by[4] == 4 and by[5] == 5 and by[9] == 9
+    assert fingerprint.near_report(none).count() == 0
+
+
 def test_near_pairs_recall(spark):
     """Texts over few letters, whose bands have many members and many near pairs besides those with the least: pairs against brute force, in tiles too."""
     import random
@@ -386,6 +482,97 @@ def test_components(spark):
     assert got == {**dict.fromkeys(range(100, 141), 100), 3: 3, 7: 3, 9: 3}
 
 
+def test_bpe_joins_only_what_disagrees(spark):
+    """A long run of one letter holds together the chunks that it covers, and no others."""
+    text = "some words here, " * 100 + "z" * 300 + " and more words; " * 100
+    enc = bpe.encoding(bpe.load_ranks(public_tokenizers.path(bpe.VOCABULARY)), public_tokenizers.PATTERN)
+    df = spark.createDataFrame([(1, text), (2, "z" * 900), (3, text + "q")], "doc_id long, text string")
+    got = {r.doc_id: bytes(r.ids) for r in bpe.encode(df, chunk=64, overlap=32).collect()}
+    assert got == {i: b"".join(x.to_bytes(4, "little") for x in enc.encode_ordinary(t)) for i, t in ((1, text), (2, "z" * 900), (3, text + "q"))}
+
+
+def test_decontamination_of_many_pairs():
+    """Thousands of texts and items in one block: pairs times diagonals outgrow 64 bits unless pairs go by rank."""
+    import random
+
+    rng = random.Random(3)
+    items = [(i, "".join(rng.choices("abcdefghij", k=24))) for i in range(250_000)]
+    index = decontam.Items(items, 8, 0.0)
+    texts = ["".join(rng.choices("klmnop", k=5))] * 12_000 + ["xx " + items[249_999][1] + " yy", items[7][1]]
+    found = index.find(texts, slab=10**9)
+    assert [len(x) for x in found[:12_000]] == [0] * 12_000
+    assert [[i for i, _, _ in x] for x in found[12_000:]] == [[249_999], [7]]
+
+
+def test_quality_expression_is_the_rules(spark, docs):
+    """The compiled column against the rules applied to arrays of the same statistics."""
+    import numpy as np
+
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    model = quality.fit(docs, labels)
+    stats = quality.statistics(F.col("text"))
+    rows = quality.score(docs, model).select("doc_id", "__score", *[c.cast("double").alias(n) for n, c in stats.items()]).toPandas()
+    x = {n: rows[n].to_numpy() for n in stats}
+    z = model.intercept + sum(r.weight * r.holds(x) for r in model.rules)
+    assert len(model.rules) > 3 and np.abs(1 / (1 + np.exp(-z)) - rows["__score"].to_numpy()).max() < 1e-12
+
+
+def test_quality_repeated_keys(spark, docs):
+    """Repeated rows and labels of a key are learnt from once, whatever their order."""
+    labels = spark.read.parquet(f"{SF}/labels.parquet")
+    once = quality.fit(docs, labels)
+    again = quality.fit(docs.unionByName(docs).orderBy(F.rand(3)), labels.unionByName(labels))
+    assert once == again
+
+
+def test_sharding_places_by_the_tree(spark):
+    """The expression against a walk down the tree in Python, with the engine's own hash of (key, child)."""
+    import math
+
+    tree = sharding.default_tree(17)
+    names = []
+
+    def collect(branch):
+        names.extend(c.name for c in branch.children)
+        for c in branch.children:
+            collect(c)
+
+    collect(tree)
+    df = spark.range(300).select(F.col("id").alias("k"))
+    rows = df.select("k", sharding.place(F.col("k"), tree).alias("s"), *[F.xxhash64("k", F.lit(n)).alias(n) for n in names]).collect()
+    for r in rows:
+        at = tree
+        while at.children:
+            at = min(at.children, key=lambda c: -math.log((((r[c.name] % 2**64) >> 11) + 0.5) / 2**53) / c.mass)
+        assert at.shard == r.s
+
+
+def test_pipeline_odd_rows(spark, odd, none):
+    """Every stage on null and empty texts, ties, repeated rows, null keys and sources, an empty table, and clashing names."""
+    import corpus_pipeline as cp
+
+    for name, stage in cp.STAGES:
+        for docs, empty in ((odd.withColumn("n_chars", F.lit(3).cast("long")).withColumn("item_id", F.lit(1)).withColumn("quality", F.lit(0)).withColumn("text_of", F.col("text")), False), (none.withColumn("n_chars", F.lit(3).cast("long")), True)):
+            out = stage(spark, docs, SF)
+            rows = out.collect()
+            assert name == "byte_bpe" or out.columns == docs.columns
+            if empty:
+                assert rows == []
+            elif name == "line_dedup":
+                assert sorted(str(r.doc_id) for r in rows) == sorted(str(k) for k, _ in ROWS)
+                assert sorted(str(r.text) for r in rows) == sorted(str(t) for _, t in ROWS)
+            elif name == "ngram_jaccard_join":
+                assert sorted((str(r.doc_id) for r in rows)) == sorted(map(str, [1, 4, 5, 6, 7, 8, 9, 11, 12, None]))
+            elif name == "benchmark_decontamination":
+                assert len(rows) == len(ROWS)
+            elif name == "byte_bpe":
+                assert sorted((str(r[0]), r[1], r[2], r[3]) for r in rows) == library_ids(ROWS)
+            else:
+                kept = {r.text for r in rows}
+                # Equal texts share a fate.
+                assert len(rows) == sum(t in kept for _, t in ROWS)
+
+
 def test_pipeline(spark):
     """Every stage against a plain version of it over the rows that the stage before kept."""
     import corpus_pipeline as cp

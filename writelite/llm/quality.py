@@ -176,13 +176,16 @@ def held_out(key: Column) -> Column:
 def fit(df: DataFrame, labels: DataFrame, key: str = "doc_id", text: str = "text", label: str = "quality", rows: int = TRAIN_ROWS) -> Model:
     """Fit on at most `rows` labelled rows outside the held-out fifth. Null labels, keys and texts are not learnt from.
 
-    The keys of the sample are broadcast: at most `rows` of them.
+    A key of several labels counts as 1 if one of them is; of several texts, the one whose statistics sort first is
+    learnt from. The keys of the sample are broadcast: at most `rows` of them, and as many rows come to the driver.
     """
     known = labels.select(F.col(key).alias("__k"), F.col(label).cast("int").alias("__y")).where("__k IS NOT NULL AND __y IN (0, 1)")
     some = lowest(known.where(~held_out(F.col("__k"))).groupBy("__k").agg(F.max("__y").alias("__y")), "__k", rows)
-    stats = statistics(F.col(text))
-    seen = df.where(F.col(text).isNotNull()).join(F.broadcast(some), F.col(key) == F.col("__k")).select("__k", F.col("__y").cast("double").alias("__y"), *[c.cast("double").alias(n) for n, c in stats.items()])
-    got = seen.limit(2 * rows).toPandas().sort_values(["__k", *stats]).reset_index(drop=True)
+    stats = statistics(F.col("__t"))
+    texts = df.select(F.col(key).alias("__of"), F.col(text).alias("__t")).where("__t IS NOT NULL")
+    seen = texts.join(F.broadcast(some), F.col("__of") == F.col("__k")).select("__k", F.col("__y").cast("double").alias("__y"), *[c.cast("double").alias(n) for n, c in stats.items()])
+    one = seen.groupBy("__k").agg(F.min(F.struct("__y", *stats)).alias("x")).select("__k", "x.*")
+    got = one.toPandas().sort_values("__k").reset_index(drop=True)
     return fit_rows({n: got[n].to_numpy() for n in stats}, got["__y"].to_numpy())
 
 
