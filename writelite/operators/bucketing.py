@@ -102,7 +102,8 @@ def evenly(sample: list, count: int) -> list:
 def collected(sample: DataFrame, keys: list[str | SortKey], *more: str) -> list[tuple]:
     """The fields of a bounded sample, in order, on the driver: (more..., fields...)."""
     few = sample.repartition(1).sortWithinPartitions(*order_by(sample, keys))
-    return [tuple(r) for r in few.select(*more, *[c.alias(f"__f{i}") for i, (c, _, _) in enumerate(fields(sample, keys))]).collect()]
+    got = few.select(*more, *[c.alias(f"__f{i}") for i, (c, _, _) in enumerate(fields(sample, keys))]).toArrow()
+    return list(zip(*[c.to_pylist() for c in got.columns], strict=True))
 
 
 def splitters(df: DataFrame, keys: list[str | SortKey], coin: list[str], n: int, fan: int, over: float = 4.0, seed: int = 42) -> list[tuple]:
@@ -184,6 +185,13 @@ def positioned(df: DataFrame, keys: list[str | SortKey], cuts: list[tuple], size
     return ordered.withColumn("pos", place.cast("long")).drop("__part")
 
 
+def placed(df: DataFrame, keys: list[str | SortKey], cuts: list[tuple], parts: int) -> DataFrame:
+    """`positioned` by as many of the cuts as the partitions need to come out even; their buckets are counted first."""
+    few = evenly(cuts, 4 * parts - 1) if len(cuts) >= 4 * parts else cuts
+    names = [k.lstrip("-") if isinstance(k, str) else k.name for k in keys]
+    return positioned(df, keys, few, sizes_of(df.select(*dict.fromkeys(names)), keys, few), parts)
+
+
 def ranked_splitters(thin: DataFrame, keys: list[str | SortKey], coin: list[str], count: int) -> list[tuple]:
     """`count` evenly spaced keys of a sample of any size: ranked where it lies when it is too large for the driver."""
     n = thin.count()
@@ -192,7 +200,7 @@ def ranked_splitters(thin: DataFrame, keys: list[str | SortKey], coin: list[str]
     parts = int(thin.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     cuts = splitters(thin, keys, coin, n, 4 * parts)
     wanted = sorted({(i + 1) * n // (count + 1) + 1 for i in range(count)})
-    at = positioned(thin, keys, cuts, sizes_of(thin, keys, cuts), parts)
+    at = placed(thin, keys, cuts, parts)
     return collected(at.where(F.array_contains(array_literal(wanted, "bigint"), F.col("pos"))), keys)
 
 
@@ -232,7 +240,7 @@ def split_nodes(df: DataFrame, keys: list[str | SortKey], top: str, node: str =
     nth = F.row_number().over(W.partitionBy(top, node, "__group").orderBy(*order_by(df, keys)))
     frame = frame.withColumn("__drawn", (nth % F.greatest(F.lit(1), F.floor(F.log2(m))) == 0).cast("int"))
     frame = frame.withColumn("__rank", F.sum("__drawn").over(ordered) - 1).withColumn("__s", F.sum("__drawn").over(whole))
-    j = F.ceil(F.col("__rank") * F.col("__third") / F.col("__s"))
+    j = F.ceil(F.col("__rank") * F.col("__third") / F.greatest(F.col("__s"), F.lit(1)))
     even = (F.col("__drawn") == 1) & j.between(1, F.col("__third") - 1) & (F.floor(j * F.col("__s") / F.col("__third")) == F.col("__rank"))
     frame = frame.withColumn("__cut", F.coalesce(even, F.lit(False)).cast("int"))
     part = F.least(F.sum("__cut").over(ordered), F.lit(base - 1))
@@ -272,10 +280,10 @@ def integer_sort(df: DataFrame, column: str, within: list[str], partitions: int)
     return ranked.join(place, column).withColumn("pos", (F.col("before") + F.col("nth")).cast("long")).drop("before", "nth")
 
 
-def place_random(df: DataFrame, cap: Column, ident: str, bucket: str = "bucket", seed: int = 42, most: int = 64) -> tuple[DataFrame, list[int]]:
+def place_random(df: DataFrame, cap: Column, ident: str, bucket: str = "bucket", seed: int = 42, most: int = 64, told: bool = False) -> tuple[DataFrame, list[int]]:
     """(rows with slot, rows left after each try): every row tries a random free slot of its bucket until it has one.
 
-    One winner a slot and try, the least id; losers and rows whose slot was taken try again.
+    One winner a slot and try, the least id; losers and rows whose slot was taken try again. `told` adds each row's tries.
     """
     spark = df.sparkSession
     from writelite.operators.prim import cut_lineage
@@ -289,11 +297,11 @@ def place_random(df: DataFrame, cap: Column, ident: str, bucket: str = "bucket",
         tries.append(left_n)
         drawn = left.withColumn("slot", F.pmod(F.xxhash64(ident, F.lit(seed), F.lit(t)), F.col("cap")))
         free = drawn if taken is None else drawn.join(taken.select(bucket, "slot"), [bucket, "slot"], "left_anti")
-        won = free.groupBy(bucket, "slot").agg(F.min(ident).alias(ident))
+        won = free.groupBy(bucket, "slot").agg(F.min(ident).alias(ident)).withColumn("tries", F.lit(t + 1))
         taken = cut_lineage(won if taken is None else taken.unionByName(won))
         left = cut_lineage(left.join(taken.select(ident), ident, "left_anti"))
     else:
         raise RuntimeError("arrays are too full for random placement")
     if taken is None:
-        taken = spark.createDataFrame([], df.select(bucket, ident).schema).withColumn("slot", F.lit(0).cast("long"))
-    return df.join(taken.select(ident, "slot"), ident), tries
+        taken = spark.createDataFrame([], df.select(bucket, ident).schema).withColumn("slot", F.lit(0).cast("long")).withColumn("tries", F.lit(0))
+    return df.join(taken.select(ident, "slot", *["tries"] * told), ident), tries

@@ -9,6 +9,7 @@ for counts, then every row crosses the network one time, to the numbered partiti
 from __future__ import annotations
 
 import functools
+import itertools
 import math
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
@@ -163,17 +164,16 @@ def em_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Mac
     """
     n = df.count()
     slots = _partitions(df)
-    if choose == "deterministic":
-        cuts, sizes, _ = next(_levels(df, keys, coin, n, mp, seed, over, choose), ([], [n], [0]))
+    frame, cuts = _key_columns(df, keys, coin), []
+    if n > mp.k * mp.M and choose == "deterministic":
+        cuts = _deterministic_cuts(frame, keys, coin, [], {0: n}, mp)[0]
     elif n > mp.k * mp.M:
-        fan = max(planner.fan_out(n, mp), min(4 * slots, n // mp.M))
-        frame = _key_columns(df, keys, coin)
-        cuts = bucketing.splitters(frame, keys, coin, n, fan, over, seed)
-        sizes = bucketing.sizes_of(frame, keys, cuts)
+        cuts = bucketing.splitters(frame, keys, coin, n, max(planner.fan_out(n, mp), min(4 * slots, n // mp.M)), over, seed)
+    if how == "rounds" and cuts:
+        few = bucketing.evenly(cuts, 4 * slots - 1) if len(cuts) >= 4 * slots else cuts
+        rows = bucketing.positioned(_rounds(df, keys, cuts, mp), keys, few, bucketing.sizes_of(frame, keys, few), slots)
     else:
-        cuts, sizes = [], [n]
-    source = _rounds(df, keys, cuts, mp) if how == "rounds" and cuts else df
-    rows = bucketing.positioned(source, keys, cuts, sizes, slots)
+        rows = bucketing.placed(df, keys, cuts, slots)
     return SortResult(rows, lambda: ledger_frame(df, _distribution_ledger("sample", _levels(df, keys, coin, n, mp, seed, over, choose), n, mp)))
 
 
@@ -225,9 +225,9 @@ def em_sample_parallel(df: DataFrame, keys: list[str | SortKey], coin: list[str]
     n = df.count()
     cuts, fine, first = _parallel_plan(df, keys, coin, n, mp, seed)
     frame = _key_columns(df, keys, coin)
-    sizes = bucketing.sizes_of(frame, keys, fine) if fine else [n]
 
     def count() -> DataFrame:
+        sizes = bucketing.sizes_of(frame, keys, fine) if fine else [n]
         place = _chunked(frame, keys, coin, cuts, n, mp)
         per = max(1, mp.M // mp.B)
         moved = place.withColumn("rnd", F.floor(F.col("bucket") / per)).groupBy("chunk", "rnd").agg(F.sum(F.ceil(F.col("cnt") / mp.B)).cast("long").alias("writes"))
@@ -238,7 +238,7 @@ def em_sample_parallel(df: DataFrame, keys: list[str | SortKey], coin: list[str]
         base = [("sample_parallel", "base", 1, p, 0, -(-sum(sizes[a:b]) // mp.B), -(-sizes[p] // mp.B)) for a, b in zip(first, ends, strict=True) for p in range(a, b)]
         return dealt.unionByName(ledger_frame(df, base))
 
-    return SortResult(bucketing.positioned(df, keys, fine, sizes, _partitions(df)), count)
+    return SortResult(bucketing.placed(df, keys, cuts, _partitions(df)), count)
 
 
 def _chunked(frame: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], n: int, mp: MachineParams) -> DataFrame:
@@ -273,14 +273,13 @@ def em_merge(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Mach
     n, slots = df.count(), _partitions(df)
     frame = _key_columns(df, keys, coin)
     cuts = bucketing.splitters(frame, keys, coin, n, 4 * slots, OVER, seed) if n > mp.k * mp.M else []
-    sizes = bucketing.sizes_of(frame, keys, cuts) if cuts else [n]
 
     def count() -> DataFrame:
         from writelite.operators import pq
 
         return pq.merge_levels(frame, keys, coin, n, mp, pointers)
 
-    return SortResult(bucketing.positioned(df, keys, cuts, sizes, slots), count)
+    return SortResult(bucketing.placed(df, keys, cuts, slots), count)
 
 
 def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident: str, seed: int = 42, c: float = 4.0, refine: bool = True, place: str = "count") -> SortResult:
@@ -295,10 +294,9 @@ def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident
     columns = _key_columns(df, keys, coin)
     sample = bucketing.collected(columns.where(portable_coin(coin, rate, seed)), keys)
     cuts = sample[log - 1 :: log]
-    sizes = bucketing.sizes_of(columns, keys, cuts)
     tries = n
     if not refine and place == "count":
-        rows = bucketing.positioned(df, keys, cuts, sizes, _partitions(df))
+        rows = bucketing.placed(df, keys, cuts, _partitions(df))
         nodes = columns
     else:
         nodes = bucketing.locate(df, keys, cuts, "__top")
@@ -309,7 +307,7 @@ def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident
         nodes = nodes.repartition(_partitions(df), "__top").withColumn("node", F.lit(0).cast("long"))
         for _ in range(2 if refine else 0):
             nodes = bucketing.split_nodes(nodes, keys, "__top")
-        before = array_literal([sum(x) for x in _running(sizes)], "bigint")
+        before = array_literal(_running(bucketing.sizes_of(columns, keys, cuts)), "bigint")
         nth = F.row_number().over(W.partitionBy("__top").orderBy("node", *order_by(df, keys)))
         rows = nodes.withColumn("pos", (F.get(before, F.col("__top")) + nth).cast("long")).drop("__top", "node")
 
@@ -327,49 +325,52 @@ def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident
     return SortResult(rows, count)
 
 
-def _running(sizes: list[int]) -> Iterator[tuple[int]]:
-    total = 0
-    for n in sizes:
-        yield (total,)
-        total += n
+def _running(sizes: list[int]) -> list[int]:
+    """Rows before each bucket."""
+    return [0, *itertools.accumulate(sizes)][:-1]
+
+
+def _oblivious_buckets(frame: DataFrame, keys: list[str | SortKey], coin: list[str], omega: int, cuts: list[tuple], big: dict[int, int], seed: int) -> dict[int, list[tuple]]:
+    """Cuts of large nodes into sqrt(n/omega) buckets each: rows of sqrt(n/omega) are sorted, every log n-th key of a row
+    is sampled, and evenly spaced ones are the splitters. Where the samples of a level are more than the driver takes, a
+    coin thins them all by one rate.
+    """
+    shape = {v: (max(2, math.isqrt(m // omega)), max(1, int(math.log2(m)))) for v, m in big.items()}
+    of = lambda pick: F.get(array_literal([pick(v) if v in shape else 0 for v in range(len(cuts) + 1)], "bigint"), F.col("__node"))
+    located = bucketing.locate(frame, keys, cuts, "__node").where(of(lambda v: shape[v][0]) > 0)
+    row = F.pmod(F.xxhash64(*coin, F.lit(seed)), of(lambda v: max(1, big[v] // shape[v][0])))
+    thin = bucketing.thinned(located, keys, row, of(lambda v: shape[v][1]), "__node")
+    expected = sum(m / shape[v][1] for v, m in big.items())
+    if expected > bucketing.MOST_SPLITTERS:
+        thin = thin.where(coin_of(coin, coin_limit(bucketing.MOST_SPLITTERS / expected), seed + 100))
+    found: dict[int, list[tuple]] = {}
+    for r in bucketing.collected(thin, keys, "__node"):
+        found.setdefault(r[0], []).append(r[1:])
+    return {v: bucketing.evenly(found.get(v, []), min(shape[v][0], max(2, len(found.get(v, [])) // 2)) - 1) for v in big}
 
 
 def _oblivious_levels(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: int, n: int, stop: int, seed: int) -> Iterator[tuple]:
-    """Levels of the cache-oblivious sort: (nodes, shape, bucket cuts, final cuts, first buckets, sizes, row segments).
+    """Levels of the cache-oblivious sort: (large nodes, first bucket of every old node, first part of every bucket,
+    sizes of the buckets, sizes of the parts).
 
-    A node's rows of s are sorted and every log n-th key of a row is sampled; evenly spaced ones cut the node into s
-    buckets. A bucket is sampled anew at max(omega, sqrt(omega n) / log n) keys for the omega - 1 pivots that its omega
-    scans go by. Where the samples of a level are more than the driver takes, a coin thins them, all by one rate.
+    A bucket is sampled anew, at about max(omega, sqrt(omega n) / log n) keys, for the omega - 1 pivots that its omega
+    scans go by.
     """
     frame, cuts, sizes = _key_columns(df, keys, coin), [], [n]
+    over = max(1.0, math.sqrt(omega * n) / max(1.0, math.log2(max(n, 2))) ** 2 / omega)
     for level in range(MOST_LEVELS):
         big = {v: m for v, m in enumerate(sizes) if m > stop}
         if not big:
             return
-        shape = {v: (max(2, math.isqrt(m // omega)), max(1, int(math.log2(m)))) for v, m in big.items()}
-        of = lambda pick: array_literal([pick(v) if v in shape else 0 for v in range(len(sizes))], "bigint")  # noqa: E731, B023
-        node = F.col("__node")
-        located = bucketing.locate(frame, keys, cuts, "__node").where(F.get(of(lambda v: shape[v][0]), node) > 0)
-        row = F.pmod(F.xxhash64(*coin, F.lit(seed + level)), F.get(of(lambda v: max(1, big[v] // shape[v][0])), node))
-        thin = bucketing.thinned(located, keys, row, F.get(of(lambda v: shape[v][1]), node), "__node")
-        expected = sum(m / shape[v][1] for v, m in big.items())
-        if expected > bucketing.MOST_SPLITTERS:
-            thin = thin.where(coin_of(coin, coin_limit(bucketing.MOST_SPLITTERS / expected), seed + 100 + level))
-        found: dict[int, list[tuple]] = {}
-        for r in bucketing.collected(thin, keys, "__node"):
-            found.setdefault(r[0], []).append(r[1:])
-        inner = {v: bucketing.evenly(found.get(v, []), min(shape[v][0], max(2, len(found.get(v, [])) // 2)) - 1) for v in big}
+        inner = _oblivious_buckets(frame, keys, coin, omega, cuts, big, seed + level)
         buckets, first = bucketing.merged(cuts, inner)
         held = bucketing.sizes_of(frame, keys, buckets)
-        segments = {v: min(m, max(1, m // shape[v][0]) * (len(inner[v]) + 1)) for v, m in big.items()}
         final, turn = buckets, list(range(len(buckets) + 1))
         if omega > 1:
-            parts = {u: held[u] for v in big for u in range(first[v], first[v] + len(inner[v]) + 1) if held[u] > omega}
-            fans = {u: (m, omega) for u, m in parts.items()}
-            pivots = bucketing.node_splitters(frame, keys, coin, buckets, fans, max(1.0, math.sqrt(omega * n) / max(1, math.log2(n)) / omega / max(1.0, math.log2(max(n, 2)))), seed + 200 + level)
-            final, turn = bucketing.merged(buckets, pivots)
+            own = [u for v in big for u in range(first[v], first[v] + len(inner[v]) + 1) if held[u] > omega]
+            final, turn = bucketing.merged(buckets, bucketing.node_splitters(frame, keys, coin, buckets, {u: (held[u], omega) for u in own}, over, seed + 200 + level))
         now = bucketing.sizes_of(frame, keys, final)
-        yield big, shape, first, turn, held, now, segments, final
+        yield big, first, turn, held, now
         if max(now) >= max(sizes):
             raise RuntimeError("nodes do not shrink; are the keys unique?")
         cuts, sizes = final, now
@@ -379,41 +380,46 @@ def co_sort(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: in
     """Cache-oblivious sort: no step looks at M or B, which only price the ledger.
 
     A node of n rows is cut at splitters into sqrt(n/omega) buckets, a bucket at omega - 1 pivots into omega sub-buckets,
-    and so on until `base_rows_` (`_oblivious_levels`). The result face deals the sub-buckets of the first level out,
-    whole and in order, and sorts them where they lie. omega 1 is the standard algorithm.
+    and so on until `base_rows_` (`_oblivious_levels`). The result face deals the buckets of the first level out, whole
+    and in order, and sorts them where they lie. omega 1 is the standard algorithm.
     """
     n = df.count()
     stop = max(base_rows_, omega * omega, 16)
-    first_level = next(_oblivious_levels(df, keys, coin, omega, n, stop, seed), None)
-    cuts, sizes = (first_level[7], first_level[5]) if first_level else ([], [n])
+    frame = _key_columns(df, keys, coin)
+    cuts = _oblivious_buckets(frame, keys, coin, omega, [], {0: n}, seed)[0] if n > stop else []
 
     def count() -> DataFrame:
         nb = lambda m: -(-m // B)
         rows: list[tuple] = []
-        leaves, level = {0: n}, 0
-        for big, shape, first, turn, held, now, segments, _ in _oblivious_levels(df, keys, coin, omega, n, stop, seed):
-            done = set(big)
+        level = 0
+        span = lambda starts, v, end: range(starts[v], starts[v + 1] if v + 1 < len(starts) else end)
+        for big, first, turn, held, now in _oblivious_levels(df, keys, coin, omega, n, stop, seed):
+            leaves = {}
             for v, m in big.items():
-                s, log = shape[v]
-                drawn = m // log
-                # Rows of s are sorted by recursion: their own levels, at the rate of one scan and one write a level.
-                deep = max(1, math.ceil(math.log(max(s, 2)) / math.log(max(omega * M, 2))))
+                s, drawn = max(2, math.isqrt(m // omega)), m // max(1, int(math.log2(m)))
+                # Rows of s are sorted by recursion, at one write and omega scans a level of theirs.
+                deep = max(1, math.ceil(math.log(s) / math.log(max(omega * M, 2))))
+                merges = max(1, math.ceil(math.log2(max(drawn / M, 2))))
+                # A (row, bucket) segment that does not end with a block costs one more.
+                segments = min(m, max(1, m // s) * len(span(first, v, len(held))))
                 rows.append(("oblivious", "rows", level, v, 0, deep * omega * nb(m), deep * nb(m)))
-                rows.append(("oblivious", "splitters", level, v, 0, nb(m) + nb(drawn) * max(1, math.ceil(math.log2(max(drawn / M, 2)))), nb(drawn) * max(1, math.ceil(math.log2(max(drawn / M, 2))))))
-                own = range(first[v], first[v + 1] if v + 1 < len(first) else len(held))
-                rows.append(("oblivious", "gather", level, v, 0, nb(m) + nb(segments[v]), sum(nb(held[u]) for u in own) + nb(segments[v])))
-                for u in own if omega > 1 else ():
-                    parts = now[turn[u] : turn[u + 1] if u + 1 < len(turn) else len(now)]
-                    for r, part in enumerate(parts):  # a scan of the bucket for each of its sub-buckets
-                        rows.append(("oblivious", "subsplit", level, u, r, nb(held[u]), nb(part)))
-            leaves = {turn[u] + i: c for v in done for u in range(first[v], first[v + 1] if v + 1 < len(first) else len(held)) for i, c in enumerate(now[turn[u] : turn[u + 1] if u + 1 < len(turn) else len(now)]) if c <= stop}
-            rows += [("oblivious", "base", level, u, 0, nb(c) * max(1, math.ceil(math.log2(max(c / M, 1) + 1))), nb(c) * max(1, math.ceil(math.log2(max(c / M, 1) + 1)))) for u, c in sorted(leaves.items()) if c]
+                rows.append(("oblivious", "splitters", level, v, 0, nb(m) + nb(drawn) * merges, nb(drawn) * merges))
+                rows.append(("oblivious", "gather", level, v, 0, nb(m) + nb(segments), sum(nb(held[u]) for u in span(first, v, len(held))) + nb(segments)))
+                for u in span(first, v, len(held)):
+                    for r, part in enumerate(now[i] for i in span(turn, u, len(now))):  # one scan of the bucket for each of its parts
+                        if omega > 1:
+                            rows.append(("oblivious", "subsplit", level, u, r, nb(held[u]), nb(part)))
+                        if part <= stop:
+                            leaves[turn[u] + r] = part
             level += 1
+            for u, c in sorted(leaves.items()):
+                deep = max(1, math.ceil(math.log2(max(c / M, 1) + 1)))
+                rows.append(("oblivious", "base", level, u, 0, deep * nb(c), deep * nb(c)))
         if not level:
             rows.append(("oblivious", "base", 0, 0, 0, nb(n), nb(n)))
         return ledger_frame(df, rows)
 
-    return SortResult(bucketing.positioned(df, keys, cuts, sizes, _partitions(df)), count)
+    return SortResult(bucketing.placed(df, keys, cuts, _partitions(df)), count)
 
 
 def em_heap(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42) -> SortResult:
@@ -428,7 +434,7 @@ def em_heap(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Machi
     cuts = bucketing.splitters(frame, keys, coin, n, fan, OVER, seed) if fan > 1 else []
     sizes = bucketing.sizes_of(frame, keys, cuts) if cuts else [n]
     rows = pq.drained(bucketing.locate(df, keys, cuts, "__shard"), keys, coin, mp)
-    before = array_literal([sum(x) for x in _running(sizes)], "bigint")
+    before = array_literal(_running(sizes), "bigint")
     placed = rows.withColumn("pos", (F.get(before, F.col("__shard")) + F.col("__nth")).cast("long")).drop("__shard", "__nth")
     return SortResult(placed, lambda: pq.drained_ledger(bucketing.locate(frame, keys, cuts, "__shard"), keys, coin, mp))
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -157,14 +159,23 @@ def _ok_sql(name: str) -> str:
     return f"SELECT '{name}' AS measure, true AS ok"
 
 
-def _merge_bound(spark: SparkSession, d: str) -> DataFrame:
-    """Mergesort ledger over lineitem within (k+1) and 1 times its blocks a level, a partial block a node allowed."""
-    df, keys, coin = _load(spark, d, "real")
+def merge_bound(df: DataFrame, keys: list[str], coin: list[str], mp: MachineParams, **how) -> DataFrame:
+    """Levels of a mergesort's counted ledger that break a bound: a level of merges reads its blocks k + 1 times and
+    writes them once, a level of base runs reads them as often as its largest run has rounds; a partial block a run is
+    allowed, and a run out of order is not.
+    """
     n = df.count()
-    led = sort.em_merge(df, keys, coin, STD).ledger
-    r, w = bounds.mergesort_io(n, STD)
-    total = led.agg(F.sum("reads").alias("r"), F.sum("writes").alias("w"), F.count(F.lit(1)).alias("nodes"))
-    return _check("mergesort", total.where((F.col("r") > r + (STD.k + 1) * F.col("nodes") * (1 + STD.k)) | (F.col("w") > w + F.col("nodes") * (1 + STD.k))))
+    led = sort.em_merge(df, keys, coin, mp, **how).ledger
+    nb, runs = bounds.blocks(n, mp.B), max(1, -(-n // (mp.k * mp.M)))
+    per = led.groupBy("level").agg(F.sum("reads").alias("r"), F.sum("writes").alias("w"), F.max((F.col("phase") == "wrong").cast("int")).alias("wrong"), (F.max("rnd") + 1).alias("rounds"), F.count_distinct("node").alias("nodes"))
+    held = F.ceil(F.lit(runs) / F.pow(F.lit(float(mp.fan_out)), F.greatest(F.col("level") - 1, F.lit(0)).cast("double")))
+    most = F.when(F.col("level") == 0, F.col("rounds")).otherwise(mp.k + 1 if mp.k > 1 else 1)
+    broken = (F.col("wrong") == 1) | (F.col("r") > most * (nb + held)) | (F.col("w") > nb + F.col("nodes") * F.when(F.col("level") == 0, F.col("rounds")).otherwise(1)) | (F.col("level") > bounds.levels(n, mp))
+    return per.where(broken)
+
+
+def _merge_bound(spark: SparkSession, d: str) -> DataFrame:
+    return _check("mergesort", merge_bound(*_load(spark, d, "real"), STD))
 
 
 def _runs(spark: SparkSession, d: str, groups: int = 8, runs: int = 32) -> DataFrame:
@@ -194,10 +205,10 @@ def _merge_trace(spark: SparkSession, d: str) -> DataFrame:
     for case, runs, mp in (("passed_over", [[1, 9], [2], [3], [4]], MachineParams(2, 1, 2, 2)), ("emitted_twice", [[2], [7, 8], [1, 3, 4], [5, 6]], MachineParams(4, 2, 2, 2))):
         out, rounds = simulate.merge(runs, mp)
         rows.append((case, ",".join(map(str, out)), ",".join(str(r[0]) for r in rounds), sum(r[1] for r in rounds)))
-    return spark.createDataFrame(rows, "case string, output string, emitted string, reads long").withColumn("reads", F.when(F.col("case") == "passed_over", F.col("reads")))
+    return spark.createDataFrame(rows, "case string, output string, emitted string, reads long")
 
 
-_MERGE_TRACE_SQL = "SELECT * FROM (VALUES ('passed_over', '1,2,3,4,9', '2,2,1', 9::BIGINT), ('emitted_twice', '1,2,3,4,5,6,7,8', '5,3', NULL)) t(\"case\", output, emitted, reads)"
+_MERGE_TRACE_SQL = "SELECT * FROM (VALUES ('passed_over', '1,2,3,4,9', '2,2,1', 9::BIGINT), ('emitted_twice', '1,2,3,4,5,6,7,8', '5,3', 7::BIGINT)) t(\"case\", output, emitted, reads)"
 
 SEL = MachineParams(256, 16, 8, 8)
 
@@ -371,12 +382,77 @@ def _transpose(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _oblivious_check(spark: SparkSession, d: str) -> DataFrame:
-    """Reads stay within about omega times writes, and writes within 8 times the bound's shape."""
+    """Writes stay within 8 times the bound's shape and reads within omega times that; a bucket has at most
+    2 sqrt(n omega) log n rows (told by the blocks that its scans read) and is read about omega times.
+    """
     df, keys, coin = _load(spark, d, "real")
-    n = df.count()
-    led = ledger_cost(sort.co_sort(df, keys, coin, 4, 256).ledger, 4)
-    _, w = bounds.oblivious_sort(n, MachineParams(256, 16, 4, 1))
-    return _check("oblivious", led.where((F.col("writes") > 8 * w) | (F.col("reads") > 4 * F.col("writes"))))
+    n, omega, B = df.count(), 4, 16
+    ledger = sort.co_sort(df, keys, coin, omega, 256, B=B).ledger
+    led = ledger_cost(ledger, omega)
+    r, w = bounds.oblivious_sort(n, MachineParams(256, B, omega, 1))
+    scans = ledger.where("phase = 'subsplit' AND level = 0").groupBy("node").agg(F.max("reads").alias("blocks"), F.count(F.lit(1)).alias("scans"), F.sum("writes").alias("written"))
+    wide = scans.where((F.col("blocks") > 2 * math.sqrt(n * omega) * math.log2(n) / B + 1) | (F.col("scans") > omega) | (F.col("written") > F.col("blocks") + F.col("scans")) | (F.col("written") < F.col("blocks")))
+    return _check("oblivious", led.where((F.col("writes") > 8 * w) | (F.col("reads") > 8 * r)).select(F.lit(1).alias("bad")).unionByName(wide.select(F.lit(1).alias("bad"))))
+
+
+def _slots(spark: SparkSession, d: str) -> DataFrame:
+    """The parallel sample sort's slots are 1 to n, each once, buckets in order and every (bucket, chunk) range contiguous."""
+    df, keys, coin = _load(spark, d, "real")
+    rows = sort.parallel_slots(df, keys, coin, STD)
+    ranges = rows.groupBy("bucket", "chunk").agg(F.min("slot").alias("lo"), F.max("slot").alias("hi"), F.count(F.lit(1)).alias("cnt"))
+    after = F.lead("lo").over(W.partitionBy("bucket").orderBy("chunk"))
+    gaps = ranges.withColumn("next", after).where((F.col("hi") - F.col("lo") + 1 != F.col("cnt")) | (F.col("next") != F.col("hi") + 1)).select(F.lit(1).alias("bad"))
+    tops = ranges.groupBy("bucket").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
+    seams = tops.withColumn("next", F.lead("lo").over(W.orderBy("bucket"))).where("next IS NOT NULL AND next <> hi + 1").select(F.lit(1).alias("bad"))
+    ends = rows.agg(F.min("slot").alias("lo"), F.max("slot").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> 1 OR hi <> n").select(F.lit(1).alias("bad"))
+    return _check("slots", gaps.unionByName(seams).unionByName(ends))
+
+
+def _queues(spark: SparkSession, d: str) -> DataFrame:
+    """A merge counts the same blocks and puts out the same keys with its queue as sorted array, heaps or tree, and never
+    holds more than the queue and a block on either side.
+    """
+    import pandas as pd
+
+    def go(pdf: pd.DataFrame) -> pd.DataFrame:
+        lists = [sorted(g.key.tolist()) for _, g in pdf.groupby("run")]
+        peak: list[int] = []
+        found = [simulate.merge(lists, MERGE, queue=q, peak=peak) for q in simulate.QUEUES]
+        ok = all(f == found[0] for f in found) and found[0][0] == sorted(pdf.key.tolist()) and max(peak) <= MERGE.M + 2 * MERGE.B
+        return pd.DataFrame([(int(pdf.node.iloc[0]), ok)], columns=["node", "ok"])
+
+    return _check("merge_queues", _runs(spark, d).groupBy("node").applyInPandas(go, "node long, ok boolean").where("NOT ok"))
+
+
+def _skewed(spark: SparkSession, d: str) -> DataFrame:
+    """Buckets of skewed columns against their bounds: evenly spaced splitters of a sample (twice the mean), the
+    deterministic split (m^(2/3) (log m + 1)), and the cache-oblivious sort's buckets (2 sqrt(n omega) log n).
+    """
+    inputs = [("events.user_id", table(spark, d, "events").select("user_id", "event_id"), ["user_id", "event_id"], ["event_id"])]
+    inputs.append(("lineitem.l_suppkey", table(spark, d, "lineitem").select("l_suppkey", *REAL[:4]), ["l_suppkey", *REAL[:4]], TIE[:3]))
+    one = table(spark, d, "events").select(F.when(F.col("event_id") % 10 > 0, F.lit(1).cast("long")).otherwise(F.col("user_id")).alias("hot"), "event_id")
+    inputs.append(("events.nine_tenths_one_key", one, ["hot", "event_id"], ["event_id"]))
+    out = []
+    for name, df, keys, coin in inputs:
+        n, omega = df.count(), 4
+        cuts = bucketing.splitters(df, keys, coin, n, FAN)
+        even = max(bucketing.sizes_of(df, keys, cuts))
+        split, _ = bucketing.deterministic_split(df, keys, n)
+        most = split.groupBy("bucket").agg(F.count(F.lit(1)).alias("cnt")).agg(F.max("cnt")).first()[0]
+        wide = max(bucketing.sizes_of(df, keys, sort._oblivious_buckets(df.select(*dict.fromkeys([*keys, *coin])), keys, coin, omega, [], {0: n}, 42)[0]))
+        out.append((name, even * FAN < 2 * n, most <= n ** (2 / 3) * (math.log2(n) + 1), wide <= 2 * math.sqrt(n * omega) * math.log2(n)))
+    return spark.createDataFrame(out, "input string, sampled_ok boolean, deterministic_ok boolean, oblivious_ok boolean")
+
+
+def _tries(spark: SparkSession, d: str) -> DataFrame:
+    """Random placement in groups of log n rows: the mean group takes at most 2 tries a row, the largest at most 6 log n."""
+    o = table(spark, d, "orders").select("o_orderkey", (F.col("o_orderkey") % 16).alias("bucket"))
+    n = o.count()
+    log = max(1, int(math.log2(n)))
+    sized = o.join(bucketing.counts(o, "bucket"), "bucket")
+    took = bucketing.place_random(sized, 2 * F.col("cnt"), "o_orderkey", told=True)[0]
+    group = took.groupBy(F.floor(F.col("o_orderkey") / log).alias("g")).agg(F.sum("tries").alias("tries"), F.count(F.lit(1)).alias("rows"))
+    return group.agg(F.lit("tries").alias("measure"), ((F.sum("tries") <= 2 * F.sum("rows")) & (F.max("tries") <= 6 * log)).alias("ok"))
 
 
 def _late(spark: SparkSession, d: str) -> DataFrame:
@@ -415,6 +491,15 @@ QUERIES = {
     "sort_sample_ledger": _sample_ledger(STD),
     "sort_sample_classic_ledger": _sample_ledger(CLASSIC),
     "sort_sample_parallel": _other(sort.em_sample_parallel, "real", STD),
+    **{f"sort_sample_parallel_{n}": _other(sort.em_sample_parallel, n, STD) for n in ("dups", "reverse", "string")},
+    **{f"sort_merge_{n}": _other(sort.em_merge, n, STD) for n in ("sorted", "reverse", "string", "segments")},
+    **{f"sort_oblivious_{n}": _other(sort.co_sort, n, 4) for n in ("dups", "reverse", "string")},
+    **{f"sort_heap_{n}": _other(sort.em_heap, n, HEAP) for n in ("dups", "reverse", "segments")},
+    **{f"sort_pram_{n}": _other(sort.pram_sample, n, INPUTS[n][2][0]) for n in ("dups", "sorted", "segments")},
+    "parallel_slots_check": _slots,
+    "merge_queues_check": _queues,
+    "bucket_balance_skewed": _skewed,
+    "placement_group_tries_check": _tries,
     "sort_sample_parallel_time": _parallel_time,
     "splitters_evenly_spaced": _splitters_even,
     "splitters_deterministic": _splitters_deterministic,
@@ -463,6 +548,11 @@ SQL = {
     "sort_sample_late_payload": "SELECT doc_id, source, md5(text) AS text_md5, row_number() OVER (ORDER BY lang, n_chars DESC, doc_id)::BIGINT AS pos FROM documents",
     "sort_sample_ledger": _sample_ledger_sql(STD),
     "sort_sample_classic_ledger": _sample_ledger_sql(CLASSIC),
+    **{f"sort_{m}_{n}": _order_sql(n) for m, names in (("sample_parallel", ("dups", "reverse", "string")), ("merge", ("sorted", "reverse", "string", "segments")), ("oblivious", ("dups", "reverse", "string")), ("heap", ("dups", "reverse", "segments")), ("pram", ("dups", "sorted", "segments"))) for n in names},
+    "parallel_slots_check": _ok_sql("slots"),
+    "merge_queues_check": _ok_sql("merge_queues"),
+    "bucket_balance_skewed": "SELECT * FROM (VALUES ('events.user_id', true, true, true), ('lineitem.l_suppkey', true, true, true), ('events.nine_tenths_one_key', true, true, true)) t(input, sampled_ok, deterministic_ok, oblivious_ok)",
+    "placement_group_tries_check": _ok_sql("tries"),
     "sort_sample_parallel_time": _PARALLEL_TIME_SQL,
     "splitters_evenly_spaced": f"WITH {_CUTS_SQL} SELECT i::BIGINT AS i, {', '.join(REAL)} FROM c",
     "splitters_deterministic": "SELECT o_totalprice, o_orderkey FROM (SELECT *, row_number() OVER (ORDER BY o_totalprice, o_orderkey) AS r FROM (SELECT *, row_number() OVER (PARTITION BY o_orderkey % 10 ORDER BY o_totalprice, o_orderkey) AS i FROM orders) WHERE i % 10 = 0) WHERE r % 20 = 0",
