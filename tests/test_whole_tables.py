@@ -9,15 +9,15 @@ QUERIES = catalog.queries()
 
 def test_all_embeddings(spark):
     n = spark.read.parquet(f"{SF}/embeddings.parquet").count()
-    assert QUERIES["fft_embeddings_all"](spark, SF).count() == 64 * n
-    assert QUERIES["gram_matrix_all"](spark, SF).count() == n * n
+    assert QUERIES["fft_embeddings"](spark, SF).count() == 64 * n
+    assert QUERIES["gram_matrix"](spark, SF).count() == n * n
 
 
 def test_all_joined(spark):
     docs, labels, orders, customers = (spark.read.parquet(f"{SF}/{t}.parquet") for t in ("documents", "labels", "orders", "customer"))
-    count = {name: QUERIES[name](spark, SF).count() for name in QUERIES if name.startswith("join_") and name.endswith(("_all", "_orders"))}
+    count = {name: QUERIES[name](spark, SF).count() for name in QUERIES if name in ("join_left", "join_right", "join_full") or name.startswith("join_") and name.endswith("_orders")}
     idle = customers.join(orders, customers.c_custkey == orders.o_custkey, "left_anti").count()
-    assert count["join_left_all"] == count["join_full_all"] == docs.count() and count["join_right_all"] == labels.count()
+    assert count["join_left"] == count["join_full"] == docs.count() and count["join_right"] == labels.count()
     assert count["join_left_orders"] == orders.count() and count["join_right_orders"] == count["join_full_orders"] == orders.count() + idle
 
 

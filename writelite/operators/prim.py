@@ -4,21 +4,27 @@ from __future__ import annotations
 
 import tempfile
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from writelite.operators import bucketing
 
 
-def cut_lineage(df: DataFrame) -> DataFrame:
-    """checkpoint() in the shared folder of spark.checkpoint.dir; in local mode a folder of its own where that is unset."""
-    sc = df.sparkSession.sparkContext
+def shared_folder(spark: SparkSession) -> str:
+    """The folder of spark.checkpoint.dir; in local mode one of its own where that is unset."""
+    sc = spark.sparkContext
     if not sc.getCheckpointDir():
-        folder = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        folder = spark.conf.get("spark.checkpoint.dir", None)
         if not folder and not (sc.master.startswith("local[") or sc.master == "local"):
             raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors see")
         sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="writelite_"))
+    return sc.getCheckpointDir()
+
+
+def cut_lineage(df: DataFrame) -> DataFrame:
+    """checkpoint() in the shared folder."""
+    shared_folder(df.sparkSession)
     return df.checkpoint()
 
 

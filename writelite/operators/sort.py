@@ -25,7 +25,7 @@ from writelite.plans import planner
 
 MOST_LEVELS = 12
 #: Samples of a bucket for each factor of two in n.
-OVER = 4.0
+OVER = 1.5
 
 
 @dataclass

@@ -2,19 +2,17 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from writelite.operators.prim import shared_folder
+
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh path in the folder that all executors share; a temporary one where none is set."""
-    sc = spark.sparkContext
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="writelite_"))
-    return f"{sc.getCheckpointDir()}/{name}-{uuid.uuid4().hex}"
+    """A fresh path in the folder that all executors share; in local mode a temporary one where none is set."""
+    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
 
 
 def roundtrip(df: DataFrame, kind: str, **options) -> DataFrame:

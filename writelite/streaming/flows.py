@@ -6,9 +6,12 @@ sink back, so that a batch query sees the final result. Event time is cast to TI
 
 from __future__ import annotations
 
+import json
+import math
+import struct
 import uuid
-from collections.abc import Callable
 
+from pyspark.errors import StreamingQueryException
 from pyspark.sql import DataFrame, Row, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
@@ -90,6 +93,28 @@ def interval_join(s: DataFrame) -> DataFrame:
     return a.join(b, F.expr("ua = user_id AND tb >= ta AND tb <= ta + INTERVAL 1 HOUR")).select("click_id", "purchase_id")
 
 
+def packed(k1: float | None, k2: int | None) -> str:
+    """A (double, long) key as text of one length that sorts as the key does: nulls first, then by number, NaN last.
+
+    >>> sorted([(2.5, 1), (-3.0, 9), (None, 4), (-3.0, -9)], key=lambda k: packed(*k))
+    [(None, 4), (-3.0, -9), (-3.0, 9), (2.5, 1)]
+    """
+    bits = struct.unpack(">Q", struct.pack(">d", k1 + 0.0 if k1 == k1 else math.nan))[0] if k1 is not None else 0
+    number = "0" * 17 if k1 is None else f"1{bits ^ (2**64 - 1) if bits >> 63 else bits | 1 << 63:016x}"
+    return number + ("0" * 17 if k2 is None else f"1{k2 + 2**63:016x}")
+
+
+def unpacked(item: str) -> tuple[float | None, int | None]:
+    """The key of a packed text.
+
+    >>> unpacked(packed(-0.5, -7)), unpacked(packed(None, None))
+    ((-0.5, -7), (None, None))
+    """
+    bits = int(item[1:17], 16)
+    bits = bits ^ (1 << 63) if bits >> 63 else bits ^ (2**64 - 1)
+    return (struct.unpack(">d", struct.pack(">Q", bits))[0] if item[0] == "1" else None), (int(item[18:], 16) - 2**63 if item[17] == "1" else None)
+
+
 class BetaQueue(StatefulProcessor):
     """A priority queue a key: a small sorted alpha as one value, a beta list that is only appended to, and a bound below
     which beta's records are dead. Deletes take from alpha; an empty alpha takes the least live records of beta by one
@@ -108,7 +133,7 @@ class BetaQueue(StatefulProcessor):
         bound, live, length, puts = self.dead.get() if self.dead.exists() else ("", 0, 0, 0)
         out = []
         for r in sorted(rows, key=lambda r: r.seq):
-            item = f"{r.k1:020.6f}|{r.k2:012d}"
+            item = packed(r.k1, r.k2)
             if r.op == "I":
                 if alpha and item < alpha[-1] or not alpha and not live:
                     alpha = sorted([*alpha, item])
@@ -130,7 +155,7 @@ class BetaQueue(StatefulProcessor):
                 if live and length > 4 * (live + self.ROOM):
                     length, bound, puts = self._rebuild(bound, puts)
             got = alpha.pop(0) if alpha else None
-            k1, k2 = (float(got[:20]), int(got[21:])) if got else (None, None)
+            k1, k2 = unpacked(got) if got else (None, None)
             out.append(Row(shard=key[0], seq=r.seq, k1=k1, k2=k2, puts=puts))
         self.alpha.update((alpha,))
         self.dead.update((bound, live, length, puts))
@@ -180,7 +205,11 @@ def running_top(spark: SparkSession, stream: DataFrame, m: int = 20) -> DataFram
 
 
 def dropped_late(spark: SparkSession, d: str) -> DataFrame:
-    """Rows that a 10-minute watermark drops when the oldest rows arrive in a last file, by the query's own progress."""
+    """Whether a 10-minute watermark drops exactly the groups that it must when the oldest rows arrive in a last file.
+
+    The query's progress counts what comes to the state operator: the late rows' windows that have ended before the
+    watermark, which the first two files have set.
+    """
     batch = spark.read.parquet(f"{d}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
     path, late = scratch(spark, "late"), F.pmod(F.xxhash64("event_id"), F.lit(20)) == 0
     mid = batch.agg(F.percentile_approx("event_id", 0.5)).first()[0] or 0
@@ -190,14 +219,37 @@ def dropped_late(spark: SparkSession, d: str) -> DataFrame:
     flow = stream.withWatermark("ts", "10 minutes").groupBy(F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("cnt"))
     query = flow.writeStream.format("noop").outputMode("append").option("checkpointLocation", scratch(spark, "stream-state")).trigger(availableNow=True).start()
     query.awaitTermination()
-    dropped = sum(int(o.get("numRowsDroppedByWatermark", 0)) for p in query.recentProgress for o in (p.stateOperators if hasattr(p, "stateOperators") else p["stateOperators"]) for o in [o if isinstance(o, dict) else {"numRowsDroppedByWatermark": o.numRowsDroppedByWatermark}])
-    return spark.createDataFrame([("late", dropped >= 0)], "measure string, ok boolean")
+    dropped = sum(o["numRowsDroppedByWatermark"] for p in map(_progress, query.recentProgress) for o in p["stateOperators"])
+    mark = batch.where(~late).agg(F.max(F.unix_micros("ts"))).first()[0] - 600_000_000
+    gone = batch.where((F.col("event_id") <= mid) & late).select((F.floor(F.unix_micros("ts") / 3_600_000_000) + 1).alias("hour")).where(F.col("hour") * 3_600_000_000 <= mark // 1000 * 1000).distinct().count()
+    return spark.createDataFrame([("late", dropped == gone and gone > 0)], "measure string, ok boolean")
 
 
-def restart(spark: SparkSession, d: str, build: Callable[[DataFrame], DataFrame] = scan_watermark) -> DataFrame:
-    """A stream that is stopped and started again on its checkpoint: the sink holds every row once."""
+def _progress(p) -> dict:
+    return json.loads(p.json) if hasattr(p, "json") else p
+
+
+def restart(spark: SparkSession, d: str) -> DataFrame:
+    """Clicks through a stream that is broken off in its second batch, after that batch was written but before it was
+    committed, and started again on its checkpoint: the batch comes again, replaces its own folder, and every row is
+    there once.
+    """
     name = uuid.uuid4().hex
     state, sink = scratch(spark, f"restart-state-{name}"), scratch(spark, f"restart-sink-{name}")
-    for _ in range(2):
-        out = run(build(source(spark, d)), checkpoint=state, sink=sink)
-    return out
+    stream = scan_watermark(source(spark, d, 3))
+
+    def start(broken: bool) -> None:
+        def write(df: DataFrame, i: int) -> None:
+            df.write.mode("overwrite").parquet(f"{sink}/batch={i}")
+            if broken and i == 1:
+                raise RuntimeError("broken off")
+
+        query = stream.writeStream.foreachBatch(write).option("checkpointLocation", state).trigger(availableNow=True).start()
+        query.awaitTermination()
+
+    try:
+        start(True)
+        raise AssertionError("the stream was not broken off")
+    except StreamingQueryException:
+        start(False)
+    return spark.read.schema(stream.schema.add("batch", "integer")).parquet(sink).drop("batch")

@@ -10,6 +10,7 @@ from writelite.functions import bounds, model
 from writelite.functions.model import MachineParams
 from writelite.operators import linalg, pq, simulate, spectral
 from writelite.plans import planner
+from writelite.workloads import sorting
 from writelite.workloads.sorting import _check, _ok_sql, table
 
 SETTINGS = [(64, 8, 4), (64, 8, 8), (64, 8, 16), (64, 8, 40), (256, 16, 4), (256, 16, 8), (256, 16, 16), (256, 16, 40), (1024, 32, 4), (1024, 32, 8), (1024, 32, 16), (1024, 32, 40)]
@@ -69,17 +70,17 @@ _DEVICES_SQL = f'SELECT device, "read", "write", unit, kind, round("write" / "re
 
 
 def _device_cost(spark: SparkSession, d: str) -> DataFrame:
-    """Write-saving sample sort of orders against the classic one, in read units of each device."""
-    n = table(spark, d, "orders").count()
-    mp = MachineParams(256, 16, 8, 4)
-    nb, lev, one = bounds.blocks(n, mp.B), bounds.levels(n, mp), bounds.levels(n, mp.with_k(1))
-    p = model.device_presets(spark)
-    return p.select("device", (F.lit(nb * lev) * (F.lit(mp.k) + F.col("omega"))).cast("long").alias("saving"), (F.lit(nb * one) * (1 + F.col("omega"))).cast("long").alias("classic"))
+    """Counted reads and writes of one level of the sample sort of lineitem and its base case, write-saving and classic
+    (k = 1), in read units of each device.
+    """
+    led = sorting.counted_ledgers(spark, d).groupBy("method").agg(F.sum("reads").alias("reads"), F.sum("writes").alias("writes"))
+    p = model.device_presets(spark).select("device", "omega")
+    return led.where("method <> 'selection'").crossJoin(F.broadcast(p)).select("device", "method", (F.col("reads") + F.col("writes") * F.col("omega")).cast("long").alias("cost"))
 
 
+_DEVICE_COST_SQL = f"WITH l AS ({sorting.COUNTED_SQL}), p AS ({_DEVICES_SQL}) SELECT device, method, sum(reads + writes * omega)::BIGINT AS cost FROM l, p WHERE method <> 'selection' GROUP BY device, method"
 _NBO = "(((SELECT count(*) FROM orders) + 15) // 16)"
 _LEVO = lambda f: f"(SELECT min(t) FROM range(1, 64) r(t) WHERE pow({f}, t) >= {_NBO})"
-_DEVICE_COST_SQL = f"SELECT device, ({_NBO} * {_LEVO(64)} * (4 + omega))::BIGINT AS saving, ({_NBO} * {_LEVO(16)} * (1 + omega))::BIGINT AS classic FROM ({_DEVICES_SQL})"
 
 # Caches: events as an instruction trace, one shard a user.
 
@@ -169,17 +170,12 @@ _Q1 = f"(13 * {_NBO} * {_LEVO(64)})"
 
 
 def _rollup(spark: SparkSession, d: str) -> DataFrame:
-    """A ledger of three methods over the number of orders, rolled up by method and level."""
-    n = table(spark, d, "orders").count()
-    nb = bounds.blocks(n, 16)
-    rows = [(m, "all", lv, 0, 0, r * nb, nb) for m, r in (("classic", 1), ("mergesort", 5), ("sample", 4)) for lv in range(2)]
-    led = spark.createDataFrame(rows, model.LEDGER)
-    out = led.rollup("method", "level").agg(F.sum("reads").cast("long").alias("reads"), F.sum("writes").cast("long").alias("writes"))
+    """Counted ledgers of three methods rolled up by method and phase."""
+    out = sorting.counted_ledgers(spark, d).rollup("method", "phase").agg(F.sum("reads").cast("long").alias("reads"), F.sum("writes").cast("long").alias("writes"))
     return out.withColumn("cost", model.cost(8))
 
 
-_ROLLUP_SQL = f"""SELECT method, level, sum(r * {_NBO})::BIGINT AS reads, sum({_NBO})::BIGINT AS writes, sum((r + 8) * {_NBO})::BIGINT AS cost
-FROM (VALUES ('classic', 1), ('mergesort', 5), ('sample', 4)) t(method, r), (VALUES (0), (1)) v(level) GROUP BY ROLLUP (method, level)"""
+_ROLLUP_SQL = f"SELECT method, phase, sum(reads)::BIGINT AS reads, sum(writes)::BIGINT AS writes, sum(reads + 8 * writes)::BIGINT AS cost FROM ({sorting.COUNTED_SQL}) GROUP BY ROLLUP (method, phase)"
 
 # Transforms.
 
@@ -203,18 +199,12 @@ SELECT k::BIGINT AS idx, round(sum(re * cos(-2 * pi() / {n} * ((k * idx) % {n}))
 
 
 def _fft_embeddings(spark: SparkSession, d: str) -> DataFrame:
-    cells = table(spark, d, "embeddings").where("vec_id < 200").select("vec_id", F.posexplode("embedding").alias("idx", "x")).select("vec_id", F.col("idx").cast("long").alias("idx"), F.round(F.col("x").cast("double") * 1000).alias("re"))
-    return _rounded(spectral.fft_groups(cells, "vec_id", 64, 4))
-
-
-def _fft_embeddings_all(spark: SparkSession, d: str) -> DataFrame:
     cells = table(spark, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("idx", "x")).select("vec_id", F.col("idx").cast("long").alias("idx"), F.round(F.col("x").cast("double") * 1000).alias("re"))
     return _rounded(spectral.fft_groups(cells, "vec_id", 64, 4))
 
 
-_FFT_EMBEDDINGS_SQL = """WITH s AS (SELECT vec_id, unnest(range(0, 64)) AS idx, unnest(list_transform(embedding, lambda x: round(x::DOUBLE * 1000))) AS re FROM embeddings WHERE vec_id < 200)
+_FFT_EMBEDDINGS_SQL = """WITH s AS (SELECT vec_id, unnest(range(0, 64)) AS idx, unnest(list_transform(embedding, lambda x: round(x::DOUBLE * 1000))) AS re FROM embeddings)
 SELECT vec_id, k::BIGINT AS idx, round(sum(re * cos(-2 * pi() / 64 * ((k * idx) % 64))), 2) + 0.0 AS re, round(sum(re * sin(-2 * pi() / 64 * ((k * idx) % 64))), 2) + 0.0 AS im FROM s, range(0, 64) t(k) GROUP BY vec_id, k"""
-_FFT_EMBEDDINGS_ALL_SQL = _FFT_EMBEDDINGS_SQL.replace(" WHERE vec_id < 200", "")
 
 
 def _roundtrip(spark: SparkSession, d: str) -> DataFrame:
@@ -286,18 +276,12 @@ SELECT a.i, b.j, sum(a.v * b.v)::BIGINT AS v FROM a JOIN b ON a.j = b.i GROUP BY
 
 
 def _gram(spark: SparkSession, d: str) -> DataFrame:
-    g = linalg.gram(table(spark, d, "embeddings").where("vec_id < 128"), "vec_id", "embedding")
-    return g.select("i", "j", (F.round("v", 6) + 0.0).alias("v"))
-
-
-def _gram_all(spark: SparkSession, d: str) -> DataFrame:
     g = linalg.gram(table(spark, d, "embeddings"), "vec_id", "embedding")
     return g.select("i", "j", (F.round("v", 6) + 0.0).alias("v"))
 
 
-_GRAM_SQL = """WITH e AS (SELECT vec_id, unnest(range(0, 64)) AS d, unnest(embedding)::DOUBLE AS x FROM embeddings WHERE vec_id < 128)
+_GRAM_SQL = """WITH e AS (SELECT vec_id, unnest(range(0, 64)) AS d, unnest(embedding)::DOUBLE AS x FROM embeddings)
 SELECT a.vec_id AS i, b.vec_id AS j, round(sum(a.x * b.x), 6) + 0.0 AS v FROM e a JOIN e b USING (d) GROUP BY a.vec_id, b.vec_id"""
-_GRAM_ALL_SQL = _GRAM_SQL.replace(" WHERE vec_id < 128", "")
 
 
 def _product_ledger(spark: SparkSession, d: str) -> DataFrame:
@@ -325,6 +309,15 @@ _PRODUCT_LEDGER_SQL = """WITH RECURSIVE g AS (SELECT n, first, n AS size, 1::HUG
 UNION ALL SELECT n, first, (size + f - 1) // f, cnt * f * f * f, level + 1 FROM (SELECT *, CASE WHEN level = 0 AND first > 1 THEN first ELSE 8 END AS f FROM g WHERE size > 256))
 SELECT n::BIGINT AS n, first::BIGINT AS first, (cnt * 16 * ((size * size + 15) // 16))::BIGINT AS reads, (cnt * ((size * size + 15) // 16))::BIGINT AS writes FROM g WHERE size <= 256"""
 
+
+
+def _tall(spark: SparkSession, d: str) -> DataFrame:
+    """Which of the planner's machines have a tall cache, M at least B^2."""
+    return spark.createDataFrame([(M, B, bounds.tall_cache(MachineParams(M, B, omega))) for M, B, omega in SETTINGS if omega == 4], "M long, B long, tall boolean")
+
+
+_TALL_SQL = "SELECT M::BIGINT AS M, B::BIGINT AS B, M >= B * B AS tall FROM (VALUES (64, 8), (256, 16), (1024, 32)) t(M, B)"
+
 QUERIES = {
     "choose_k": _choose, "k_range_table": _k_range, "k_sweep_cost": _sweep, "bounds_table": _bounds_table, "device_presets": _devices, "device_cost": _device_cost,
     "cache_rw_lru_cost": lambda spark, d: rw_lru_cost(trace(spark, d), CACHE.M // CACHE.B, CACHE.omega),
@@ -333,12 +326,13 @@ QUERIES = {
     "cache_lru_dirty": lambda spark, d: pq.cache_run(trace(spark, d), CACHE, "lru_dirty"),
     "cache_opt_misses": lambda spark, d: pq.cache_run(trace(spark, d), CACHE, "opt"),
     "cache_competitive_check": _competitive, "parallel_time_table": _parallel_table, "work_stealing_bound": _stealing, "depth_first_bound": _depth_first, "cost_rollup": _rollup,
-    "fft_64": _fft(64, 4), "fft_256": _fft(256, 4), "fft_1024": _fft(1024, 16), "fft_nonsquare_128": _fft(128, 4), "fft_embeddings": _fft_embeddings, "fft_embeddings_all": _fft_embeddings_all,
+    "fft_64": _fft(64, 4), "fft_256": _fft(256, 4), "fft_1024": _fft(1024, 16), "fft_nonsquare_128": _fft(128, 4), "fft_embeddings": _fft_embeddings,
     "fft_standard": lambda spark, d: _rounded(spectral.fft_standard(signal(spark, d, 256), 256)), "dft_bruteforce": lambda spark, d: _rounded(spectral.dft_bruteforce(signal(spark, d, 256), 256)),
     "ntt_exact": _ntt, "fft_inverse_roundtrip": _roundtrip, "fft_parseval_check": _parseval, "fft_accuracy_check": _fft_accuracy, "fft_fused": _fft_fused, "fft_ledger": _fft_ledger,
     "matmul_naive": _product(linalg.matmul_naive, 64), "matmul_blocked": _product(linalg.matmul_blocked, 64, 16), "matmul_strips": _product(linalg.matmul_blocked, 64, 32, how="strips"),
     "matmul_replicated": _product(linalg.matmul_blocked, 64, 16, how="replicate"), "matmul_oblivious": _product(linalg.matmul_co, 64, 64, 4, 64), "matmul_quadrant": _product(linalg.matmul_quadrant, 64, 64, 1),
-    "gram_matrix": _gram, "gram_matrix_all": _gram_all, "matmul_ledger": _product_ledger, "matmul_expected_cost": _expected,
+    "matmul_blocked_128": _product(linalg.matmul_blocked, 128, 32), "matmul_oblivious_256": _product(linalg.matmul_co, 256, 256, 8, 256),
+    "gram_matrix": _gram, "tall_cache_table": _tall, "matmul_ledger": _product_ledger, "matmul_expected_cost": _expected,
 }
 
 SQL = {
@@ -351,9 +345,10 @@ SQL = {
     "work_stealing_bound": f"SELECT p::BIGINT AS p, ({_Q1} + p * 8 * 100 * 16)::BIGINT AS bound FROM (VALUES (1), (8), (64)) t(p)",
     "depth_first_bound": f"SELECT p::BIGINT AS p, {_Q1}::BIGINT AS bound, (256 + p * 16 * 100)::BIGINT AS cache FROM (VALUES (1), (8), (64)) t(p)",
     "cost_rollup": _ROLLUP_SQL,
-    "fft_64": _dft_sql(64), "fft_256": _dft_sql(256), "fft_1024": _dft_sql(1024), "fft_nonsquare_128": _dft_sql(128), "fft_embeddings": _FFT_EMBEDDINGS_SQL, "fft_embeddings_all": _FFT_EMBEDDINGS_ALL_SQL, "fft_standard": _dft_sql(256), "dft_bruteforce": _dft_sql(256),
+    "fft_64": _dft_sql(64), "fft_256": _dft_sql(256), "fft_1024": _dft_sql(1024), "fft_nonsquare_128": _dft_sql(128), "fft_embeddings": _FFT_EMBEDDINGS_SQL, "fft_standard": _dft_sql(256), "dft_bruteforce": _dft_sql(256),
     "ntt_exact": _NTT_SQL, "fft_inverse_roundtrip": "SELECT event_id % 256 AS idx, sum(round(value * 100)::BIGINT)::BIGINT AS re FROM events GROUP BY 1",
     "fft_parseval_check": _ok_sql("parseval"), "fft_accuracy_check": _ok_sql("fft_accuracy"), "fft_fused": _ok_sql("fft_fused"),
     **dict.fromkeys(["matmul_naive", "matmul_blocked", "matmul_strips", "matmul_replicated", "matmul_oblivious", "matmul_quadrant"], _product_sql(64)),
-    "gram_matrix": _GRAM_SQL, "gram_matrix_all": _GRAM_ALL_SQL, "matmul_ledger": _PRODUCT_LEDGER_SQL,
+    "matmul_blocked_128": _product_sql(128), "matmul_oblivious_256": _product_sql(256),
+    "gram_matrix": _GRAM_SQL, "tall_cache_table": _TALL_SQL, "matmul_ledger": _PRODUCT_LEDGER_SQL,
 }

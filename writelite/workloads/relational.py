@@ -80,18 +80,17 @@ _OL = "SELECT o_orderpriority, sum(l_quantity::BIGINT)::BIGINT AS q FROM orders
 _ol = lambda o, l, hint=None: (o.join(l.hint(hint) if hint else l, o["o_orderkey"] == l["l_orderkey"]).groupBy("o_orderpriority").agg(F.sum(c("l_quantity").cast("long")).alias("q")))
 
 
-def small(df: DataFrame, most: int = 5_000_000) -> DataFrame:
-    """Broadcast behind a count: beyond `most` rows the optimiser picks a join by exchange."""
-    return F.broadcast(df) if df.count() <= most else df
+def small(df: DataFrame, most_mb: int = 64) -> DataFrame:
+    """Broadcast behind a check of bytes, rows times a row's width: beyond `most_mb` the optimiser picks a join by exchange."""
+    width = 16 + sum(8 + 32 * (kind in ("string", "binary")) for _, kind in df.dtypes)
+    return F.broadcast(df) if df.count() * width <= most_mb * 1_000_000 else df
 
 
 plain("join_broadcast_hash", "lineitem part", lambda l, p: l.join(small(p.select("p_partkey", "p_brand")), c("l_partkey") == c("p_partkey")).groupBy("p_brand").agg(F.sum(c("l_quantity").cast("long")).alias("q")), "SELECT p_brand, sum(l_quantity::BIGINT)::BIGINT AS q FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1")
 plain("join_sort_merge", "orders lineitem", lambda o, l: _ol(o, l, "merge"), _OL)
 plain("join_shuffle_hash", "orders customer", lambda o, u: o.join(u.hint("shuffle_hash"), c("o_custkey") == c("c_custkey")).groupBy("c_mktsegment").agg(n().alias("cnt")), "SELECT c_mktsegment, count(*)::BIGINT AS cnt FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")
 for how in ("left", "right", "full"):
-    plain(f"join_{how}", "documents labels", lambda x, y, how=how: x.where("doc_id % 3 > 0").select("doc_id", "lang").join(y.where("doc_id % 2 = 0").select("doc_id", "quality"), "doc_id", how), f"SELECT doc_id, lang, quality FROM (SELECT * FROM documents WHERE doc_id % 3 > 0) {how.upper()} JOIN (SELECT * FROM labels WHERE doc_id % 2 = 0) USING (doc_id)")
-for how in ("left", "right", "full"):
-    plain(f"join_{how}_all", "documents labels", lambda x, y, how=how: x.select("doc_id", "lang").join(y.select("doc_id", "quality"), "doc_id", how), f"SELECT doc_id, lang, quality FROM documents {how.upper()} JOIN labels USING (doc_id)")
+    plain(f"join_{how}", "documents labels", lambda x, y, how=how: x.select("doc_id", "lang").join(y.select("doc_id", "quality"), "doc_id", how), f"SELECT doc_id, lang, quality FROM documents {how.upper()} JOIN labels USING (doc_id)")
     plain(f"join_{how}_orders", "orders customer", lambda o, u, how=how: o.select("o_orderkey", "o_custkey").join(u.select("c_custkey", "c_mktsegment"), c("o_custkey") == c("c_custkey"), how), f"SELECT o_orderkey, o_custkey, c_custkey, c_mktsegment FROM orders {how.upper()} JOIN customer ON o_custkey = c_custkey")
 plain("join_semi", "customer orders", lambda u, o: u.join(o, c("c_custkey") == c("o_custkey"), "left_semi").select("c_custkey"), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")
 plain("join_anti", "documents labels", lambda x, y: x.join(y, "doc_id", "left_anti").select("doc_id"), "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)")
@@ -190,11 +189,31 @@ plain("win_sessionize", "events", _sessions, "SELECT event_id, sum(new) OVER (PA
 
 # Order and limits.
 plain("sort_multi", "documents", lambda t: t.select("doc_id", F.row_number().over(W.orderBy(c("lang").desc_nulls_last(), c("n_chars").asc_nulls_first(), "doc_id")).cast("long").alias("r")), "SELECT doc_id, row_number() OVER (ORDER BY lang DESC NULLS LAST, n_chars ASC NULLS FIRST, doc_id) AS r FROM documents")
-plain("sort_within", "orders", lambda t: t.repartition(8, "o_custkey").sortWithinPartitions("o_custkey", "o_orderkey").groupBy("o_custkey").agg(F.first("o_orderkey").alias("k"), n().alias("cnt")).select("o_custkey", "cnt"), "SELECT o_custkey, count(*)::BIGINT AS cnt FROM orders GROUP BY 1")
+
+
+def _sort_within(o: DataFrame) -> DataFrame:
+    """Rows of each partition against the row before them there: none may be smaller."""
+    rows = o.select("o_custkey", "o_orderkey").repartition(8, "o_custkey").sortWithinPartitions("o_custkey", "o_orderkey")
+    rows = rows.select("*", F.spark_partition_id().alias("p"), F.monotonically_increasing_id().alias("at"))
+    before = F.lag(F.struct("o_custkey", "o_orderkey")).over(W.partitionBy("p").orderBy("at"))
+    return rows.withColumn("before", before).agg(n().alias("rows"), F.coalesce(F.sum((c("before") > F.struct("o_custkey", "o_orderkey")).cast("long")), F.lit(0)).alias("wrong"))
+
+
+plain("sort_within", "orders", _sort_within, "SELECT count(*)::BIGINT AS rows, 0::BIGINT AS wrong FROM orders")
 plain("topk_global", "lineitem", lambda t: t.select("l_orderkey", "l_linenumber", "l_partkey", "l_extendedprice").orderBy(F.desc("l_extendedprice"), "l_orderkey", "l_linenumber", "l_partkey").limit(100), "SELECT l_orderkey, l_linenumber, l_partkey, l_extendedprice FROM lineitem ORDER BY l_extendedprice DESC, l_orderkey, l_linenumber, l_partkey LIMIT 100")
 plain("topk_per_group", "orders", lambda t: t.withColumn("r", F.row_number().over(W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("r <= 3").select("o_custkey", "o_orderkey"), "SELECT o_custkey, o_orderkey FROM (SELECT *, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS r FROM orders) WHERE r <= 3")
 plain("page_offset", "part", lambda t: t.orderBy("p_retailprice", "p_partkey").select("p_partkey", "p_retailprice").offset(50).limit(50), "SELECT p_partkey, p_retailprice FROM part ORDER BY p_retailprice, p_partkey LIMIT 50 OFFSET 50")
-plain("range_partition", "lineitem", lambda t: t.select("l_shipdate").repartitionByRange(8, "l_shipdate").groupBy("l_shipdate").agg(n().alias("cnt")), "SELECT l_shipdate, count(*)::BIGINT AS cnt FROM lineitem GROUP BY 1")
+
+
+def _ranges(l: DataFrame) -> DataFrame:
+    """The dates of each partition against those of the next one: ranges may not overlap, and there is more than one."""
+    parts = l.select("l_shipdate").repartitionByRange(8, "l_shipdate").select("l_shipdate", F.spark_partition_id().alias("p"))
+    spans = parts.groupBy("p").agg(F.min("l_shipdate").alias("lo"), F.max("l_shipdate").alias("hi"), n().alias("cnt"))
+    after = F.lead("lo").over(W.orderBy("p"))
+    return spans.withColumn("after", after).agg(F.sum("cnt").alias("rows"), F.coalesce(F.sum((c("hi") >= c("after")).cast("long")), F.lit(0)).alias("overlaps"), (n() > 1).alias("many"))
+
+
+plain("range_partition", "lineitem", _ranges, "SELECT count(*)::BIGINT AS rows, 0::BIGINT AS overlaps, true AS many FROM lineitem")
 plain("bottomk_threshold", "lineitem", lambda t: t.where("l_extendedprice > 20000").select("l_extendedprice", "l_orderkey", "l_linenumber", "l_partkey").orderBy("l_extendedprice", "l_orderkey", "l_linenumber", "l_partkey").limit(64), "SELECT l_extendedprice, l_orderkey, l_linenumber, l_partkey FROM lineitem WHERE l_extendedprice > 20000 ORDER BY ALL LIMIT 64")
 plain("topk_quality_docs", "documents labels", lambda x, y: x.join(y, "doc_id").orderBy(F.desc("quality"), F.desc("n_chars"), "doc_id").select("doc_id", "quality", "n_chars").limit(50), "SELECT doc_id, quality, n_chars FROM documents JOIN labels USING (doc_id) ORDER BY quality DESC, n_chars DESC, doc_id LIMIT 50")
 

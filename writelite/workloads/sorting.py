@@ -72,6 +72,8 @@ def _small(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "orders").select("o_orderpriority", "o_totalprice", "o_orderkey")
 
 
+CLASSIC = MachineParams(256, 16, 8, 1)
+
 # One level of portable splitters, so that bucket counts can be told in SQL.
 
 FAN = 16
@@ -119,17 +121,26 @@ SELECT 'distribute' AS phase, (bucket // {per})::BIGINT AS rnd, (SELECT (count(*
 UNION ALL SELECT 'base', bucket::BIGINT, (((cnt + {M - 1}) // {M}) * ((cnt + {B - 1}) // {B}))::BIGINT, (cnt // {M} * {-(-M // B)} + (cnt % {M} + {B - 1}) // {B})::BIGINT FROM z"""
 
 
+def processor_times(ledger: DataFrame, omega: int, ps: tuple[int, ...]) -> dict[int, int]:
+    """Time on p processors of a ledger whose phases follow each other: the units (level, phase, node, round) of a phase
+    go to the processors in turn, and a phase takes as long as its dearest processor.
+    """
+    units = ledger.groupBy("level", "phase", "node", "rnd").agg(F.sum(F.col("reads") + omega * F.col("writes")).alias("cost"))
+    units = units.withColumn("i", F.row_number().over(W.partitionBy("level", "phase").orderBy("node", "rnd")))
+    own = units.withColumn("p", F.explode(F.array(*map(F.lit, ps)))).groupBy("level", "phase", "p", (F.col("i") % F.col("p")).alias("proc")).agg(F.sum("cost").alias("c"))
+    return {r["p"]: r["t"] for r in own.groupBy("level", "phase", "p").agg(F.max("c").alias("c")).groupBy("p").agg(F.sum("c").alias("t")).collect()}
+
+
 def _parallel_time(spark: SparkSession, d: str) -> DataFrame:
-    """Time on p processors of the parallel sample sort's ledger, and the speed-up against one."""
-    n = table(spark, d, "lineitem").count()
-    rows = []
-    for p in (1, 4, 16, 64):
-        r, w = STD.k * bounds.blocks(n, STD.B), bounds.blocks(n, STD.B)
-        rows.append((p, (STD.omega * w + r) // p))
-    return spark.createDataFrame(rows, "p long, cost long")
+    """Whether the time on p processors, counted from the parallel sample sort's ledger, is at most that of fewer, and
+    at least the total over p.
+    """
+    df, keys, coin = _load(spark, d, "real")
+    t = processor_times(sort.em_sample_parallel(df, keys, coin, STD).ledger, STD.omega, (1, 2, 4, 8))
+    return spark.createDataFrame([(p, t[p] <= t[max(1, p // 2)], t[p] * p >= t[1]) for p in (1, 2, 4, 8)], "p long, falls boolean, bounded boolean")
 
 
-_PARALLEL_TIME_SQL = f"SELECT p::BIGINT AS p, (({STD.omega + STD.k} * (((SELECT count(*) FROM lineitem) + {STD.B - 1}) // {STD.B})) // p)::BIGINT AS cost FROM (VALUES (1), (4), (16), (64)) t(p)"
+_PARALLEL_TIME_SQL = "SELECT p::BIGINT AS p, true AS falls, true AS bounded FROM (VALUES (1), (2), (4), (8)) t(p)"
 
 
 def _splitters_even(spark: SparkSession, d: str) -> DataFrame:
@@ -231,6 +242,16 @@ _SELECTION_LEDGER_SQL = f"""WITH c AS (SELECT row_number() OVER (ORDER BY o_orde
 SELECT node::BIGINT AS node, rnd::BIGINT AS rnd, ((n + {SEL.B - 1}) // {SEL.B})::BIGINT AS reads, ((least({SEL.M}, n - rnd * {SEL.M}) + {SEL.B - 1}) // {SEL.B})::BIGINT AS writes
 FROM (SELECT node, n, unnest(range(0, (n + {SEL.M - 1}) // {SEL.M})) AS rnd FROM c)"""
 
+
+
+def counted_ledgers(spark: SparkSession, d: str) -> DataFrame:
+    """(method, phase, reads, writes) of every round of three methods that SQL can count too."""
+    parts = [_sample_ledger(STD)(spark, d).select(F.lit("sample").alias("method"), "phase", "reads", "writes")]
+    parts.append(_sample_ledger(CLASSIC)(spark, d).select(F.lit("classic").alias("method"), "phase", "reads", "writes"))
+    parts.append(_selection_ledger(spark, d).select(F.lit("selection").alias("method"), F.lit("base").alias("phase"), "reads", "writes"))
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
 HEAP = MachineParams(256, 16, 8, 4)
 
 
@@ -479,7 +500,8 @@ _SIZES_SQL = """WITH s AS (SELECT unnest([0, 1, 7, 8, 9, 64, 65, 256, 257, 773])
 p AS (SELECT n, o_orderkey, row_number() OVER (PARTITION BY n ORDER BY o_totalprice, o_orderkey) AS pos FROM s JOIN o ON r <= n)
 SELECT s.n, count(o_orderkey)::BIGINT AS rows, coalesce(sum(pos * (o_orderkey % 1000)), 0)::BIGINT AS mark FROM s LEFT JOIN p USING (n) GROUP BY s.n"""
 
-CLASSIC = MachineParams(256, 16, 8, 1)
+COUNTED_SQL = f"""SELECT 'sample' AS method, phase, reads, writes FROM ({_sample_ledger_sql(STD)})
+UNION ALL SELECT 'classic', phase, reads, writes FROM ({_sample_ledger_sql(CLASSIC)}) UNION ALL SELECT 'selection', 'base', reads, writes FROM ({_SELECTION_LEDGER_SQL})"""
 QUERIES = {
     **{f"sort_sample_{n}": _sample(n) for n in INPUTS},
     "sort_sample_rounds": _sample("real", how="rounds"),
