@@ -366,6 +366,109 @@ def test_licenses_by_row(spark):
     assert (by[4], by[5], by[6]) == ("MIT", "GPL-3.0-header", "MIT-notice")
 
 
+def brute_lines(rows, ratio=lines.RATIO, least=lines.LEAST_PAGES, distinct=True):
+    """(key, text, lines, dropped) of (key, text, host) rows, page by page."""
+    from collections import defaultdict
+
+    pages = defaultdict(list)
+    for _, t, h in rows:
+        pages[h].append(t)
+    bad = {}
+    for h, texts in pages.items():
+        texts = list(dict.fromkeys(texts)) if distinct else texts
+        count = defaultdict(int)
+        for t in texts:
+            for line in {x.strip(" \t\r") for x in (t or "").split("\n")} - {""}:
+                count[line] += 1
+        bad[h] = {x for x, c in count.items() if c >= least and c > ratio * len(texts)}
+    out = []
+    for k, t, h in rows:
+        every = [] if t is None else t.split("\n")
+        kept = [x for x in every if x.strip(" \t\r") not in bad[h]]
+        out.append((k, t if len(kept) == len(every) else "\n".join(kept), len(every), len(every) - len(kept)))
+    return sorted(out, key=str)
+
+
+@pytest.mark.parametrize("distinct", [True, False])
+def test_lines_brute_force(spark, odd, docs, distinct):
+    for df in (odd, docs):
+        got = [(r.doc_id, r.text, r.n_lines, r.n_dropped) for r in lines.clean(df, distinct=distinct).collect()]
+        assert sorted(got, key=str) == brute_lines([(r.doc_id, r.text, r.source) for r in df.collect()], distinct=distinct)
+
+
+def test_odd_rows_by_value(spark, odd):
+    """Decontamination, sharding and quality on the odd table: what each row gets, not only how many there are."""
+    bench = spark.createDataFrame([(1, "w10 w11 w12 w13 w14 w15 w16 w17"), (2, "Ünïcode word, Ünïcode word,"), (2, "Released under the MIT License."), (None, "one"), (3, None), (4, "")], "item_id long, text string")
+    found = sorted({(r.doc_id, r.item_id, r.edits) for r in decontam.hits(odd, bench).collect()}, key=str)
+    assert found == sorted([(1, 1, 0), (2, 1, 0), (3, 1, 0), (None, 1, 0), (7, 2, 0), (11, 2, 0), (12, 2, 0)], key=str)
+    assert sorted((r.doc_id for r in decontam.clean(odd, bench).collect()), key=str) == sorted([4, 5, 6, 8, 8, 9, 10], key=str)
+    got = sharding.shard(odd).collect()
+    size = lambda t: (len((t or "").encode()) + 1, zlib.crc32((t or "").encode()))
+    assert sorted(((r.doc_id, r.size, r.text_crc32) for r in got), key=str) == sorted(((k, *size(t)) for k, t in ROWS), key=str)
+    place = {}
+    for r in got:
+        assert place.setdefault(r.doc_id, (r.shard, r.grown_shard)) == (r.shard, r.grown_shard)
+    labels = spark.createDataFrame([(k, i % 2) for i, (k, _) in enumerate(ROWS * 30) if k is not None] + [(None, 1), (3, None), (5, 7)], "doc_id long, quality int")
+    scores = {}
+    for r in quality.report(odd, labels).collect():
+        text = [t or "" for k, t in ROWS if k == r.doc_id]
+        scores.setdefault((r.doc_id, r.score), 0)
+        assert r.held_out == (r.doc_id is not None and zlib.crc32(str(r.doc_id).encode()) % 5 == 0) and r.predicted == int(r.score >= 0.3) and text
+    by = {k: s for k, s in scores}
+    assert by[1] == by[3] == by[None] and by[4] == by[5]
+
+
+def test_walk_is_the_definition():
+    """Fingerprints against a walk one step at a time: the character under the pointer at the sampled steps."""
+    import random
+
+    rng = random.Random(1)
+    samples = set(fingerprint._all_samples()[:2000].tolist())
+    for n in (0, 1, 2, 30, 700, 5000):
+        text = "".join(rng.choices("abcé ф😀", k=n))
+        kind, digit = fingerprint._hashed(fingerprint.code_points(text))
+        at, out = 0, ""
+        for step in range(3 * n):
+            if step in samples:
+                out += "0123456789abcdef"[int(digit[at]) if at < n else 0]
+            if at < n:
+                at += int(fingerprint._step_hashes(step // fingerprint.STEPS)[step % fingerprint.STEPS]) >> int(kind[at]) & 1
+        assert fingerprint.fingerprints([fingerprint.code_points(text)]) == [out]
+
+
+def test_likeness_is_the_definition():
+    """Equal digits weighed by the steps that they stand for, over the steps of the longer one."""
+    import random
+
+    rng = random.Random(2)
+    for _ in range(50):
+        a = "".join(rng.choices("0123", k=rng.randrange(300)))
+        b = "".join(x if rng.random() < 0.8 else "9" for x in a)[: rng.randrange(300)]
+        weight, o = [], 0
+        while len(weight) < max(len(a), len(b)):
+            weight += [2**o / len(fingerprint.sampled_steps(o))] * len(fingerprint.sampled_steps(o))
+            o += 1
+        whole = sum(weight[: max(len(a), len(b))])
+        want = sum(w for w, x, y in zip(weight, a, b, strict=False) if x == y) / whole if whole else 1.0
+        assert abs(fingerprint.likeness(a, b) - want) < 1e-12
+
+
+def test_pipeline_leaves_one_table(spark):
+    """run() deletes what its stages wrote on the way, and nothing that others wrote."""
+    import os
+
+    import corpus_pipeline as cp
+
+    from writelite.llm.common import shared_dir, stored, written
+
+    mine = stored(spark.range(5).toDF("a"), "mine")
+    before = set(os.listdir(shared_dir(spark).removeprefix("file:")))
+    out = cp.run(spark, SF)
+    assert out.count() > 0 and mine.count() == 5
+    new = set(os.listdir(shared_dir(spark).removeprefix("file:"))) - before
+    assert len(new) == 1 and os.listdir(f"{shared_dir(spark).removeprefix('file:')}/{new.pop()}") == ["byte_bpe"] and any("mine" in p for p in written())
+
+
 def test_sharding(spark, odd, none, docs):
     rows = sharding.shard(docs).collect()
     by = {}

@@ -10,7 +10,7 @@ import ctypes
 import functools
 import tempfile
 import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -46,9 +46,14 @@ def stored(df: DataFrame, name: str, files: int | None = None) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def sweep(spark: SparkSession, *paths: str) -> None:
-    """Delete tables in the shared folder: those named, or all that `stored` has written. For when nothing reads them any more."""
-    for path in paths or tuple(_written):
+def written() -> frozenset[str]:
+    """The tables that `stored` has written in this process and `sweep` has not deleted."""
+    return frozenset(_written)
+
+
+def sweep(spark: SparkSession, paths: Iterable[str]) -> None:
+    """Delete tables in the shared folder, when nothing reads them any more."""
+    for path in paths:
         at = spark._jvm.org.apache.hadoop.fs.Path(path)
         at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
         if path in _written:
