@@ -230,3 +230,15 @@ def test_queue_of_negative_and_null_keys(spark, tmp_path):
     stream = spark.readStream.schema(df.schema).parquet(f"{tmp_path}/events")
     got = [(r.k1, r.k2) for r in flows.run(flows.queue(stream, flows.BetaQueue())).orderBy("seq").collect()]
     assert got == [(None, 2), (None, 5), (-1e9, 7), (-7.25, 3), (-2.0, 1), (0.0, 4), (3.5, 0), (1e9, 6), (None, None)]
+
+
+def test_event_log(spark, tmp_path):
+    """Bytes of the stages of an application, from lines of its event log."""
+    import json
+
+    from writelite.functions import metrics
+
+    task = lambda stage, read, wrote: json.dumps({"Event": "SparkListenerTaskEnd", "Stage ID": stage, "Task Metrics": {"Disk Bytes Spilled": 1, "Input Metrics": {"Bytes Read": read}, "Shuffle Write Metrics": {"Shuffle Bytes Written": wrote}}})
+    (tmp_path / "log").write_text("\n".join([task(0, 5, 2), task(0, 6, 3), json.dumps({"Event": "SparkListenerJobEnd", "Job ID": 0}), task(1, 0, 4)]))
+    got = {r.stage: (r.input, r.shuffle_write, r.spill) for r in metrics.event_log_io(spark, str(tmp_path / "log")).collect()}
+    assert got == {0: (11, 5, 2), 1: (0, 4, 1)}

@@ -76,6 +76,18 @@ def pdf_shared(q1: float, mp: MachineParams) -> tuple[float, float]:
     return q1, mp.M + mp.p * mp.B * mp.D
 
 
+def pram_sort(n: int, omega: int) -> tuple[float, float, float]:
+    """(reads, writes, depth) in words of the write-saving PRAM sort, constant 1."""
+    log = math.log2(max(n, 2))
+    return n * log, n, omega * log
+
+
+def pram_sort_matching(n: int, omega: int) -> tuple[float, float, float]:
+    """The same of the best deterministic sorts without concurrent writes: their depth matches, but every level writes."""
+    log = math.log2(max(n, 2))
+    return n * log, n * log, omega * log
+
+
 def parallel_sample_time(n: int, mp: MachineParams) -> float:
     lev = math.ceil(1 + math.log(max(n / (mp.k * mp.M), 1), mp.fan_out))
     return mp.k * (mp.M / mp.B + math.log2(max(n, 2)) ** 2) * lev

@@ -311,6 +311,25 @@ SELECT n::BIGINT AS n, first::BIGINT AS first, (cnt * 16 * ((size * size + 15) /
 
 
 
+def _pram(spark: SparkSession, d: str) -> DataFrame:
+    """Bounds of the PRAM sort of orders and of the deterministic sorts whose depth it matches."""
+    n = table(spark, d, "orders").count()
+    rows = [(name, *map(round, f(n, 8))) for name, f in (("write_saving", bounds.pram_sort), ("matching_depth", bounds.pram_sort_matching))]
+    return spark.createDataFrame(rows, "method string, reads long, writes long, depth long")
+
+
+_PRAM_SQL = "SELECT method, round(n * log2(n))::BIGINT AS reads, round(CASE WHEN method = 'write_saving' THEN n ELSE n * log2(n) END)::BIGINT AS writes, round(8 * log2(n))::BIGINT AS depth FROM (SELECT count(*) AS n FROM orders), (VALUES ('write_saving'), ('matching_depth')) t(method)"
+
+
+def _condition(spark: SparkSession, d: str) -> DataFrame:
+    """How many k of 2..omega meet the rule k / log k < (omega + 1) / log(M/B), which leaves ceilings out."""
+    rows = [(M, B, omega, sum(planner.k_condition(k, MachineParams(M, B, omega)) for k in range(2, omega + 1))) for M, B, omega in SETTINGS]
+    return spark.createDataFrame(rows, "M long, B long, omega long, good long")
+
+
+_CONDITION_SQL = f"WITH g AS (SELECT M, B, omega, unnest(range(2, omega + 1)) AS k FROM (VALUES {', '.join(map(str, SETTINGS))}) t(M, B, omega)) SELECT M::BIGINT AS M, B::BIGINT AS B, omega::BIGINT AS omega, sum((k / ln(k) < (omega + 1) / ln(M / B))::INT)::BIGINT AS good FROM g GROUP BY M, B, omega"
+
+
 def _tall(spark: SparkSession, d: str) -> DataFrame:
     """Which of the planner's machines have a tall cache, M at least B^2."""
     return spark.createDataFrame([(M, B, bounds.tall_cache(MachineParams(M, B, omega))) for M, B, omega in SETTINGS if omega == 4], "M long, B long, tall boolean")
@@ -332,7 +351,7 @@ QUERIES = {
     "matmul_naive": _product(linalg.matmul_naive, 64), "matmul_blocked": _product(linalg.matmul_blocked, 64, 16), "matmul_strips": _product(linalg.matmul_blocked, 64, 32, how="strips"),
     "matmul_replicated": _product(linalg.matmul_blocked, 64, 16, how="replicate"), "matmul_oblivious": _product(linalg.matmul_co, 64, 64, 4, 64), "matmul_quadrant": _product(linalg.matmul_quadrant, 64, 64, 1),
     "matmul_blocked_128": _product(linalg.matmul_blocked, 128, 32), "matmul_oblivious_256": _product(linalg.matmul_co, 256, 256, 8, 256),
-    "gram_matrix": _gram, "tall_cache_table": _tall, "matmul_ledger": _product_ledger, "matmul_expected_cost": _expected,
+    "gram_matrix": _gram, "tall_cache_table": _tall, "pram_bounds_table": _pram, "k_condition_table": _condition, "matmul_ledger": _product_ledger, "matmul_expected_cost": _expected,
 }
 
 SQL = {
@@ -350,5 +369,5 @@ SQL = {
     "fft_parseval_check": _ok_sql("parseval"), "fft_accuracy_check": _ok_sql("fft_accuracy"), "fft_fused": _ok_sql("fft_fused"),
     **dict.fromkeys(["matmul_naive", "matmul_blocked", "matmul_strips", "matmul_replicated", "matmul_oblivious", "matmul_quadrant"], _product_sql(64)),
     "matmul_blocked_128": _product_sql(128), "matmul_oblivious_256": _product_sql(256),
-    "gram_matrix": _GRAM_SQL, "tall_cache_table": _TALL_SQL, "matmul_ledger": _PRODUCT_LEDGER_SQL,
+    "gram_matrix": _GRAM_SQL, "tall_cache_table": _TALL_SQL, "pram_bounds_table": _PRAM_SQL, "k_condition_table": _CONDITION_SQL, "matmul_ledger": _PRODUCT_LEDGER_SQL,
 }
