@@ -36,7 +36,7 @@ def delete_mins(events):
     return sorted(out, key=str)
 
 
-@pytest.mark.parametrize("name", ["pq_mixed_ops", "pq_ram_ops", "stream_pq"])
+@pytest.mark.parametrize("name", ["pq_mixed_ops", "pq_ram_ops", "stream_pq", "stream_timed_compaction"])
 def test_queues_replay(spark, name):
     assert sorted((tuple(r) for r in QUERIES[name](spark, SF).collect()), key=str) == delete_mins(rows(spark, "events"))
 
@@ -221,6 +221,25 @@ def test_packed_keys_sort_as_numbers():
     assert flows.packed(math.nan, 1) > flows.packed(math.inf, 2**62)
 
 
+def test_timers_pack(spark, tmp_path):
+    """A queue that grows and shrinks over batches is packed by timers, and gives the same keys back."""
+    rng, h, want = random.Random(8), [], []
+    for f in range(4):
+        events = [(1000 * f + i, 1, "view", rng.random()) for i in range(60)] + [(1000 * f + 500 + i, 1, "purchase", 0.0) for i in range(50)]
+        df = spark.createDataFrame(events, "event_id long, user_id long, event_type string, value double").withColumn("ts", F.timestamp_seconds(F.col("event_id") * 60 + 10**9))
+        df.coalesce(1).write.mode("append").parquet(f"{tmp_path}/events")
+        for e in events:
+            if e[2] == "view":
+                heapq.heappush(h, (e[3], e[0]))
+            else:
+                want.append(heapq.heappop(h))
+    schema = "event_id long, user_id long, event_type string, value double, ts timestamp"
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/events")
+    got = flows.run(flows.queue(stream, flows.TimedQueue(), "EventTime")).collect()
+    assert [(r.k1, r.k2) for r in sorted((r for r in got if r.seq >= 0), key=lambda r: r.seq)] == want
+    assert any(r.seq == -1 and r.k2 > 0 for r in got)
+
+
 def test_queue_of_negative_and_null_keys(spark, tmp_path):
     """The streamed queue gives negative and null values back in their order."""
     values = [3.5, -2.0, None, -7.25, 0.0, None, 1e9, -1e9]

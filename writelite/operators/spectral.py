@@ -59,10 +59,30 @@ def _columns(y: np.ndarray, w: int, s: int, omega: int, base: int) -> np.ndarray
     return np.swapaxes(v, -1, -2).reshape(y.shape)
 
 
-def fft(sig: DataFrame, n: int, omega: int, base: int = 32) -> DataFrame:
-    """Write-saving transform of one long signal (idx, re, im); absent places are zeros."""
+def fft(sig: DataFrame, n: int, omega: int, base: int = 32, fuse: bool = True) -> DataFrame:
+    """Write-saving transform of one long signal (idx, re, im); absent places are zeros.
+
+    With `fuse` the brute-force transforms run where the columns have been gathered, and what they give is not written
+    before the transforms of length s; inner and outer transposes are one change of index. Without, the brute force is a
+    step of its own, whose values cross the network once more.
+    """
     w, s, t = split(n, omega)
 
+    def brute(pdf: pd.DataFrame) -> pd.DataFrame:
+        col, b = int(pdf.col.iloc[0]), int(pdf.b.iloc[0])
+        x = np.zeros(w, complex)
+        np.add.at(x, pdf.a.to_numpy(), pdf.re.to_numpy() + 1j * pdf.im.to_numpy())
+        y = _base(x[None, :])[0] * np.exp(-2j * np.pi * b * np.arange(w) / (w * s))
+        return pd.DataFrame({"a": np.arange(w), "b": b, "col": col, "re": y.real, "im": y.imag})
+
+    def inner(pdf: pd.DataFrame) -> pd.DataFrame:
+        col, a = int(pdf.col.iloc[0]), int(pdf.a.iloc[0])
+        x = np.zeros(s, complex)
+        x[pdf.b.to_numpy()] = pdf.re.to_numpy() + 1j * pdf.im.to_numpy()
+        row = a + w * np.arange(s)
+        y = transform(x, omega, base) * np.exp(-2j * np.pi * col * row / n)
+        return pd.DataFrame({"row": row, "col": col, "re": y.real, "im": y.imag})
+
     def columns(pdf: pd.DataFrame) -> pd.DataFrame:
         col = int(pdf.col.iloc[0])
         x = np.zeros(w * s, complex)
@@ -78,7 +98,12 @@ def fft(sig: DataFrame, n: int, omega: int, base: int = 32) -> DataFrame:
         return pd.DataFrame({"idx": k + w * s * np.arange(t), "re": y.real, "im": y.imag})
 
     placed = sig.select(F.floor(F.col("idx") / t).cast("long").alias("row"), (F.col("idx") % t).cast("long").alias("col"), F.col("re").cast("double").alias("re"), F.col("im").cast("double").alias("im"))
-    done = placed.groupBy("col").applyInPandas(columns, "row long, col long, re double, im double")
+    if fuse:
+        done = placed.groupBy("col").applyInPandas(columns, "row long, col long, re double, im double")
+    else:
+        cells = placed.select(F.floor(F.col("row") / s).cast("long").alias("a"), (F.col("row") % s).alias("b"), "col", "re", "im")
+        forced = cells.groupBy("col", "b").applyInPandas(brute, "a long, b long, col long, re double, im double")
+        done = forced.groupBy("col", "a").applyInPandas(inner, "row long, col long, re double, im double")
     return done.groupBy("row").applyInPandas(rows, "idx long, re double, im double")
 
 

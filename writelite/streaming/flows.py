@@ -6,6 +6,8 @@ sink back, so that a batch query sees the final result. Event time is cast to TI
 
 from __future__ import annotations
 
+import bisect
+import heapq
 import json
 import math
 import struct
@@ -116,76 +118,132 @@ def unpacked(item: str) -> tuple[float | None, int | None]:
 
 
 class BetaQueue(StatefulProcessor):
-    """A priority queue a key: a small sorted alpha as one value, a beta list that is only appended to, and a bound below
-    which beta's records are dead. Deletes take from alpha; an empty alpha takes the least live records of beta by one
-    scan. Appends cost one put each; eager rewrites the whole list at each insertion instead, for comparison.
+    """A priority queue a key: a small sorted alpha as one value, a beta list that is only appended to, and pairs
+    (index, key) that say that of beta's first `index` records those with keys up to `key` are dead.
+
+    Deletes take from alpha; an empty alpha takes the least live records of beta by one scan, which adds a pair; pairs
+    rise in index and fall in key. After some such scans beta is packed. An append costs one put.
     """
 
-    ROOM, LAZY = 16, True
+    ROOM, SCANS, LAZY = 16, 4, True
 
     def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle = handle
         self.alpha = handle.getValueState("alpha", "items array<string>")
-        self.dead = handle.getValueState("dead", "bound string, live long, length long, puts long")
+        self.dead = handle.getValueState("dead", "pairs array<struct<i: long, k: string>>, live long, length long, scans long, puts long")
         self.beta = handle.getListState("beta", "item string")
 
+    def _load(self) -> None:
+        self.items = list(self.alpha.get()[0]) if self.alpha.exists() else []
+        pairs, self.live, self.length, self.scans, self.puts = self.dead.get() if self.dead.exists() else ([], 0, 0, 0, 0)
+        self.pairs = [(p[0], p[1]) for p in pairs]
+
+    def _save(self) -> None:
+        self.alpha.update((self.items,))
+        self.dead.update((self.pairs, self.live, self.length, self.scans, self.puts))
+
     def handleInputRows(self, key, rows, timerValues):
-        alpha = list(self.alpha.get()[0]) if self.alpha.exists() else []
-        bound, live, length, puts = self.dead.get() if self.dead.exists() else ("", 0, 0, 0)
+        self._load()
         out = []
         for r in sorted(rows, key=lambda r: r.seq):
-            item = packed(r.k1, r.k2)
             if r.op == "I":
-                if alpha and item < alpha[-1] or not alpha and not live:
-                    alpha = sorted([*alpha, item])
-                    if len(alpha) > self.ROOM:
-                        if not live:
-                            self.beta.clear()
-                            bound, length = "", 0
-                        moved = alpha.pop()
-                        length, live, puts = length + 1, live + 1, puts + self._append(moved, length)
-                else:
-                    if bound and item <= bound:
-                        length, bound, puts = self._rebuild(bound, puts)
-                    length, live, puts = length + 1, live + 1, puts + self._append(item, length)
+                self._insert(packed(r.k1, r.k2))
                 continue
-            if not alpha and live:
-                good = sorted(x[0] for x in self.beta.get() if x[0] > bound)
-                alpha, live = good[: self.ROOM], max(len(good) - self.ROOM, 0)
-                bound = alpha[-1]
-                if live and length > 4 * (live + self.ROOM):
-                    length, bound, puts = self._rebuild(bound, puts)
-            got = alpha.pop(0) if alpha else None
+            if not self.items and self.live:
+                self._refill(timerValues)
+            got = self.items.pop(0) if self.items else None
             k1, k2 = unpacked(got) if got else (None, None)
-            out.append(Row(shard=key[0], seq=r.seq, k1=k1, k2=k2, puts=puts))
-        self.alpha.update((alpha,))
-        self.dead.update((bound, live, length, puts))
+            out.append(Row(shard=key[0], seq=r.seq, k1=k1, k2=k2, puts=self.puts))
+        self._save()
         yield from out
 
-    def _append(self, item: str, length: int) -> int:
-        if self.LAZY:
-            self.beta.appendValue((item,))
-            return 1
-        self.beta.put([*self.beta.get(), (item,)] if length else [(item,)])
-        return length + 1
-
-    def _rebuild(self, bound: str, puts: int) -> tuple[int, str, int]:
-        keep = [x for x in self.beta.get() if x[0] > bound]
-        self.beta.put(keep) if keep else self.beta.clear()
-        return len(keep), "", puts + len(keep)
+    def _insert(self, item: str) -> None:
+        if self.items and item < self.items[-1] or not self.items and not self.live:
+            bisect.insort(self.items, item)
+            if len(self.items) <= self.ROOM:
+                return
+            item = self.items.pop()
+        if not self.live and self.length:
+            self._reset()
+        self._append(item)
+        self.length, self.live = self.length + 1, self.live + 1
+
+    def _alive(self) -> list[str]:
+        out, j = [], 0
+        for i, (x,) in enumerate(self.beta.get()):
+            while j < len(self.pairs) and self.pairs[j][0] <= i:
+                j += 1
+            if j == len(self.pairs) or x > self.pairs[j][1]:
+                out.append(x)
+        return out
+
+    def _refill(self, timerValues) -> None:
+        self.items = heapq.nsmallest(self.ROOM, self._alive())
+        while self.pairs and self.pairs[-1][1] <= self.items[-1]:
+            self.pairs.pop()
+        self.pairs.append((self.length, self.items[-1]))
+        self.live, self.scans = self.live - len(self.items), self.scans + 1
+        if not self.live:
+            self._reset()
+        elif self.scans >= self.SCANS:
+            self._compact(timerValues)
+
+    def _compact(self, timerValues) -> None:
+        self._pack()
+
+    def _pack(self) -> None:
+        keep = self._alive()
+        self._reset()
+        if keep:
+            self.beta.put([(x,) for x in keep])
+        self.length, self.live, self.puts = len(keep), len(keep), self.puts + len(keep)
+
+    def _reset(self) -> None:
+        self.beta.clear()
+        self.pairs, self.live, self.length, self.scans = [], 0, 0, 0
+
+    def _append(self, item: str) -> None:
+        self.beta.appendValue((item,))
+        self.puts += 1
 
     def close(self) -> None:
         pass
 
 
 class EagerQueue(BetaQueue):
-    LAZY = False
+    """Rewrites the whole list at each insertion, for comparison."""
+
+    def _append(self, item: str) -> None:
+        whole = [*self.beta.get(), (item,)] if self.length else [(item,)]
+        self.beta.put(whole)
+        self.puts += len(whole)
+
 
+class TimedQueue(BetaQueue):
+    """Leaves packing to a timer on the watermark, which fires in a later batch, so that no delete waits for it."""
 
-def queue(s: DataFrame, processor: StatefulProcessor) -> DataFrame:
-    """Delete-mins (shard, seq, k1, k2, puts) of the events of each user: purchases delete, others insert (value, id)."""
+    def _compact(self, timerValues) -> None:
+        if not list(self.handle.listTimers()):
+            self.handle.registerTimer(timerValues.getCurrentWatermarkInMs() + 1)
+
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
+        self._load()
+        packed_away = self.length - self.live
+        self._pack()
+        self._save()
+        yield Row(shard=key[0], seq=-1, k1=None, k2=packed_away, puts=self.puts)
+
+
+def queue(s: DataFrame, processor: StatefulProcessor, time: str = "None") -> DataFrame:
+    """Delete-mins (shard, seq, k1, k2, puts) of the events of each user: purchases delete, others insert (value, id).
+
+    With time "EventTime" timers fire on a watermark; what one of them packed away is a row of its own, with seq -1.
+    (Timers on the clock would keep a stream that drains what is available from ever ending.)
+    """
     s.sparkSession.conf.set("spark.sql.streaming.stateStore.providerClass", STORE)
-    ops = s.select(F.col("user_id").alias("shard"), F.col("event_id").alias("seq"), F.when(F.col("event_type") == "purchase", "D").otherwise("I").alias("op"), F.col("value").alias("k1"), F.col("event_id").alias("k2"))
-    return ops.groupBy("shard").transformWithState(processor, "shard long, seq long, k1 double, k2 long, puts long", "Append", "None")
+    ops = s.select(F.col("user_id").alias("shard"), F.col("event_id").alias("seq"), F.when(F.col("event_type") == "purchase", "D").otherwise("I").alias("op"), F.col("value").alias("k1"), F.col("event_id").alias("k2"), *["ts"] * (time == "EventTime"))
+    ops = ops.withWatermark("ts", "1 minute") if time == "EventTime" else ops
+    return ops.groupBy("shard").transformWithState(processor, "shard long, seq long, k1 double, k2 long, puts long", "Append", time)
 
 
 def running_top(spark: SparkSession, stream: DataFrame, m: int = 20) -> DataFrame:

@@ -19,6 +19,7 @@ QUERIES = {
     "stream_dedup": lambda spark, d: flows.run(flows.dedup(flows.source(spark, d))),
     "stream_pq": lambda spark, d: flows.run(flows.queue(flows.source(spark, d), flows.BetaQueue())).select("shard", "seq", "k1", "k2"),
     "stream_lazy_compaction": lambda spark, d: flows.run(flows.queue(flows.source(spark, d), flows.BetaQueue())).groupBy("shard").agg(F.max("puts").alias("lazy")).join(flows.run(flows.queue(flows.source(spark, d), flows.EagerQueue())).groupBy("shard").agg(F.max("puts").alias("eager")), "shard").agg(F.lit("lazy_compaction").alias("measure"), (F.sum("lazy") < F.sum("eager")).alias("ok")),
+    "stream_timed_compaction": lambda spark, d: flows.run(flows.queue(flows.source(spark, d, 4), flows.TimedQueue(), "EventTime")).where("seq >= 0").select("shard", "seq", "k1", "k2"),
     "stream_static_join": lambda spark, d: flows.run(flows.static_join(flows.source(spark, d), table(spark, d, "customer").select("c_custkey", "c_mktsegment"))),
     "stream_stream_interval_join": lambda spark, d: flows.run(flows.interval_join(flows.source(spark, d))),
     "stream_late_data": flows.dropped_late,
