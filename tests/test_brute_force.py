@@ -261,3 +261,12 @@ def test_event_log(spark, tmp_path):
     (tmp_path / "log").write_text("\n".join([task(0, 5, 2), task(0, 6, 3), json.dumps({"Event": "SparkListenerJobEnd", "Job ID": 0}), task(1, 0, 4)]))
     got = {r.stage: (r.input, r.shuffle_write, r.spill) for r in metrics.event_log_io(spark, str(tmp_path / "log")).collect()}
     assert got == {0: (11, 5, 2), 1: (0, 4, 1)}
+
+
+def test_rows_cross_the_network_once(spark):
+    """The plan of a sorted table has one exchange, no window, no join, and reads only the columns that it returns."""
+    df = sorting.table(spark, SF, "lineitem").select(*sorting.REAL)
+    for result in (sort.em_sample(df, sorting.REAL, sorting.TIE, STD), sort.em_sample_parallel(df, sorting.REAL, sorting.TIE, STD), sort.em_merge(df, sorting.REAL, sorting.TIE, STD), sort.co_sort(df, sorting.REAL, sorting.TIE, 4, 256)):
+        plan = result.rows._jdf.queryExecution().sparkPlan().toString() + result.rows._jdf.queryExecution().executedPlan().toString()
+        assert "Window" not in plan and "Join" not in plan and "l_quantity" not in plan
+        assert result.rows._jdf.queryExecution().executedPlan().toString().count("Exchange ") == 1
