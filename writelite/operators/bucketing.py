@@ -39,7 +39,8 @@ def locate(df: DataFrame, keys: list[str | SortKey], splitters: Sequence[tuple],
     splitters are tuples of the fields of `keys`, in order. A binary search as one projection a step, all inside one
     compiled stage: each halves the range by looking into constant arrays, so the plan grows with the logarithm. The
     last one is tied to the partition's number, else a filter on the bucket would be pushed down through all steps and
-    double at each of them.
+    multiply at each of them. For the same reason (the optimiser looks for a join key's origin) the bucket is for
+    windows, groups and exchanges; cut the lineage before a join on it.
     """
     n = len(splitters)
     if not n:

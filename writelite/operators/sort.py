@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 from writelite.functions.model import LEDGER, MachineParams
 from writelite.operators import bucketing
 from writelite.operators.keys import SortKey, array_literal, coin_limit, coin_of, order_by, parse, portable_coin, total_order_key
+from writelite.operators.prim import cut_lineage
 from writelite.plans import planner
 
 MOST_LEVELS = 12
@@ -218,7 +219,7 @@ def _parallel_plan(df: DataFrame, keys: list[str | SortKey], coin: list[str], n:
 
 def em_sample_parallel(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42) -> SortResult:
     """Private-cache form: chunks of kM rows count their rows a bucket; prefix sums over (bucket, chunk) give each chunk a
-    contiguous place in each bucket before anything is written (`parallel_slots`). In the base case k processors share
+    contiguous place in each bucket before anything is written (`chunk_places`, `parallel_slots`). In the base case k processors share
     a bucket: each reads all of it and keeps the keys between two of its k - 1 splitters. The ledger's node is the
     processor: a chunk while rows are distributed, a part of a bucket in the base case.
     """
@@ -228,7 +229,7 @@ def em_sample_parallel(df: DataFrame, keys: list[str | SortKey], coin: list[str]
 
     def count() -> DataFrame:
         sizes = bucketing.sizes_of(frame, keys, fine) if fine else [n]
-        place = _chunked(frame, keys, coin, cuts, n, mp)
+        place = chunk_places(frame, keys, coin, cuts, n, mp)
         per = max(1, mp.M // mp.B)
         moved = place.withColumn("rnd", F.floor(F.col("bucket") / per)).groupBy("chunk", "rnd").agg(F.sum(F.ceil(F.col("cnt") / mp.B)).cast("long").alias("writes"))
         own = place.groupBy("chunk").agg(F.sum("cnt").alias("n"))
@@ -241,11 +242,12 @@ def em_sample_parallel(df: DataFrame, keys: list[str | SortKey], coin: list[str]
     return SortResult(bucketing.placed(df, keys, cuts, _partitions(df)), count)
 
 
-def _chunked(frame: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], n: int, mp: MachineParams) -> DataFrame:
+def chunk_places(frame: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], n: int, mp: MachineParams) -> DataFrame:
     """(bucket, chunk, cnt, before): rows of every chunk in every bucket, and where they begin in the distributed array."""
     chunk = F.pmod(F.xxhash64(*coin), F.lit(max(1, -(-n // (mp.k * mp.M))))).cast("long").alias("chunk")
     located = bucketing.locate(frame, keys, cuts, "bucket").withColumn("bucket", F.col("bucket").cast("long")).select("bucket", chunk)
-    return bucketing.offsets(bucketing.counts(located, "bucket", "chunk"), "bucket", "chunk")
+    # Written once: the small table serves several sums, and a join on a searched bucket would unfold its search.
+    return bucketing.offsets(cut_lineage(bucketing.counts(located, "bucket", "chunk")), "bucket", "chunk")
 
 
 def parallel_slots(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42) -> DataFrame:
@@ -256,11 +258,11 @@ def parallel_slots(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp
     """
     n = df.count()
     cuts, _, _ = _parallel_plan(df, keys, coin, n, mp, seed)
-    place = _chunked(_key_columns(df, keys, coin), keys, coin, cuts, n, mp).select("bucket", "chunk", "before")
     chunk = F.pmod(F.xxhash64(*coin), F.lit(max(1, -(-n // (mp.k * mp.M))))).cast("long")
+    before = array_literal(_running(bucketing.sizes_of(_key_columns(df, keys, coin), keys, cuts)), "bigint")
     located = bucketing.locate(df, keys, cuts, "bucket").withColumn("bucket", F.col("bucket").cast("long")).withColumn("chunk", chunk)
-    nth = F.row_number().over(W.partitionBy("bucket", "chunk").orderBy(*order_by(df, keys)))
-    return located.withColumn("nth", nth).join(place, ["bucket", "chunk"]).withColumn("slot", (F.col("before") + F.col("nth")).cast("long")).drop("before", "nth")
+    nth = F.row_number().over(W.partitionBy("bucket").orderBy("chunk", *order_by(df, keys)))
+    return located.withColumn("slot", (F.get(before, F.col("bucket").cast("int")) + nth).cast("long"))
 
 
 def em_merge(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42, pointers: str = "memory") -> SortResult:

@@ -417,16 +417,19 @@ def _oblivious_check(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _slots(spark: SparkSession, d: str) -> DataFrame:
-    """The parallel sample sort's slots are 1 to n, each once, buckets in order and every (bucket, chunk) range contiguous."""
+    """The parallel sample sort's slots are 1 to n, each once, and every (bucket, chunk) range is contiguous and begins
+    where the prefix sums over counts say.
+    """
     df, keys, coin = _load(spark, d, "real")
+    n = df.count()
     rows = sort.parallel_slots(df, keys, coin, STD)
-    ranges = rows.groupBy("bucket", "chunk").agg(F.min("slot").alias("lo"), F.max("slot").alias("hi"), F.count(F.lit(1)).alias("cnt"))
-    after = F.lead("lo").over(W.partitionBy("bucket").orderBy("chunk"))
-    gaps = ranges.withColumn("next", after).where((F.col("hi") - F.col("lo") + 1 != F.col("cnt")) | (F.col("next") != F.col("hi") + 1)).select(F.lit(1).alias("bad"))
-    tops = ranges.groupBy("bucket").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"))
-    seams = tops.withColumn("next", F.lead("lo").over(W.orderBy("bucket"))).where("next IS NOT NULL AND next <> hi + 1").select(F.lit(1).alias("bad"))
-    ends = rows.agg(F.min("slot").alias("lo"), F.max("slot").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> 1 OR hi <> n").select(F.lit(1).alias("bad"))
-    return _check("slots", gaps.unionByName(seams).unionByName(ends))
+    ranges = prim.cut_lineage(rows.groupBy("bucket", "chunk").agg(F.min("slot").alias("lo"), F.max("slot").alias("hi"), F.count(F.lit(1)).alias("rows")))
+    cuts = sort._parallel_plan(df, keys, coin, n, STD, 42)[0]
+    place = sort.chunk_places(df.select(*dict.fromkeys([*keys, *coin])), keys, coin, cuts, n, STD)
+    met = ranges.join(place, ["bucket", "chunk"], "full")
+    wrong = met.where("lo IS NULL OR cnt IS NULL OR rows <> cnt OR lo <> before + 1 OR hi <> before + cnt").select(F.lit(1).alias("bad"))
+    ends = ranges.agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.sum("rows").alias("n")).where(f"lo <> 1 OR hi <> n OR n <> {n}").select(F.lit(1).alias("bad"))
+    return _check("slots", wrong.unionByName(ends))
 
 
 def _queues(spark: SparkSession, d: str) -> DataFrame:
