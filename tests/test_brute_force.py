@@ -160,6 +160,21 @@ def test_sort_keys_of_all_kinds(spark):
             assert [p for p, _ in got] == list(range(1, 701)) and [i for _, i in got] == want, keys
 
 
+def test_buckets_count_the_splitters_before_a_row(spark):
+    """Against a scan of all splitters: long runs of like first fields, repeated splitters, nulls and NaN among them."""
+    rng = random.Random(5)
+    draw = lambda: (rng.choice([None, 0.0, -0.0, 1.5, float("nan")]), rng.choice([None, "", "a", "b"]), rng.randrange(4))
+    data = [draw() for _ in range(400)]
+    df = spark.createDataFrame(data, "x double, s string, i int")
+    for keys in (["x", "s", "i"], ["s", "-i", "x"], [SortKey("x", nulls_first=False), SortKey("s", nulls_first=False), "i"], ["-i", "x"]):
+        every = bucketing.collected(df, keys)
+        rank = lambda t: tuple((v != v, 0 if v != v else v) for v in t)
+        for cuts in (every[::9], every[::90], [every[0]], [every[-1]], sorted([*every[::40], *every[::40]], key=rank)):
+            names = [c.alias(f"f{i}") for i, (c, _, _) in enumerate(fields(df, keys))]
+            got = bucketing.locate(df, keys, cuts, "b").select("b", *names).collect()
+            assert [r[0] for r in got] == [sum(rank(c) <= rank(r[1:]) for c in cuts) for r in got], (keys, len(cuts))
+
+
 @pytest.mark.parametrize("n", [0, 1, 2, 255, 1100])
 def test_sorts_of_few_rows(spark, n):
     df = spark.range(n).select((F.col("id") * 7919 % 1009 * 10000 + F.col("id")).alias("k"))

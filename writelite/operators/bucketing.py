@@ -18,48 +18,57 @@ MOST_SPLITTERS = 100_000
 CELL = 4096
 
 
-def _reaches(names: list[tuple[str, str, bool | None]], at: str) -> str:
-    """SQL for whether the splitter at a place is at most the row's key, field by field: (row's column, array, flag).
-
-    A flag is what all splitters have in the place of a null flag, so that only the row's own one is looked at.
-    """
-    out = ""
-    for own, array, flag in reversed(names):
-        if flag is not None:
-            out = f"{own} {'AND' if flag else 'OR'} ({out})" if out else (own if flag else "true")
-        else:
-            x = f"get({array}, {at})"
-            out = f"{x} < {own} OR ({x} = {own} AND ({out}))" if out else f"{x} <= {own}"
+def _ends(splitters: Sequence[tuple], upto: int) -> list[int]:
+    """For each splitter, the end of the run of splitters that are like it in their first `upto` fields; NaN is like NaN."""
+    alike = [tuple("NaN" if x != x else x for x in s[:upto]) for s in splitters]
+    out, end = [0] * len(alike), len(alike)
+    for i in reversed(range(len(alike))):
+        if i + 1 < len(alike) and alike[i] != alike[i + 1]:
+            end = i + 1
+        out[i] = end
     return out
 
 
 def locate(df: DataFrame, keys: list[str | SortKey], splitters: Sequence[tuple], out: str = "node") -> DataFrame:
     """df with its bucket: how many splitters are at most the row's key.
 
-    splitters are tuples of the fields of `keys`, in order. A binary search as one projection a step, all inside one
-    compiled stage: each halves the range by looking into constant arrays, so the plan grows with the logarithm. The
-    last one is tied to the partition's number, else a filter on the bucket would be pushed down through all steps and
-    multiply at each of them. For the same reason (the optimiser looks for a join key's origin) the bucket is for
+    splitters are tuples of the fields of `keys`, in order. They are searched field by field: the range of splitters that
+    are like the row so far is halved by looking into one constant array, then cut to those that are like it in this
+    field too. A field is halved as often as its longest run needs, once where the fields before it tell splitters apart.
+    Each step is one small projection and all stay inside one compiled stage, short enough for the JVM to compile: it
+    interprets methods of more than 8000 bytes of code for ever.
+
+    The last step is tied to the partition's number, else a filter on the bucket would be pushed down through all steps
+    and multiply at each of them. For the same reason (the optimiser looks for a join key's origin) the bucket is for
     windows, groups and exchanges; cut the lineage before a join on it.
     """
     n = len(splitters)
     if not n:
         return df.withColumn(out, F.lit(0))
-    names, more = [], []
+    more, steps, low, high, ends = [], [], "0", str(n), [n] * n
     for i, (c, kind, flag) in enumerate(fields(df, keys)):
-        values = [s[i] for s in splitters]
-        same = values[0] if flag and len(set(values)) == 1 else None
-        names.append((f"__f{i}", f"__a{i}", same))
-        more.append(c.alias(f"__f{i}"))
-        if same is None:
-            more.append(array_literal(values, kind).alias(f"__a{i}"))
-    at, steps = "__at", ["0 AS __at"]
-    for i in reversed(range(n.bit_length())):
-        ahead, new = f"{at} + {(1 << i) - 1}", f"__at{i}"
-        steps.append(f"CASE WHEN {ahead} < {n} AND ({_reaches(names, ahead)}) THEN {at} + {1 << i} ELSE {at} END AS {new}")
-        at = new
+        values, own, array = [s[i] for s in splitters], f"__f{i}", f"__a{i}"
+        more.append(c.alias(own))
+        if flag and len(set(values)) == 1:  # a row of the other flag is before or after the whole range
+            moved = f"CASE WHEN {own} THEN {high} ELSE {low} END AS __x{i}"
+            steps.append(moved)
+            low, high = (low, f"__x{i}") if values[0] else (f"__x{i}", high)
+            continue
+        longest = max(end - at for at, end in enumerate(ends))
+        more.append(array_literal(values, kind).alias(array))
+        for b in reversed(range(longest.bit_length())):
+            ahead, new = f"{low} + {(1 << b) - 1}", f"__l{i}_{b}"
+            steps.append(f"CASE WHEN {ahead} < {high} AND get({array}, {ahead}) < {own} THEN {low} + {1 << b} ELSE {low} END AS {new}")
+            low = new
+        ends = _ends(splitters, i + 1)
+        after = f"{low} + 1"
+        if any(end != at + 1 for at, end in enumerate(ends)):
+            more.append(array_literal(ends, "int").alias(f"__e{i}"))
+            after = f"get(__e{i}, {low})"
+        steps.append(f"CASE WHEN {low} < {high} AND get({array}, {low}) = {own} THEN {after} ELSE {low} END AS __h{i}")
+        high = f"__h{i}"
     found = df.select("*", *more).selectExpr("*", *steps)
-    return found.select(*[F.col(f"`{c}`") for c in df.columns if c != out], (F.col(at) + F.spark_partition_id() * 0).alias(out))
+    return found.select(*[F.col(f"`{c}`") for c in df.columns if c != out], (F.col(high) + F.spark_partition_id() * 0).alias(out))
 
 
 def locate_join(df: DataFrame, key: str, splitters: DataFrame) -> DataFrame:

@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from writelite.functions.model import LEDGER, MachineParams
 from writelite.operators import bucketing
-from writelite.operators.keys import SortKey, array_literal, coin_limit, coin_of, order_by, parse, portable_coin, total_order_key
+from writelite.operators.keys import SortKey, array_literal, coin_limit, coin_of, order_by, parse, total_order_key
 from writelite.operators.prim import cut_lineage
 from writelite.plans import planner
 
@@ -294,7 +294,7 @@ def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident
     log = max(1, int(math.log2(max(n, 2))))
     rate = min(1 / log, bucketing.sample_rate(n, int(0.9 * bucketing.MOST_SPLITTERS)))
     columns = _key_columns(df, keys, coin)
-    sample = bucketing.collected(columns.where(portable_coin(coin, rate, seed)), keys)
+    sample = bucketing.collected(columns.where(coin_of(coin, coin_limit(rate), seed)), keys)
     cuts = sample[log - 1 :: log]
     tries = n
     if not refine and place == "count":
