@@ -408,7 +408,7 @@ def near_report(df: DataFrame) -> DataFrame:
     least key of its group of near texts and copies. A null key has no group; empty texts are alone.
     """
     rows = df.select(F.col("doc_id").cast("long").alias("k"), F.coalesce("text", F.lit("")).alias("t"))
-    pairs = near_pairs(df)
+    pairs = stored(near_pairs(df), "near-pairs")
     least = rows.where("k IS NOT NULL AND t <> ''").groupBy(F.xxhash64("t").alias("h"), F.md5("t").alias("m")).agg(F.min("k").alias("first"))
     own = rows.select("k", F.xxhash64("t").alias("h"), F.md5("t").alias("m")).join(least, ["h", "m"], "left").select("k", F.coalesce("first", "k").alias("first"))
     both = pairs.select("a", "b").union(pairs.select("b", "a")).groupBy("a").agg(F.count(F.lit(1)).alias("n_near")).withColumnRenamed("a", "first")
