@@ -11,14 +11,16 @@ from __future__ import annotations
 import functools
 import itertools
 import math
-from collections.abc import Callable, Iterator
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from writelite.functions.model import LEDGER, MachineParams
+from writelite.functions.model import LEDGER, MachineParams, ledger_table
 from writelite.operators import bucketing
 from writelite.operators.keys import SortKey, array_literal, coin_limit, coin_of, order_by, parse, total_order_key
 from writelite.operators.prim import cut_lineage
@@ -27,6 +29,8 @@ from writelite.plans import planner
 MOST_LEVELS = 12
 #: Samples of a bucket for each factor of two in n.
 OVER = 1.5
+#: Rows of a node whose ledger one task carries out, as an array of hashes.
+LOCAL = 500_000
 
 
 @dataclass
@@ -101,16 +105,56 @@ def selection_rounds(df: DataFrame, keys: list[str | SortKey], mp: MachineParams
     return SortResult(rows, lambda: ledger_frame(df, base_rows("selection_rounds", 0, {0: n}, mp)))
 
 
-def _levels(df: DataFrame, keys: list[str | SortKey], coin: list[str], n: int, mp: MachineParams, seed: int, over: float, choose: str) -> Iterator[tuple[list[tuple], list[int], list[int]]]:
-    """(cuts, sizes, first new bucket of every old one) of each level of distribution, until no node is larger than kM.
+def _salted(hashed: np.ndarray, salt: int) -> np.ndarray:
+    """32 bits of a hash of (hash, salt): one coin of every row for each level and purpose."""
+    x = hashed + np.uint64((salt + 1) * 0x9E3779B97F4A7C15 % 2**64)
+    x = (x ^ (x >> np.uint64(33))) * np.uint64(0xFF51AFD7ED558CCD)
+    x = (x ^ (x >> np.uint64(33))) * np.uint64(0xC4CEB9FE1A85EC53)
+    return (x ^ (x >> np.uint64(33))) >> np.uint64(32)
 
-    Only key columns are read: a pass that samples the large nodes, a pass that counts their buckets.
+
+def _drawn(hashed: np.ndarray, wanted: int, salt: int) -> list[int]:
+    """Places of a sample of about `wanted` of a node's rows, in order."""
+    limit = np.uint64(coin_limit(bucketing.sample_rate(len(hashed), wanted)))
+    return np.flatnonzero(_salted(hashed, salt) < limit).tolist()
+
+
+def _every(group: np.ndarray, step: int) -> list[int]:
+    """Places of every step-th row of each group, in order."""
+    order = np.argsort(group, kind="stable")
+    dealt = group[order]
+    starts = np.flatnonzero(np.r_[True, dealt[1:] != dealt[:-1]]) if len(dealt) else np.zeros(0, int)
+    nth = np.arange(len(dealt)) - np.repeat(starts, np.diff(np.r_[starts, len(dealt)])) + 1
+    return np.sort(order[nth % step == 0]).tolist()
+
+
+def _carried(frame: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], walk: Callable[[int, np.ndarray], list[tuple]]) -> DataFrame:
+    """Ledger rows of walk(bucket, hashes of its rows in key order) for each bucket between cuts, made where the buckets lie.
+
+    What a level of distribution costs follows from the ranks of its splitters, so a node needs no keys once it is in
+    order: splitters are places in the array of hashes, and sizes their differences.
     """
-    frame, cuts, sizes = _key_columns(df, keys, coin), [], [n]
+
+    def go(table: pa.Table) -> pa.Table:
+        order = np.argsort(table.column("__rank").to_numpy(), kind="stable")
+        hashed = table.column("__hash").to_numpy()[order].view(np.uint64)
+        return ledger_table(walk(table.column("__node")[0].as_py(), hashed))
+
+    rank = F.row_number().over(W.partitionBy("__node").orderBy(*order_by(frame, keys)))
+    placed = bucketing.locate(frame, keys, cuts, "__node").select("__node", rank.alias("__rank"), F.xxhash64(*coin).alias("__hash"))
+    return placed.groupBy("__node").applyInArrow(go, LEDGER)
+
+
+def _sample_ledger(df: DataFrame, keys: list[str | SortKey], coin: list[str], n: int, mp: MachineParams, seed: int, over: float, choose: str) -> DataFrame:
+    """What each level of the sample sort reads and writes. Nodes of more than LOCAL rows are cut from the driver, level by
+    level, with a pass that samples them and one that counts their buckets; what lies below is carried out by one task a
+    node. A ledger's node is the place of its first row in the sorted table; a base case has the level that it is reached at.
+    """
+    frame, cuts, nodes, rows = _key_columns(df, keys, coin), [], [(n, 0)], []
     for level in range(MOST_LEVELS + 1):
-        big = {v: m for v, m in enumerate(sizes) if m > mp.k * mp.M}
+        big = {v: m for v, (m, _) in enumerate(nodes) if m > max(LOCAL, mp.k * mp.M)}
         if not big:
-            return
+            break
         if level == MOST_LEVELS:
             raise RuntimeError("buckets do not shrink; are the keys unique?")
         if choose == "deterministic":
@@ -121,7 +165,38 @@ def _levels(df: DataFrame, keys: list[str | SortKey], coin: list[str], n: int, m
             inner = bucketing.node_splitters(frame, keys, coin, cuts, {v: (m, planner.fan_out(m, mp)) for v, m in big.items()}, over, seed + level)
         cuts, first = bucketing.merged(cuts, inner)
         sizes = bucketing.sizes_of(frame, keys, cuts)
-        yield cuts, sizes, first
+        before, now = _running(sizes), []
+        for v, (m, born) in enumerate(nodes):
+            own = sizes[first[v] : first[v + 1] if v + 1 < len(first) else len(sizes)]
+            if v in big:
+                rows += _distribute_rows("sample", level, before[first[v]], m, own, mp)
+            now += [(c, level + 1 if v in big else born) for c in own]
+        nodes = now
+    before = _running([m for m, _ in nodes])
+
+    def walk(v: int, hashed: np.ndarray) -> list[tuple]:
+        out, left = [], [(0, len(hashed), nodes[v][1])]
+        while left:
+            lo, hi, level = left.pop()
+            m, node = hi - lo, before[v] + lo
+            if m <= mp.k * mp.M:
+                out += base_rows("sample", level, {node: m}, mp)
+                continue
+            if level == MOST_LEVELS:
+                raise RuntimeError("buckets do not shrink; are the keys unique?")
+            fan = planner.fan_out(m, mp)
+            if choose == "deterministic":
+                step = max(1, int(math.log2(m)))
+                sample = _every(hashed[lo:hi] % np.uint64(max(1, m // max(2, mp.M, 8 * step))), step)
+            else:
+                sample = _drawn(hashed[lo:hi], math.ceil(over * fan * max(math.log2(m), 1)), seed + level)
+            edges = [lo, *(lo + at for at in bucketing.evenly(sample, fan - 1)), hi]
+            parts = list(itertools.pairwise(edges))
+            out += _distribute_rows("sample", level, node, m, [b - a for a, b in parts], mp)
+            left += [(a, b, level + 1) for a, b in parts if b > a]
+        return out
+
+    return ledger_frame(df, rows).unionByName(_carried(frame, keys, coin, cuts, walk))
 
 
 def _deterministic_cuts(frame: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], big: dict[int, int], mp: MachineParams) -> dict[int, list[tuple]]:
@@ -135,21 +210,10 @@ def _deterministic_cuts(frame: DataFrame, keys: list[str | SortKey], coin: list[
     return out
 
 
-def _distribution_ledger(method: str, levels: Iterator[tuple], n: int, mp: MachineParams) -> list[tuple]:
-    """What each level reads and writes: a large node is scanned once a round of M/B buckets, its small ones are final."""
-    rows: list[tuple] = []
-    old, level, per = [n], 0, max(1, mp.M // mp.B)
-    base = {0: n}
-    for _, sizes, first in levels:
-        base = {}
-        for v, m in enumerate(old):
-            own = sizes[first[v] : first[v + 1] if v + 1 < len(first) else len(sizes)]
-            if len(own) > 1 or m > mp.k * mp.M:
-                for r in range(-(-len(own) // per)):
-                    rows.append((method, "distribute", level, v, r, -(-m // mp.B), sum(-(-c // mp.B) for c in own[r * per : (r + 1) * per])))
-            base |= {first[v] + i: c for i, c in enumerate(own) if c}
-        old, level = sizes, level + 1
-    return rows + base_rows(method, level, base, mp)
+def _distribute_rows(method: str, level: int, node: int, m: int, own: list[int], mp: MachineParams) -> list[tuple]:
+    """Ledger of dealing a node of m rows out to buckets of the sizes `own`: it is scanned once a round of M/B buckets."""
+    per = max(1, mp.M // mp.B)
+    return [(method, "distribute", level, node, r, -(-m // mp.B), sum(-(-c // mp.B) for c in own[r * per : (r + 1) * per])) for r in range(-(-len(own) // per))]
 
 
 def em_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42, how: str = "fused", over: float = OVER, choose: str = "random") -> SortResult:
@@ -175,7 +239,7 @@ def em_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Mac
         rows = bucketing.positioned(_rounds(df, keys, cuts, mp), keys, few, bucketing.sizes_of(frame, keys, few), slots)
     else:
         rows = bucketing.placed(df, keys, cuts, slots)
-    return SortResult(rows, lambda: ledger_frame(df, _distribution_ledger("sample", _levels(df, keys, coin, n, mp, seed, over, choose), n, mp)))
+    return SortResult(rows, lambda: _sample_ledger(df, keys, coin, n, mp, seed, over, choose))
 
 
 def _rounds(df: DataFrame, keys: list[str | SortKey], cuts: list[tuple], mp: MachineParams) -> DataFrame:
@@ -351,75 +415,77 @@ def _oblivious_buckets(frame: DataFrame, keys: list[str | SortKey], coin: list[s
     return {v: bucketing.evenly(found.get(v, []), min(shape[v][0], max(2, len(found.get(v, [])) // 2)) - 1) for v in big}
 
 
-def _oblivious_levels(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: int, n: int, stop: int, seed: int) -> Iterator[tuple]:
-    """Levels of the cache-oblivious sort: (large nodes, first bucket of every old node, first part of every bucket,
-    sizes of the buckets, sizes of the parts).
-
-    A bucket is sampled anew, at about max(omega, sqrt(omega n) / log n) keys, for the omega - 1 pivots that its omega
-    scans go by.
-    """
-    frame, cuts, sizes = _key_columns(df, keys, coin), [], [n]
-    over = max(1.0, math.sqrt(omega * n) / max(1.0, math.log2(max(n, 2))) ** 2 / omega)
-    for level in range(MOST_LEVELS):
-        big = {v: m for v, m in enumerate(sizes) if m > stop}
-        if not big:
-            return
-        inner = _oblivious_buckets(frame, keys, coin, omega, cuts, big, seed + level)
-        buckets, first = bucketing.merged(cuts, inner)
-        held = bucketing.sizes_of(frame, keys, buckets)
-        final, turn = buckets, list(range(len(buckets) + 1))
-        if omega > 1:
-            own = [u for v in big for u in range(first[v], first[v] + len(inner[v]) + 1) if held[u] > omega]
-            final, turn = bucketing.merged(buckets, bucketing.node_splitters(frame, keys, coin, buckets, {u: (held[u], omega) for u in own}, over, seed + 200 + level))
-        now = bucketing.sizes_of(frame, keys, final)
-        yield big, first, turn, held, now
-        if max(now) >= max(sizes):
-            raise RuntimeError("nodes do not shrink; are the keys unique?")
-        cuts, sizes = final, now
-
-
 def co_sort(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: int, base_rows_: int = 1024, M: int = 256, B: int = 16, seed: int = 42) -> SortResult:
     """Cache-oblivious sort: no step looks at M or B, which only price the ledger.
 
     A node of n rows is cut at splitters into sqrt(n/omega) buckets, a bucket at omega - 1 pivots into omega sub-buckets,
-    and so on until `base_rows_` (`_oblivious_levels`). The result face deals the buckets of the first level out, whole
-    and in order, and sorts them where they lie. omega 1 is the standard algorithm.
+    and so on until `base_rows_`. The result face deals the buckets of the first level out, whole and in order, and sorts
+    them where they lie; the ledger carries the levels below out there, one task a bucket. omega 1 is the standard algorithm.
     """
     n = df.count()
     stop = max(base_rows_, omega * omega, 16)
     frame = _key_columns(df, keys, coin)
     cuts = _oblivious_buckets(frame, keys, coin, omega, [], {0: n}, seed)[0] if n > stop else []
 
+    over = max(1.0, math.sqrt(omega * n) / max(1.0, math.log2(max(n, 2))) ** 2 / omega)
+    nb = lambda m: -(-m // B)
+
+    def dealt(level: int, node: int, m: int, held: list[int]) -> list[tuple]:
+        """What cutting a node of m rows into buckets of the sizes `held` reads and writes."""
+        s, drawn = max(2, math.isqrt(m // omega)), m // max(1, int(math.log2(m)))
+        # Rows of s are sorted by recursion, at one write and omega scans a level of theirs.
+        deep = max(1, math.ceil(math.log(s) / math.log(max(omega * M, 2))))
+        merges = max(1, math.ceil(math.log2(max(drawn / M, 2))))
+        # A (row, bucket) segment that does not end with a block costs one more.
+        segments = min(m, max(1, m // s) * len(held))
+        return [
+            ("oblivious", "rows", level, node, 0, deep * omega * nb(m), deep * nb(m)),
+            ("oblivious", "splitters", level, node, 0, nb(m) + nb(drawn) * merges, nb(drawn) * merges),
+            ("oblivious", "gather", level, node, 0, nb(m) + nb(segments), sum(map(nb, held)) + nb(segments)),
+        ]
+
+    def based(level: int, node: int, m: int) -> tuple:
+        deep = max(1, math.ceil(math.log2(max(m / M, 1) + 1)))
+        return "oblivious", "base", level, node, 0, deep * nb(m), deep * nb(m)
+
+    def bucket(level: int, node: int, hashed: np.ndarray, out: list[tuple]) -> None:
+        """A bucket is sampled anew, at about max(omega, sqrt(omega n) / log n) keys, for the omega - 1 pivots that its omega scans go by."""
+        m, pivots = len(hashed), []
+        if m > omega > 1:
+            pivots = bucketing.evenly(_drawn(hashed, math.ceil(over * omega * max(math.log2(m), 1)), seed + 200 + level), omega - 1)
+        for r, (a, b) in enumerate(itertools.pairwise([0, *pivots, m])):
+            if omega > 1:  # one scan of the bucket for each of its parts
+                out.append(("oblivious", "subsplit", level, node, r, nb(m), nb(b - a)))
+            if b - a > stop:
+                split(level + 1, node + a, hashed[a:b], out)
+            elif b > a:
+                out.append(based(level + 1, node + a, b - a))
+
+    def split(level: int, node: int, hashed: np.ndarray, out: list[tuple]) -> None:
+        if level >= MOST_LEVELS:
+            raise RuntimeError("nodes do not shrink; are the keys unique?")
+        m = len(hashed)
+        s = max(2, math.isqrt(m // omega))
+        sample = _every(_salted(hashed, seed + level) % np.uint64(max(1, m // s)), max(1, int(math.log2(m))))
+        edges = [0, *bucketing.evenly(sample, min(s, max(2, len(sample) // 2)) - 1), m]
+        parts = list(itertools.pairwise(edges))
+        out += dealt(level, node, m, [b - a for a, b in parts])
+        for a, b in parts:
+            if b > a:
+                bucket(level, node + a, hashed[a:b], out)
+
     def count() -> DataFrame:
-        nb = lambda m: -(-m // B)
-        rows: list[tuple] = []
-        level = 0
-        span = lambda starts, v, end: range(starts[v], starts[v + 1] if v + 1 < len(starts) else end)
-        for big, first, turn, held, now in _oblivious_levels(df, keys, coin, omega, n, stop, seed):
-            leaves = {}
-            for v, m in big.items():
-                s, drawn = max(2, math.isqrt(m // omega)), m // max(1, int(math.log2(m)))
-                # Rows of s are sorted by recursion, at one write and omega scans a level of theirs.
-                deep = max(1, math.ceil(math.log(s) / math.log(max(omega * M, 2))))
-                merges = max(1, math.ceil(math.log2(max(drawn / M, 2))))
-                # A (row, bucket) segment that does not end with a block costs one more.
-                segments = min(m, max(1, m // s) * len(span(first, v, len(held))))
-                rows.append(("oblivious", "rows", level, v, 0, deep * omega * nb(m), deep * nb(m)))
-                rows.append(("oblivious", "splitters", level, v, 0, nb(m) + nb(drawn) * merges, nb(drawn) * merges))
-                rows.append(("oblivious", "gather", level, v, 0, nb(m) + nb(segments), sum(nb(held[u]) for u in span(first, v, len(held))) + nb(segments)))
-                for u in span(first, v, len(held)):
-                    for r, part in enumerate(now[i] for i in span(turn, u, len(now))):  # one scan of the bucket for each of its parts
-                        if omega > 1:
-                            rows.append(("oblivious", "subsplit", level, u, r, nb(held[u]), nb(part)))
-                        if part <= stop:
-                            leaves[turn[u] + r] = part
-            level += 1
-            for u, c in sorted(leaves.items()):
-                deep = max(1, math.ceil(math.log2(max(c / M, 1) + 1)))
-                rows.append(("oblivious", "base", level, u, 0, deep * nb(c), deep * nb(c)))
-        if not level:
-            rows.append(("oblivious", "base", 0, 0, 0, nb(n), nb(n)))
-        return ledger_frame(df, rows)
+        if n <= stop:
+            return ledger_frame(df, [("oblivious", "base", 0, 0, 0, nb(n), nb(n))])
+        held = bucketing.sizes_of(frame, keys, cuts)
+        before = _running(held)
+
+        def walk(u: int, hashed: np.ndarray) -> list[tuple]:
+            out: list[tuple] = []
+            bucket(0, before[u], hashed, out)
+            return out
+
+        return ledger_frame(df, dealt(0, 0, n, held)).unionByName(_carried(frame, keys, coin, cuts, walk))
 
     return SortResult(bucketing.placed(df, keys, cuts, _partitions(df)), count)
 
