@@ -334,7 +334,7 @@ def em_merge(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Mach
 
     The result face does the merges of all levels at once: a range exchange on splitters, then local sorts; an earlier
     level's order does not show, and would be one more write of everything. The ledger carries every merge out on its
-    runs, in group functions, and counts blocks as they move; it refuses nodes of more rows than a simulation takes.
+    runs, one group function a node, and counts blocks as they move.
     """
     n, slots = df.count(), _partitions(df)
     frame = _key_columns(df, keys, coin)
@@ -343,7 +343,7 @@ def em_merge(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Mach
     def count() -> DataFrame:
         from writelite.operators import pq
 
-        return pq.merge_levels(frame, keys, coin, n, mp, pointers)
+        return pq.merge_levels(frame, keys, coin, cuts, n, mp, pointers)
 
     return SortResult(bucketing.placed(df, keys, cuts, slots), count)
 
