@@ -86,10 +86,13 @@ def selection_window(df: DataFrame, keys: list[str | SortKey], mp: MachineParams
 
 
 def selection_rounds(df: DataFrame, keys: list[str | SortKey], mp: MachineParams) -> SortResult:
-    """The same, one scan a round: the driver keeps the last key emitted, a scan filters above it and takes M."""
+    """The same, one scan a round: the driver keeps the last key emitted, a scan filters above it and takes M.
+
+    A table of more than 4 kM rows is cut into nodes of that many; a round then takes M rows of every node at once.
+    """
     n, last, parts, rnd = df.count(), None, [], 0
-    if n > mp.omega * mp.M * 4:
-        raise ValueError("too many rounds: the base case is for n of at most kM")
+    if n > (width := mp.omega * mp.M * 4):
+        return _selection_nodes(df, keys, mp, n, width)
     while rnd * mp.M < n:
         left = df
         if last is not None:  # above the last key: at most one row, the last one itself, sits on it
@@ -105,6 +108,35 @@ def selection_rounds(df: DataFrame, keys: list[str | SortKey], mp: MachineParams
     return SortResult(rows, lambda: ledger_frame(df, base_rows("selection_rounds", 0, {0: n}, mp)))
 
 
+def _selection_nodes(df: DataFrame, keys: list[str | SortKey], mp: MachineParams, n: int, width: int) -> SortResult:
+    """`selection_rounds` of every node of `width` consecutive rows side by side: a scan a round, and a last key a node on the driver."""
+    slots, names = _partitions(df), list(dict.fromkeys(_names(keys)))
+    even = bucketing.splitters(df.select(*names), keys, names, n, 4 * slots)
+    edges = bucketing.placed(df.select(*names), keys, even, slots).where((F.col("pos") > 1) & (F.col("pos") % width == 1))
+    cuts, last, parts = bucketing.collected(edges, keys), {}, []
+    sizes = [width] * len(cuts) + [n - width * len(cuts)]
+    for rnd in range(width // mp.M):
+        took = [min(mp.M, m - rnd * mp.M) for m in sizes]
+        # Rows above a node's last key, which is the first of them itself.
+        bounds, above = [], []
+        for v in range(len(sizes)):
+            bounds += cuts[v - 1 : v] if v else []
+            above.append(v if v not in last else -1)
+            if v in last:
+                bounds.append(last[v])
+                above.append(v)
+        of = lambda values, at: F.get(array_literal(values, "bigint"), F.col(at).cast("int"))
+        left = bucketing.locate(df, keys, bounds, "__at").withColumn("__node", of(above, "__at")).where("__node >= 0").drop("__at")
+        nth = F.row_number().over(W.partitionBy("__node").orderBy(*order_by(df, keys))) - (1 if rnd else 0)
+        part = left.withColumn("__nth", nth).where((F.col("__nth") >= 1) & (F.col("__nth") <= mp.M))
+        ends = part.where(F.col("__nth") == of(took, "__node"))
+        last |= {r[0]: r[1:] for r in bucketing.collected(ends, keys, "__node")}
+        pos = F.col("__node") * width + rnd * mp.M + F.col("__nth")
+        parts.append(part.withColumn("pos", pos.cast("long")).withColumn("rnd", F.floor((F.col("pos") - 1) / mp.M).cast("long")).drop("__node", "__nth"))
+    rows = functools.reduce(DataFrame.unionByName, parts)
+    return SortResult(rows, lambda: ledger_frame(df, base_rows("selection_rounds", 0, dict(enumerate(sizes)), mp)))
+
+
 def _salted(hashed: np.ndarray, salt: int) -> np.ndarray:
     """32 bits of a hash of (hash, salt): one coin of every row for each level and purpose."""
     x = hashed + np.uint64((salt + 1) * 0x9E3779B97F4A7C15 % 2**64)
