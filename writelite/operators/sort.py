@@ -1,6 +1,6 @@
 """Write-saving sorts on DataFrames.
 
-Each returns a SortResult: rows with their global position, and a ledger of counted block reads and writes that is made
+Each returns a SortResult: rows with their global position, and a ledger of counted block reads and writes, each made
 when it is asked for. Rows are placed by splitters, so the result does not depend on chance, only the ledger's bucket
 sizes do. What a method writes less often, its result face writes once: the key columns are scanned for a sample and
 for counts, then every row crosses the network one time, to the numbered partition that its bucket belongs to.
@@ -35,9 +35,13 @@ LOCAL = 500_000
 
 @dataclass
 class SortResult:
-    rows: DataFrame
+    placed: Callable[[], DataFrame] = field(repr=False)
     counted: Callable[[], DataFrame] = field(repr=False)
 
+    @functools.cached_property
+    def rows(self) -> DataFrame:
+        return self.placed()
+
     @functools.cached_property
     def ledger(self) -> DataFrame:
         return self.counted()
@@ -82,7 +86,7 @@ def selection_window(df: DataFrame, keys: list[str | SortKey], mp: MachineParams
             raise ValueError("the base case is for n of at most kM; sort larger tables by another method or give groups")
         rows, sizes = frame.withColumn("pos", F.row_number().over(W.orderBy("__key")).cast("long")), {0: n}
     rows = rows.withColumn("rnd", F.floor((F.col("pos") - 1) / mp.M).cast("long")).drop("__key")
-    return SortResult(rows, lambda: ledger_frame(df, base_rows("selection", 0, sizes, mp)))
+    return SortResult(lambda: rows, lambda: ledger_frame(df, base_rows("selection", 0, sizes, mp)))
 
 
 def selection_rounds(df: DataFrame, keys: list[str | SortKey], mp: MachineParams) -> SortResult:
@@ -105,7 +109,7 @@ def selection_rounds(df: DataFrame, keys: list[str | SortKey], mp: MachineParams
     rows = parts[0] if parts else df.withColumn("pos", F.lit(0).cast("long")).withColumn("rnd", F.lit(0).cast("long"))
     for p in parts[1:]:
         rows = rows.unionByName(p)
-    return SortResult(rows, lambda: ledger_frame(df, base_rows("selection_rounds", 0, {0: n}, mp)))
+    return SortResult(lambda: rows, lambda: ledger_frame(df, base_rows("selection_rounds", 0, {0: n}, mp)))
 
 
 def _selection_nodes(df: DataFrame, keys: list[str | SortKey], mp: MachineParams, n: int, width: int) -> SortResult:
@@ -134,7 +138,7 @@ def _selection_nodes(df: DataFrame, keys: list[str | SortKey], mp: MachineParams
         pos = F.col("__node") * width + rnd * mp.M + F.col("__nth")
         parts.append(part.withColumn("pos", pos.cast("long")).withColumn("rnd", F.floor((F.col("pos") - 1) / mp.M).cast("long")).drop("__node", "__nth"))
     rows = functools.reduce(DataFrame.unionByName, parts)
-    return SortResult(rows, lambda: ledger_frame(df, base_rows("selection_rounds", 0, dict(enumerate(sizes)), mp)))
+    return SortResult(lambda: rows, lambda: ledger_frame(df, base_rows("selection_rounds", 0, dict(enumerate(sizes)), mp)))
 
 
 def _salted(hashed: np.ndarray, salt: int) -> np.ndarray:
@@ -260,18 +264,20 @@ def em_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Mac
     the level as filters on the source, each with its own key range for the reader to prune by; 'fused' is one scan.
     """
     n = df.count()
-    slots = _partitions(df)
-    frame, cuts = _key_columns(df, keys, coin), []
-    if n > mp.k * mp.M and choose == "deterministic":
-        cuts = _deterministic_cuts(frame, keys, coin, [], {0: n}, mp)[0]
-    elif n > mp.k * mp.M:
-        cuts = bucketing.splitters(frame, keys, coin, n, max(planner.fan_out(n, mp), min(4 * slots, n // mp.M)), over, seed)
-    if how == "rounds" and cuts:
-        few = bucketing.evenly(cuts, 4 * slots - 1) if len(cuts) >= 4 * slots else cuts
-        rows = bucketing.positioned(_rounds(df, keys, cuts, mp), keys, few, bucketing.sizes_of(frame, keys, few), slots)
-    else:
-        rows = bucketing.placed(df, keys, cuts, slots)
-    return SortResult(rows, lambda: _sample_ledger(df, keys, coin, n, mp, seed, over, choose))
+
+    def place() -> DataFrame:
+        slots = _partitions(df)
+        frame, cuts = _key_columns(df, keys, coin), []
+        if n > mp.k * mp.M and choose == "deterministic":
+            cuts = _deterministic_cuts(frame, keys, coin, [], {0: n}, mp)[0]
+        elif n > mp.k * mp.M:
+            cuts = bucketing.splitters(frame, keys, coin, n, max(planner.fan_out(n, mp), min(4 * slots, n // mp.M)), over, seed)
+        if how == "rounds" and cuts:
+            few = bucketing.evenly(cuts, 4 * slots - 1) if len(cuts) >= 4 * slots else cuts
+            return bucketing.positioned(_rounds(df, keys, cuts, mp), keys, few, bucketing.sizes_of(frame, keys, few), slots)
+        return bucketing.placed(df, keys, cuts, slots)
+
+    return SortResult(place, lambda: _sample_ledger(df, keys, coin, n, mp, seed, over, choose))
 
 
 def _rounds(df: DataFrame, keys: list[str | SortKey], cuts: list[tuple], mp: MachineParams) -> DataFrame:
@@ -335,7 +341,7 @@ def em_sample_parallel(df: DataFrame, keys: list[str | SortKey], coin: list[str]
         base = [("sample_parallel", "base", 1, p, 0, -(-sum(sizes[a:b]) // mp.B), -(-sizes[p] // mp.B)) for a, b in zip(first, ends, strict=True) for p in range(a, b)]
         return dealt.unionByName(ledger_frame(df, base))
 
-    return SortResult(bucketing.placed(df, keys, cuts, _partitions(df)), count)
+    return SortResult(lambda: bucketing.placed(df, keys, cuts, _partitions(df)), count)
 
 
 def chunk_places(frame: DataFrame, keys: list[str | SortKey], coin: list[str], cuts: list[tuple], n: int, mp: MachineParams) -> DataFrame:
@@ -377,7 +383,7 @@ def em_merge(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Mach
 
         return pq.merge_levels(frame, keys, coin, cuts, n, mp, pointers)
 
-    return SortResult(bucketing.placed(df, keys, cuts, slots), count)
+    return SortResult(lambda: bucketing.placed(df, keys, cuts, slots), count)
 
 
 def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident: str, seed: int = 42, c: float = 4.0, refine: bool = True, place: str = "count") -> SortResult:
@@ -420,7 +426,7 @@ def pram_sample(df: DataFrame, keys: list[str | SortKey], coin: list[str], ident
         leaf = held.select(F.lit("pram").alias("method"), F.lit("sort").alias("phase"), F.lit(6).alias("level"), (F.col("__top") * 4096 * 4096 + F.col("node")).cast("long").alias("node"), F.lit(0).cast("long").alias("rnd"), (m * F.greatest(F.lit(1), F.floor(F.log2((m + 1).cast("double"))))).cast("long").alias("reads"), (4 * m).cast("long").alias("writes"))
         return ledger_frame(df, words).unionByName(leaf)
 
-    return SortResult(rows, count)
+    return SortResult(lambda: rows, count)
 
 
 def _running(sizes: list[int]) -> list[int]:
@@ -519,7 +525,7 @@ def co_sort(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: in
 
         return ledger_frame(df, dealt(0, 0, n, held)).unionByName(_carried(frame, keys, coin, cuts, walk))
 
-    return SortResult(bucketing.placed(df, keys, cuts, _partitions(df)), count)
+    return SortResult(lambda: bucketing.placed(df, keys, cuts, _partitions(df)), count)
 
 
 def em_heap(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: MachineParams, seed: int = 42) -> SortResult:
@@ -536,7 +542,7 @@ def em_heap(df: DataFrame, keys: list[str | SortKey], coin: list[str], mp: Machi
     rows = pq.drained(bucketing.locate(df, keys, cuts, "__shard"), keys, coin, mp)
     before = array_literal(_running(sizes), "bigint")
     placed = rows.withColumn("pos", (F.get(before, F.col("__shard")) + F.col("__nth")).cast("long")).drop("__shard", "__nth")
-    return SortResult(placed, lambda: pq.drained_ledger(bucketing.locate(frame, keys, cuts, "__shard"), keys, coin, mp))
+    return SortResult(lambda: placed, lambda: pq.drained_ledger(bucketing.locate(frame, keys, cuts, "__shard"), keys, coin, mp))
 
 
 def ram_tree(df: DataFrame, keys: list[str | SortKey], by: str) -> DataFrame:
