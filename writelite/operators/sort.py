@@ -447,10 +447,8 @@ def _oblivious_buckets(frame: DataFrame, keys: list[str | SortKey], coin: list[s
     expected = sum(m / shape[v][1] for v, m in big.items())
     if expected > bucketing.MOST_SPLITTERS:
         thin = thin.where(coin_of(coin, coin_limit(bucketing.MOST_SPLITTERS / expected), seed + 100))
-    found: dict[int, list[tuple]] = {}
-    for r in bucketing.collected(thin, keys, "__node"):
-        found.setdefault(r[0], []).append(r[1:])
-    return {v: bucketing.evenly(found.get(v, []), min(shape[v][0], max(2, len(found.get(v, [])) // 2)) - 1) for v in big}
+    found = bucketing.picked(thin, keys, "__node", lambda m: F.least(of(lambda v: shape[v][0]), F.greatest(F.lit(2), F.floor(m / 2))) - 1)
+    return {v: found.get(v, []) for v in big}
 
 
 def co_sort(df: DataFrame, keys: list[str | SortKey], coin: list[str], omega: int, base_rows_: int = 1024, M: int = 256, B: int = 16, seed: int = 42) -> SortResult:
